@@ -11,7 +11,8 @@ dealt into several blocks, each searched in a pass of its own, so no index grows
 
 Defined cases: a null or empty text has no overlap; null and empty items, and items under MIN_ITEM words, match
 nothing; with no items every document is clean.  Items of MIN_ITEM to SPAN - 1 words are sought as a whole, without
-substitutions.  Rows that share a doc_id give one row.  Words are A-Z lower-cased.
+substitutions.  Rows that share a doc_id give one row.  Words are lower-cased (A-Z and the
+Latin-1 capitals).
 """
 
 from __future__ import annotations
@@ -61,11 +62,9 @@ class Index:
 
     def __init__(self, items: list[tuple[int, str]]):
         self.ids = np.array([i for i, _ in items], dtype=np.int64)
-        texts = pa.array([t for _, t in items], pa.large_string())
         data = np.frombuffer(b"".join(t.encode() for _, t in items), dtype=np.uint8)
         sizes = [len(t.encode()) for _, t in items]
-        found = W.Words(data, np.concatenate(([0], np.cumsum(sizes, dtype=np.int64))))
-        del texts
+        found = W.Words(W.fold_latin(data), np.concatenate(([0], np.cumsum(sizes, dtype=np.int64))))
         self.words, self.first = found.hashes(), found.first
         lengths = np.diff(self.first)
         self.masks = [(m, 1 + i) for i, m in enumerate(MASKS)]
@@ -131,7 +130,7 @@ def _searcher(index):
         for batch in batches:
             n_words, items, longest = [], [], []
             for lo, hi, data, offsets in W.slices(batch.column("text")):
-                found = W.Words(data, offsets)
+                found = W.Words(W.fold_latin(data), offsets)
                 hits = index.value.search(found.hashes(), found.first) if index is not None else {}
                 n_words += found.counts().tolist()
                 for d in range(hi - lo):

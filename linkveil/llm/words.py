@@ -48,6 +48,17 @@ def _power_tables(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _powers
 
 
+def fold_latin(data: np.ndarray) -> np.ndarray:
+    """The bytes with the two-byte capitals U+00C0 to U+00DE (but the multiplication sign) in lower case."""
+    lead = np.flatnonzero(data[:-1] == 0xC3) + 1
+    lead = lead[(data[lead] >= 0x80) & (data[lead] <= 0x9E) & (data[lead] != 0x97)]
+    if not len(lead):
+        return data
+    data = data.copy()
+    data[lead] += 0x20
+    return data
+
+
 def as_string(column: pa.Array | pa.ChunkedArray) -> pa.Array:
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
