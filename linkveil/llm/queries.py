@@ -6,13 +6,17 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from linkveil.llm import decontaminate, host_rules, near_duplicates, pieces, secrets, sql
+from linkveil.llm import decontaminate, host_rules, near_duplicates, pieces, secrets, spans, sql
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op6_sentence_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spans.remove(_table(spark, sf_dir, "documents"), keep=["doc_id", "text"])
+
+
 def op9_secret_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.find(_table(spark, sf_dir, "documents"))
 
@@ -37,6 +41,7 @@ def op10_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op4_sentencepiece": op4_sentencepiece,
     "op5_decontaminate": op5_decontaminate,
+    "op6_sentence_spans": op6_sentence_spans,
     "op7_host_rules": op7_host_rules,
     "op9_secret_scans": op9_secret_scans,
     "op10_near_duplicates": op10_near_duplicates,
