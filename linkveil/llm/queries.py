@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from linkveil.llm import decontaminate, host_rules, near_duplicates, pieces, secrets, spans, sql
+from linkveil.llm import decontaminate, host_rules, language, near_duplicates, pieces, secrets, spans, sql
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -17,6 +17,10 @@ def op6_sentence_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spans.remove(_table(spark, sf_dir, "documents"), keep=["doc_id", "text"])
 
 
+def op8_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language.identify(_table(spark, sf_dir, "documents"))
+
+
 def op9_secret_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.find(_table(spark, sf_dir, "documents"))
 
@@ -43,6 +47,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op5_decontaminate": op5_decontaminate,
     "op6_sentence_spans": op6_sentence_spans,
     "op7_host_rules": op7_host_rules,
+    "op8_language": op8_language,
     "op9_secret_scans": op9_secret_scans,
     "op10_near_duplicates": op10_near_duplicates,
 }
