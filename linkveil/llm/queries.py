@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from linkveil.llm import decontaminate, host_rules, language, near_duplicates, pieces, secrets, spans, sql
+from linkveil.llm import decontaminate, host_rules, language, near_duplicates, pieces, quality, secrets, spans, sql
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -29,6 +29,10 @@ def op7_host_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return host_rules.verdicts(_table(spark, sf_dir, "documents")).select("doc_id", *host_rules.MEASURES, "base_failed", "kept")
 
 
+def op2_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.score(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
+
+
 def op4_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
     encoded = pieces.encode(_table(spark, sf_dir, "documents"), keep=["doc_id"])
     return encoded.select("doc_id", "n_tokens", "token_ids", "round_trip")
@@ -43,6 +47,7 @@ def op10_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op2_quality": op2_quality,
     "op4_sentencepiece": op4_sentencepiece,
     "op5_decontaminate": op5_decontaminate,
     "op6_sentence_spans": op6_sentence_spans,
