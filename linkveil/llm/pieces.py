@@ -26,8 +26,8 @@ from pyspark.sql import functions as F
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 MARK = "▁"
-KEPT_WORDS = 600_000
-GROUP = 256
+KEPT_WORDS = 500_000
+GROUP = 1024
 
 
 class Vocabulary:
@@ -48,6 +48,7 @@ class Vocabulary:
         self.break_lines = not any("\n" in p for p in self.ids if len(p) > 1)
         self.cut = re.compile(r"\n| *[^ \n]+| +" if self.break_lines else r" *[^ ]+| +")
         self.apart: dict[tuple[str, str], bool] = {}
+        self.raw = {p: i.to_bytes(2, "little") for p, i in self.ids.items()}
         self.good = {p for p in self.ids if self.merge(p) == [p]}  # a piece that merging never makes can't end a path
 
     def __reduce__(self):
@@ -55,31 +56,36 @@ class Vocabulary:
 
     def merge(self, text: str) -> list[str]:
         """Merges by best score, leftmost first; for short strings."""
-        parts = list(text)
-        while len(parts) > 1:
-            best, at = -float("inf"), -1
-            for i in range(len(parts) - 1):
-                score = self.scores.get(parts[i] + parts[i + 1])
-                if score is not None and score > best:
-                    best, at = score, i
-            if at < 0:
-                break
+        parts, none = list(text), -float("inf")
+        score = self.scores.get
+        gains = [score(x + y, none) for x, y in zip(parts, parts[1:], strict=False)]
+        while gains and (best := max(gains)) > none:
+            at = gains.index(best)
             parts[at : at + 2] = [parts[at] + parts[at + 1]]
+            del gains[at]
+            if at:
+                gains[at - 1] = score(parts[at - 1] + parts[at], none)
+            if at < len(gains):
+                gains[at] = score(parts[at] + parts[at + 1], none)
         return parts
 
     def stay_apart(self, a: str, b: str) -> bool:
         known = self.apart.get((a, b))
         if known is None:
             known = self.merge(a + b) == [a, b]
-            if len(self.apart) < 1_000_000:
+            if len(self.apart) < 400_000:
                 self.apart[a, b] = known
         return known
 
+    def fall_back(self, piece: str) -> bytes:
+        """Ids of the bytes of a character that is no piece."""
+        return b"".join(self.byte_ids[b].to_bytes(2, "little") for b in piece.encode("utf-8", "surrogatepass"))
+
     def encode_words(self, words: list[str]) -> Iterator[tuple[str, bytes]]:
         """(word, its ids as two-byte numbers), for sorted marked words."""
         last: list[str] = [""]  # last[i]: the last piece of the word's first i characters
         before = ""
-        good, longest, apart = self.good, self.longest, self.apart
+        good, longest, apart, raw = self.good, self.longest, self.apart, self.raw
         for word in words:
             n, same = len(word), 0
             for x, y in zip(word, before, strict=False):
@@ -88,6 +94,24 @@ class Vocabulary:
                 same += 1
             del last[same + 1 :]
             for i in range(same + 1, n + 1):
+                # just one piece fits; mostly the last one grown by the character, or the character alone
+                end, prev = word[i - 1], last[-1]
+                piece = prev + end
+                if piece in good:
+                    j = i - len(piece)
+                    fits = j == 0 or apart.get((last[j], piece))
+                    if fits is None:
+                        fits = self.stay_apart(last[j], piece)
+                    if fits:
+                        last.append(piece)
+                        continue
+                if i > 1:
+                    fits = apart.get((prev, end))
+                    if fits is None:
+                        fits = self.stay_apart(prev, end)
+                    if fits:
+                        last.append(end)
+                        continue
                 for j in range(i - longest if i > longest else 0, i):
                     piece = word[j:i]
                     if piece in good or j == i - 1:
@@ -100,23 +124,25 @@ class Vocabulary:
             before = word
             path, i = [], n
             while i > 0:
-                path.append(last[i])
-                i -= len(last[i])
-            numbers: list[int] = []
-            for piece in reversed(path):
-                number = self.ids.get(piece)
-                numbers += [number] if number is not None else [self.byte_ids[b] for b in piece.encode("utf-8", "surrogatepass")]
-            yield word, np.array(numbers, dtype=np.uint16).tobytes()
-
-    def encode_texts(self, texts: list[str | None], known: dict[str, bytes]) -> list[np.ndarray | None]:
-        """Ids of each text. ``known``: ids of words met before, kept under KEPT_WORDS words."""
+                piece = last[i]
+                path.append(raw.get(piece) or self.fall_back(piece))
+                i -= len(piece)
+            path.reverse()
+            yield word, b"".join(path)
+
+    def encode_texts(self, texts: list[str | None], known: list[dict[str, bytes]]) -> list[np.ndarray | None]:
+        """Ids of each text. ``known``: ids of words met of late and before; the older half goes when both are full."""
         cut = [self.cut.findall(" " + t.replace(MARK, " ")) if t else [] for t in texts]
-        fresh = set().union(*cut) - known.keys()
-        if len(known) + len(fresh) > KEPT_WORDS:
-            known.clear()
-            fresh = set().union(*cut)
-        known.update((w.replace(MARK, " "), b) for w, b in self.encode_words(sorted(w.replace(" ", MARK) for w in fresh)))
-        return [None if t is None else np.frombuffer(b"".join(map(known.__getitem__, c)), dtype=np.uint16) for t, c in zip(texts, cut, strict=True)]
+        words = set().union(*cut)
+        if len(known[0]) > KEPT_WORDS // 2:
+            known[:] = [{}, known[0]]
+        new, old = known
+        words -= new.keys()
+        again = words & old.keys()
+        new.update(zip(again, map(old.__getitem__, again), strict=True))
+        fresh = sorted(w.replace(" ", MARK) for w in words - again)
+        new.update((w.replace(MARK, " "), b) for w, b in self.encode_words(fresh))
+        return [None if t is None else np.frombuffer(b"".join(map(new.__getitem__, c)), dtype="<u2") for t, c in zip(texts, cut, strict=True)]
 
     def decode(self, ids: list[int]) -> str:
         raw = b"".join(map(self.bytes_of.__getitem__, ids))
@@ -135,12 +161,12 @@ def read_pieces(path: str = MODEL) -> list[tuple[str, float, str]]:
 _cache: dict = {}
 
 
-def _loaded(broadcast) -> tuple[Vocabulary, dict[str, bytes]]:
+def _loaded(broadcast) -> Vocabulary:
     """One vocabulary for each Python worker and broadcast."""
     pieces = broadcast.value
     if _cache.get("of") is not pieces:
-        _cache.update(of=pieces, vocabulary=Vocabulary(pieces), known={})
-    return _cache["vocabulary"], _cache["known"]
+        _cache.update(of=pieces, vocabulary=Vocabulary(pieces))
+    return _cache["vocabulary"]
 
 
 def _ids_array(ids: list[np.ndarray | None]) -> pa.Array:
@@ -153,7 +179,8 @@ def _ids_array(ids: list[np.ndarray | None]) -> pa.Array:
 
 def _encoder(broadcast, keep: list[str]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        vocabulary, known = _loaded(broadcast)
+        vocabulary = _loaded(broadcast)
+        known: list[dict[str, bytes]] = [{}, {}]
         for batch in batches:
             for lo in range(0, batch.num_rows, GROUP):
                 part = batch.slice(lo, GROUP)
@@ -184,7 +211,7 @@ def decode(encoded: DataFrame, model: str = MODEL, column: str = "token_ids") ->
 
     @F.pandas_udf("string")
     def text(ids):
-        vocabulary, _ = _loaded(broadcast)
+        vocabulary = _loaded(broadcast)
         return ids.map(lambda x: None if x is None else vocabulary.decode(x))
 
     return encoded.withColumn("decoded", text(F.col(column)))
