@@ -38,3 +38,11 @@ def local_session(name: str = "linkveil", cores: str = "8", partitions: int = 8)
         .config("spark.cleaner.referenceTracking.cleanCheckpoints", "true")
         .getOrCreate()
     )
+
+
+def bounded_batches(spark: SparkSession, rows: int = 2000) -> None:
+    """At most ``rows`` rows in an Arrow batch from here on: with whole texts, batches of 10,000 rows take too much memory on
+    both sides.  This is a setting that sessions may change at any time; a smaller value stays."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(name, "10000")) <= rows:
+        spark.conf.set(name, str(rows))
