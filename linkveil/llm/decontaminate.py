@@ -26,6 +26,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from linkveil.llm import words as W
+from linkveil.llm.dropping import drop_keys
+from linkveil.session import bounded_batches
 
 SPAN = 12
 #: Fixed masks: the words of a span that a seed reads.
@@ -126,6 +128,7 @@ class Index:
 
 
 def _searcher(index):
+    @W.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             n_words, items, longest = [], [], []
@@ -147,6 +150,7 @@ def _searcher(index):
 
 def find(docs: DataFrame, items: DataFrame, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """doc_id, n_words, item_ids (sorted), overlap (words of the longest stretch), contaminated: one row a doc_id."""
+    bounded_batches(docs.sparkSession)
     context = docs.sparkSession.sparkContext
     items = items.select(F.col("item_id").cast("long"), F.col("text").cast("string")).where("item_id IS NOT NULL AND text IS NOT NULL")
     blocks = max(1, math.ceil((items.agg(F.sum(F.octet_length("text"))).first()[0] or 0) / block_bytes))
@@ -173,5 +177,4 @@ def find(docs: DataFrame, items: DataFrame, block_bytes: int = BLOCK_BYTES) -> D
 
 def clean(docs: DataFrame, items: DataFrame) -> DataFrame:
     """The documents without an overlap, with the columns of ``docs``."""
-    bad = find(docs, items).where("contaminated").select(F.col("doc_id").alias("bad_id"))
-    return docs.join(bad, docs["doc_id"] == F.col("bad_id"), "left_anti")
+    return drop_keys(docs, "doc_id", find(docs, items).where("contaminated").select("doc_id"))

@@ -19,7 +19,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from linkveil.llm import words as W
-from linkveil.session import durable
+from linkveil.llm.dropping import drop_keys
+from linkveil.session import bounded_batches, durable
 
 WINDOW = 5
 SYMBOLS = np.zeros(256, dtype=bool)
@@ -81,6 +82,7 @@ def repeated_words(words: W.Words) -> np.ndarray:
     return np.cumsum(cover[:-1]) > 0
 
 
+@W.tidy
 def _measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         parts = [measures(data, offsets) for _, _, data, offsets in W.slices(batch.column("text"))]
@@ -93,6 +95,7 @@ def _measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def measure(docs: DataFrame) -> DataFrame:
     """doc_id, source and the five measures of each text."""
+    bounded_batches(docs.sparkSession)
     return docs.select(F.col("doc_id").cast("long"), F.col("source").cast("string"), F.col("text").cast("string")).mapInArrow(
         _measure, "doc_id long, source string, " + ", ".join(f"{m} long" for m in MEASURES)
     )
@@ -151,6 +154,7 @@ def verdicts(docs: DataFrame, max_host_rate: float = 0.5) -> DataFrame:
 
 
 def _passer(min_words: int, max_repeat_percent: int):
+    @W.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             parts = [measures(data, offsets) for _, _, data, offsets in W.slices(batch.column("text"))]
@@ -165,12 +169,8 @@ def _passer(min_words: int, max_repeat_percent: int):
 def apply(docs: DataFrame, max_host_rate: float = 0.5, min_words: int = 10, max_repeat_percent: int = 20) -> DataFrame:
     """The documents that the rules keep, with the columns of ``docs``.
 
-    Only the hosts that are rejected are joined to the texts, again with a salt; those are few, so Spark mostly sends
-    them to the tasks and the texts stay where they are.
+    Only the hosts that are rejected are joined to the texts, so texts are shuffled only if those are very many.
     """
     measured = measure(docs).withColumn("base_failed", base_failed(min_words, max_repeat_percent))
     bad = host_rates(durable(measured.select("source", "base_failed"))).where(F.col("host_rate") > max_host_rate)
-    bad = bad.select(F.col("source").alias("__host"), F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("__salt"))
-    passed = docs.mapInArrow(_passer(min_words, max_repeat_percent), docs.schema)
-    salt = F.pmod(F.xxhash64(passed["doc_id"]), F.lit(SALTS)).cast("int")
-    return passed.join(bad, (passed["source"].cast("string") == F.col("__host")) & (salt == F.col("__salt")), "left_anti")
+    return drop_keys(docs.mapInArrow(_passer(min_words, max_repeat_percent), docs.schema), "source", bad.select("source"))

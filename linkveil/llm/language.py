@@ -189,6 +189,7 @@ def held_out():
     return F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 3 == 1, F.lit(True))
 
 
+@W.tidy
 def _word_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Words of the sample by language, added up within each batch."""
     for batch in batches:
@@ -242,6 +243,7 @@ def _loaded(broadcast) -> Model:
 
 
 def _predictor(broadcast, n_languages: int):
+    @W.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             best, score = ["und"] * batch.num_rows, np.zeros(batch.num_rows)

@@ -8,9 +8,15 @@
    no error is allowed, and 13 chunks of 4, where one is.  By the pigeonhole principle (4 * 1 + 13 * 2 = LIMIT + 1)
    every pair within LIMIT agrees in some chunk up to its allowed errors.  Errors are enumerated by leaving out each
    symbol in turn: 4 + 13 * 4 = 56 keys of three symbols (48 bits).  ``candidate`` pairs share a key.
-4. Groups of near copies may be very large, so pairs in a bucket are not all written out.  First each document is
-   compared with the nearest of the smallest members of its buckets; that joins a group to its first member.  Then only
-   pairs of a bucket that are still in different components, within LIMIT and of fitting sizes leave the join.
+4. Groups of near copies may be very large, so pairs in a bucket are not all written out.  Each document has a hub: of
+   the most crowded members of its buckets the most crowded one.  Each is compared with its hub on the full sets, which
+   joins most of a group.  Shingles outside the hub that over HOT documents of the group have are taken to the hub's:
+   together they are the group's common set.  The CENTRAL documents with most of it and least else are compared with the
+   group as well.  For each document let c be the size of its intersection with the common set.  Two documents x and y
+   of a group share min(c(x), c(y)) shingles of the common set at most, so a link between different components either
+   shares shingles outside of it (found by an equi-join on hub and shingle, counted; at most HOT documents have one), or c
+   suffices alone (joined on the hub, between documents outside the group's main component and the rest).  Pairs of a
+   bucket with different hubs, in different components, within LIMIT and of fitting sizes are candidates as well.
 5. Each link is confirmed on the full sets: 100 * intersection >= 75 * union.
 
 Defined cases: null, empty and blank texts have the empty set, are linked with nothing and kept.  Rows that share a
@@ -26,16 +32,20 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from linkveil.llm import words as W
 from linkveil.llm.components import components
-from linkveil.session import durable
+from linkveil.llm.dropping import drop_keys
+from linkveil.session import bounded_batches, durable
 
 SHINGLE = 5
 PERCENT = 75
 SYMBOLS = 64
 LANES = SYMBOLS // 4
 LIMIT = 29
+HOT = 32
+CENTRAL = 3
 EXACT_CHUNKS, LOOSE_CHUNKS = 4, 13
 SALTS = 32
 _MULTIPLIERS = np.random.default_rng(7).integers(1, 2**63, SYMBOLS, dtype=np.uint64) * W.U(2) + W.U(1)
@@ -83,6 +93,7 @@ def signatures(keys: np.ndarray, begin: np.ndarray) -> tuple[np.ndarray, np.ndar
     return sums, lanes
 
 
+@W.tidy
 def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         n = batch.num_rows
@@ -105,14 +116,14 @@ def sign(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(_sign, schema)
 
 
+@W.tidy
 def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        sets = []
-        for _, _, data, offsets in W.slices(batch.column("text")):
+        for first, end, data, offsets in W.slices(batch.column("text")):
             keys, begin = shingle_sets(data, offsets)
             raw = keys.tobytes()
-            sets += [raw[8 * lo : 8 * hi] for lo, hi in zip(begin[:-1].tolist(), begin[1:].tolist(), strict=True)]
-        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(sets, pa.binary())], names=["id", "shingles"])
+            sets = [raw[8 * lo : 8 * hi] for lo, hi in zip(begin[:-1].tolist(), begin[1:].tolist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(first, end - first), pa.array(sets, pa.binary())], names=["id", "shingles"])
 
 
 def chunk_keys() -> list[Column]:
@@ -150,6 +161,7 @@ def sizes_fit(a: Column, b: Column) -> Column:
     return (F.least(a, b) * 100 >= F.greatest(a, b) * PERCENT)
 
 
+@W.tidy
 def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         good = []
@@ -174,37 +186,118 @@ def classes(signed: DataFrame) -> DataFrame:
     )
 
 
+def enough(common: Column, a: Column, b: Column) -> Column:
+    """Whether sets of sizes a and b with so many elements in common are linked: Jaccard p / 100 means (100 + p) common >= p (a + b)."""
+    return common * (100 + PERCENT) >= (a + b) * PERCENT
+
+
+@W.tidy
+def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        n, n_hub, common, extra = [], [], [], []
+        for x, h in zip(batch.column("own_set"), batch.column("hub_set"), strict=True):
+            x, h = np.frombuffer(x.as_buffer(), dtype=np.uint64), np.frombuffer(h.as_buffer(), dtype=np.uint64)
+            at = np.minimum(np.searchsorted(h, x), len(h) - 1)
+            shared = h[at] == x
+            n.append(len(x))
+            n_hub.append(len(h))
+            common.append(int(shared.sum()))
+            extra.append(x[~shared].view(np.int64))
+        yield pa.RecordBatch.from_arrays(
+            [batch.column("id"), batch.column("hub"), pa.array(n, pa.int64()), pa.array(n_hub, pa.int64()), pa.array(common, pa.int64()), pa.array(extra, pa.list_(pa.int64()))],
+            names=["id", "hub", "n", "n_hub", "c", "extra"],
+        )
+
+
+def hubs(members: DataFrame) -> DataFrame:
+    """(id, hub) from (key, id, n): of the leaders of an id's buckets the one with most neighbours; ties to the smallest id."""
+    crowd = members.groupBy("id").agg(F.sum("n").alias("crowd"))
+    leaders = members.join(crowd, "id").groupBy("key").agg(F.max(F.struct("crowd", (-F.col("id")).alias("minus"))).alias("leader"))
+    best = members.select("key", "id").join(leaders, "key").groupBy("id").agg(F.max("leader").alias("leader"))
+    return best.select("id", (-F.col("leader.minus")).alias("hub"))
+
+
+def with_common_sets(compared: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(id, hub, n, c) with c against the group's common set, and (hub, id, shingle) outside of it that two documents or more have."""
+    each = compared.select("hub", "id", F.explode("extra").alias("shingle"))
+    counts = each.groupBy("hub", "shingle").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
+    shared = durable(each.join(counts, ["hub", "shingle"]))
+    hot = shared.where(F.col("df") > HOT).groupBy("id").agg(F.count(F.lit(1)).alias("hot"))
+    sizes = compared.select("id", "hub", "n", "c").join(hot, "id", "left")
+    sizes = sizes.select("id", "hub", "n", (F.col("c") + F.coalesce("hot", F.lit(0))).alias("c"))
+    return durable(sizes), shared.where(F.col("df") <= HOT).drop("df")
+
+
+def central_pairs(placed: DataFrame) -> DataFrame:
+    """(a, b): each document with the CENTRAL ones of its hub, where components differ."""
+    order = Window.partitionBy("hub").orderBy(F.desc(2 * F.col("c") - F.col("n")), "id")
+    best = placed.withColumn("place", F.row_number().over(order)).where(F.col("place") <= CENTRAL)
+    best = best.select("hub", F.col("id").alias("a"), F.col("root").alias("a_root"))
+    return placed.join(best, "hub").where("root <> a_root").select("a", F.col("id").alias("b"))
+
+
+def open_pairs(placed: DataFrame, shared: DataFrame, nodes: DataFrame) -> DataFrame:
+    """Pairs (a, b) of one hub and of different components that may yet be linked."""
+    rare = shared.join(placed, ["hub", "id"])
+    x, y = rare.alias("x"), rare.alias("y")
+    same = (F.col("x.hub") == F.col("y.hub")) & (F.col("x.shingle") == F.col("y.shingle"))
+    sharing = x.join(y, same & (F.col("x.id") < F.col("y.id")) & (F.col("x.root") != F.col("y.root")))
+    sharing = sharing.groupBy(F.col("x.id").alias("a"), F.col("y.id").alias("b")).agg(
+        F.count(F.lit(1)).alias("k"), F.first(F.least("x.c", "y.c")).alias("c"), F.first("x.n").alias("n"), F.first("y.n").alias("m")
+    ).where(enough(F.col("k") + F.col("c"), F.col("n"), F.col("m")))
+
+    parts = placed.groupBy("hub", "root").agg(F.min("n").alias("least_n"), F.count(F.lit(1)).alias("size"))
+    group = parts.groupBy("hub").agg(F.min("least_n").alias("least_n"), F.max_by("root", F.struct("size", "root")).alias("main"))
+    full = placed.join(group, "hub").where(enough(F.col("c"), F.col("n"), F.col("least_n")))
+    full = full.join(nodes.select("id", "n_shingles", *SIGNATURE), "id")
+    x, y = full.where("root <> main").alias("x"), full.alias("y")
+    apart = (F.col("x.root") != F.col("y.root")) & ((F.col("y.root") == F.col("y.main")) | (F.col("x.id") < F.col("y.id")))
+    may = enough(F.least("x.c", "y.c"), F.col("x.n"), F.col("y.n")) & (distance("x", "y") <= LIMIT)
+    alone = x.join(y, (F.col("x.hub") == F.col("y.hub")) & apart & may)
+    return sharing.select("a", "b").unionAll(alone.select(F.col("x.id").alias("a"), F.col("y.id").alias("b")))
+
+
 def links(nodes: DataFrame, docs: DataFrame) -> DataFrame:
     """Confirmed links (a, b) between classes, enough of them to join all that are linked."""
     keyed = nodes.select("id", F.explode(F.array(*chunk_keys())).alias("key"))
-    buckets = keyed.groupBy("key").agg(F.min("id").alias("leader"), F.count(F.lit(1)).alias("n")).where("n > 1")
-    members = durable(keyed.join(buckets.select("key", "leader"), "key"))
-    bare = nodes.drop("h1", "h2")
+    buckets = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    members = durable(keyed.join(buckets, "key"))
+    chosen = durable(hubs(members))
 
-    wanted = members.select("id").distinct().select(F.col("id").alias("doc_id"))
     texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
+    wanted = chosen.select(F.col("id").alias("doc_id"))
     sets = durable(
         texts.join(wanted.hint("shuffle_hash"), "doc_id", "left_semi").mapInArrow(_sets, "id long, shingles binary")
     )
-
-    near = (distance("x", "y") <= LIMIT) & sizes_fit(F.col("x.n_shingles"), F.col("y.n_shingles"))
-    stars = members.where("id <> leader").select("id", "leader").distinct()
-    stars = stars.join(bare.alias("x"), "id").join(bare.withColumnRenamed("id", "leader").alias("y"), "leader").where(near)
-    stars = stars.groupBy(F.col("x.id").alias("b")).agg(F.min_by("leader", F.struct(distance("x", "y"), "leader")).alias("a"))
-    first = durable(confirm(stars.select("a", "b"), sets))
-
+    own = chosen.where("id <> hub").join(sets.withColumnRenamed("shingles", "own_set"), "id")
+    both = own.join(sets.withColumnsRenamed({"id": "hub", "shingles": "hub_set"}), "hub")
+    compared = durable(
+        both.select("id", "hub", "own_set", "hub_set").mapInArrow(_compare, "id long, hub long, n long, n_hub long, c long, extra array<long>")
+    )
+    first = compared.where(enough(F.col("c"), F.col("n"), F.col("n_hub"))).select(F.col("id").alias("a"), F.col("hub").alias("b"))
     roots = components(first)
-    placed = members.join(roots, "id", "left").select("key", "id", F.coalesce("root", "id").alias("root"))
-    open_keys = placed.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select("key")
-    rest = placed.join(open_keys, "key", "left_semi").join(bare, "id")
+    sizes, shared = with_common_sets(compared)
+    placed = sizes.join(roots, "id", "left").withColumn("root", F.coalesce("root", "id"))
+    second = durable(first.unionAll(confirm(central_pairs(placed), sets)))
+    roots = components(second)
+    placed = durable(sizes.join(roots, "id", "left").withColumn("root", F.coalesce("root", "id")))
+
+    where = members.select("key", "id").join(chosen, "id").join(roots, "id", "left").withColumn("root", F.coalesce("root", "id"))
+    spread = [f(c).alias(f"{f.__name__}_{c}") for c in ("root", "hub") for f in (F.min, F.max)]
+    mixed = where.groupBy("key").agg(*spread).where("min_root <> max_root AND min_hub <> max_hub").select("key")
+    rest = where.join(mixed, "key", "left_semi").join(nodes.drop("h1", "h2"), "id")
     x, y = rest.alias("x"), rest.alias("y")
-    apart = (F.col("x.key") == F.col("y.key")) & (F.col("x.root") < F.col("y.root"))
-    pairs = x.join(y, apart & near).select(F.col("x.id").alias("a"), F.col("y.id").alias("b")).distinct()
-    return first.unionAll(confirm(pairs, sets))
+    apart = (F.col("x.key") == F.col("y.key")) & (F.col("x.id") < F.col("y.id")) & (F.col("x.root") != F.col("y.root"))
+    apart &= (F.col("x.hub") != F.col("y.hub")) & (F.col("x.hub") != F.col("y.id")) & (F.col("y.hub") != F.col("x.id"))
+    near = (distance("x", "y") <= LIMIT) & sizes_fit(F.col("x.n_shingles"), F.col("y.n_shingles"))
+    across = x.join(y, apart & near).select(F.col("x.id").alias("a"), F.col("y.id").alias("b"))
+    pairs = across.unionAll(open_pairs(placed, shared, nodes)).distinct()
+    return second.unionAll(confirm(pairs, sets))
 
 
 def find(docs: DataFrame) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest doc_id that links reach), kept (the document is that one)."""
+    bounded_batches(docs.sparkSession)
     signed = durable(sign(docs))
     nodes = durable(classes(signed))
     roots = components(links(nodes, docs))
@@ -222,5 +315,4 @@ def find(docs: DataFrame) -> DataFrame:
 
 def keep_one(docs: DataFrame) -> DataFrame:
     """One document of each component, with the columns of ``docs``."""
-    gone = find(docs).where("NOT kept").select(F.col("doc_id").alias("gone_id"))
-    return docs.join(gone, docs["doc_id"] == F.col("gone_id"), "left_anti")
+    return drop_keys(docs, "doc_id", find(docs).where("NOT kept").select("doc_id"))

@@ -24,10 +24,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from linkveil.llm import words as W
+from linkveil.session import bounded_batches
+
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 MARK = "▁"
-KEPT_WORDS = 500_000
-GROUP = 1024
+KEPT_WORDS = 300_000
+GROUP = 768
 
 
 class Vocabulary:
@@ -73,7 +76,7 @@ class Vocabulary:
         known = self.apart.get((a, b))
         if known is None:
             known = self.merge(a + b) == [a, b]
-            if len(self.apart) < 400_000:
+            if len(self.apart) < 200_000:
                 self.apart[a, b] = known
         return known
 
@@ -178,6 +181,7 @@ def _ids_array(ids: list[np.ndarray | None]) -> pa.Array:
 
 
 def _encoder(broadcast, keep: list[str]):
+    @W.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         vocabulary = _loaded(broadcast)
         known: list[dict[str, bytes]] = [{}, {}]
@@ -199,6 +203,7 @@ def encode(docs: DataFrame, keep: list[str] | None = None, model: str = MODEL) -
     """The columns ``keep`` (all but own results by default; ``text`` as decoded from its ids), n_tokens, token_ids, round_trip."""
     own = ["n_tokens", "token_ids", "round_trip"]
     keep = [c for c in docs.columns if c not in own] if keep is None else keep
+    bounded_batches(docs.sparkSession)
     broadcast = docs.sparkSession.sparkContext.broadcast(read_pieces(model))
     source = docs.select(*dict.fromkeys([*keep, "text"]))
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(*keep).schema)

@@ -63,6 +63,7 @@ def statistics(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     return np.stack(table, axis=1).astype(np.float64)
 
 
+@W.tidy
 def _measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         parts = [statistics(data, offsets) for _, _, data, offsets in W.slices(batch.column("text"))]
@@ -98,6 +99,7 @@ def _matrix(batch: pa.RecordBatch) -> np.ndarray:
 def _equations(fourier: Fourier):
     """Normal equations of each fold: z'z with z'y as its last row."""
 
+    @W.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         totals: dict[int, np.ndarray] = {}
         for batch in batches:
@@ -116,6 +118,7 @@ def _equations(fourier: Fourier):
 def _binned(fourier: Fourier, weights: list[np.ndarray]):
     """Rows and labels 1 by bin of the score that the other fold's model gives."""
 
+    @W.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros((2, BINS))
         for batch in batches:
@@ -186,6 +189,7 @@ def fit(measured: DataFrame, labels: DataFrame) -> Model | None:
 
 
 def _scorer(model: Model | None, threshold: float):
+    @W.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             score = np.full(batch.num_rows, 0.5) if model is None else np.clip(model.scores(_matrix(batch)), 0, 1)

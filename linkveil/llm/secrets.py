@@ -26,6 +26,7 @@ from pyspark.sql import functions as F
 
 from linkveil.cart import grow_forest, predict_forest
 from linkveil.llm import words as W
+from linkveil.session import bounded_batches
 
 MIN_RUN = 16
 THRESHOLD = 0.5
@@ -272,6 +273,7 @@ _FOUND = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64()), ("kind"
 
 
 def _finder(trees, threshold: float):
+    @W.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             found = _scanned(batch, trees)
@@ -283,6 +285,7 @@ def _finder(trees, threshold: float):
 
 def find(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """doc_id, findings (start, end, kind, score, is_secret of every candidate), n_candidates, n_secrets: a row for each document."""
+    bounded_batches(docs.sparkSession)
     kind = "array<struct<start: long, end: long, kind: string, score: double, is_secret: boolean>>"
     found = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(_finder(forest(), threshold), f"doc_id long, findings {kind}")
     secrets = F.size(F.filter("findings", lambda f: f["is_secret"]))
@@ -290,6 +293,7 @@ def find(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
 
 
 def _masker(trees, threshold: float):
+    @W.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             found = {i: [x for x in f if x[3] >= threshold] for i, f in _scanned(batch, trees).items()}
@@ -312,4 +316,5 @@ def _masker(trees, threshold: float):
 
 def redact(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """The documents with MASK in place of each secret (``n_chars``, where there is one, follows); other columns as they are."""
+    bounded_batches(docs.sparkSession)
     return docs.mapInArrow(_masker(forest(), threshold), docs.schema)

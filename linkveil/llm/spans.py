@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from linkveil.llm import words as W
-from linkveil.session import durable
+from linkveil.session import bounded_batches, durable
 
 MIN_WORDS = 25
 LONG = 20
@@ -77,6 +77,7 @@ class Sentences:
         return doc[a], a, b, W.mix((sums[hi] - sums[lo]) * down[lo] + (hi - lo).astype(np.uint64))
 
 
+@W.tidy
 def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         ids = batch.column("doc_id")
@@ -106,6 +107,7 @@ def later_places(docs: DataFrame) -> DataFrame:
 
 
 def _remover(keep: list[str]):
+    @W.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             n = batch.num_rows
@@ -149,6 +151,7 @@ def remove(docs: DataFrame, keep: list[str] | None = None) -> DataFrame:
     """The columns ``keep`` (all but own results by default) with ``text`` less its repeats, n_sentences, n_removed, removed_words."""
     own = ["n_sentences", "n_removed", "removed_words", "__cuts"]
     keep = [c for c in docs.columns if c not in own] if keep is None else keep
+    bounded_batches(docs.sparkSession)
     cuts = durable(later_places(docs)).select(F.col("doc_id").alias("__id"), F.col("cuts").alias("__cuts"))
     rows = docs.select(*dict.fromkeys([*keep, "doc_id", "text"]))
     joined = rows.join(cuts.hint("shuffle_hash"), rows["doc_id"].cast("long").eqNullSafe(F.col("__id")), "left").drop("__id")

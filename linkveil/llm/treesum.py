@@ -9,6 +9,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from linkveil.llm import words as W
 from linkveil.session import durable
 
 SCHEMA = "slot int, total binary"
@@ -22,6 +23,7 @@ def emit(totals: dict[int, np.ndarray]) -> pa.RecordBatch:
     )
 
 
+@W.tidy
 def _add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     totals: dict[int, np.ndarray] = {}
     for batch in batches:

@@ -9,12 +9,15 @@ one with a chance of about (number of words)^2 / 2^65.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import ctypes
+import functools
+import gc
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 
-SLICE = 1 << 21
+SLICE = 1 << 20
 U = np.uint64
 
 SPACE = np.zeros(256, dtype=bool)
@@ -28,6 +31,24 @@ _BASE_INVERSE = U(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
 _powers = np.ones(1, dtype=np.uint64), np.ones(1, dtype=np.uint64)
 
 
+def tidy(run: Callable) -> Callable:
+    """Wraps a function of Arrow batches: at its end freed memory goes back to the system, since Python workers outlive their tasks."""
+
+    @functools.wraps(run)
+    def wrapped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from run(batches)
+        finally:
+            gc.collect()
+            pa.default_memory_pool().release_unused()
+            try:
+                ctypes.CDLL(None).malloc_trim(0)
+            except (OSError, AttributeError):
+                pass  # another C library
+
+    return wrapped
+
+
 def mix(x: np.ndarray) -> np.ndarray:
     """Finaliser of a 64-bit hash: every input bit reaches every output bit."""
     x = x ^ (x >> U(33))
