@@ -7,6 +7,7 @@ import difflib
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from linkveil.functions.crypto import uniform
 
@@ -45,7 +46,7 @@ def _aligned(a: str | None, b: str | None) -> str | None:
     return "".join(out)
 
 
-@F.pandas_udf("string")
+@F.pandas_udf(T.StringType())
 def mask_aligned(left: pd.Series, right: pd.Series) -> pd.Series:
     """Like ``mask_positions``, but after aligning the values, so that an inserted letter doesn't unmask what follows."""
     return pd.Series([_aligned(a, b) for a, b in zip(left, right, strict=True)])

@@ -52,13 +52,13 @@ vocabulary AS (
   SELECT o_orderkey AS entity_id, c_nationkey, n_name, {sizes},
          CASE WHEN {u('o_orderkey', 'hh')} < 0.5 THEN 'h' || o_custkey ELSE o_orderkey::VARCHAR END AS shared_key
   FROM orders JOIN customer ON c_custkey = o_custkey JOIN nation ON n_nationkey = c_nationkey
-), drawn AS (
+), picks AS (
   SELECT *, {_draw(u(k, 'FN'), size['FN'])} AS r_fn, {_draw(u(k, 'MN'), size['MN'])} AS r_mn, {_draw(u(sh, 'LN'), size['LN'])} AS r_ln, {_draw(u(sh, 'CITY'), size['CITY'])} AS r_city,
          {_draw(u(k, 'MNo'), size['MN'])} AS o_mn, {_draw(u(k, 'LNo'), size['LN'])} AS o_ln, floor(greatest(v_city - 1, 1) * {u(k, 'CITYo')})::INT AS o_city
   FROM people
 ), ranks AS (
   SELECT *, CASE WHEN o_mn = r_mn THEN (o_mn + 1) % v_mn ELSE o_mn END AS b_mn, CASE WHEN o_ln = r_ln THEN (o_ln + 1) % v_ln ELSE o_ln END AS b_ln,
-         (r_city + 1 + o_city) % v_city AS b_city FROM drawn
+         (r_city + 1 + o_city) % v_city AS b_city FROM picks
 ), base AS (
   SELECT entity_id, fr.token AS FN, CASE WHEN {u(k, 'MNmiss')} >= {MISSING_MN} THEN es.token END AS MN, en.token AS LN,
          (1930 + floor(75 * {u(k, 'YOB')}))::BIGINT::VARCHAR AS YOB, de.token AS CITY, {zip_of('r_city', 'ZIP')} AS ZIP,
