@@ -54,9 +54,14 @@ def _joined(left: DataFrame, masks: DataFrame, on: list[str], rows: int | None)
 
 
 def _combine(rows: DataFrame, by: Sequence[str], m: int) -> DataFrame:
-    names = bits.names(m)
-    merged = rows.groupBy(*by).agg(*(F.bit_or(w).alias(w) for w in names))
-    return merged.withColumn("ones", bits.popcount([F.col(w) for w in names]).cast("int"))
+    """Bits of each group and their number.
+
+    ``ones`` is computed inside the aggregation: as a projection over the words it would become a constraint of the plan, of
+    which the optimiser keeps a variant for each set of words that a later step renames.
+    """
+    merged = [F.bit_or(w) for w in bits.names(m)]
+    ones = bits.popcount(merged).cast("int").alias("ones")
+    return rows.groupBy(*by).agg(*(x.alias(w) for x, w in zip(merged, bits.names(m), strict=True)), ones)
 
 
 def gram_masks(found: DataFrame, by: Sequence[str], key: Column, h: Column | int, m: int, family: str = "random", most: int = 48) -> DataFrame:

@@ -25,9 +25,11 @@ def query(sql: str | None = None):
     return register
 
 
-def _events(spark, sf_dir, per_trigger=None):
-    path = f"{sf_dir}/events.parquet"
-    return link.event_stream(spark, path, spark.read.parquet(path).schema, per_trigger)
+def _events(spark, sf_dir, where):
+    """The events as a stream of four files in order of time, two to a micro-batch."""
+    events = surrounding.events(spark, sf_dir)
+    events.repartitionByRange(4, "ts").write.parquet(f"{where}/in")
+    return link.event_stream(spark, f"{where}/in", events.schema, 2)
 
 
 @query(linkage.ORACLE_SQL["threshold_predictions"])
@@ -45,7 +47,7 @@ def stream_incremental(spark, sf_dir):
 def stream_throughput(spark, sf_dir):
     """Hourly counts of a stream in complete mode."""
     where = link.folder(spark, "throughput")
-    link.run_batches(link.throughput(_events(spark, sf_dir)), link.keep_last(where), where, "complete")
+    link.run_batches(link.throughput(_events(spark, sf_dir, where)), link.keep_last(where), where, "complete")
     out = spark.read.parquet(f"{where}/out")
     return out.select(F.col("hour").cast("timestamp_ntz").alias("hour"), "event_type", "n")
 
@@ -53,7 +55,7 @@ def stream_throughput(spark, sf_dir):
 @query(surrounding.ORACLE_SQL["op_sessions"])
 def stream_sessions(spark, sf_dir):
     where = link.folder(spark, "sessions")
-    link.run_batches(link.sessions(_events(spark, sf_dir)), link.keep_last(where), where, "complete")
+    link.run_batches(link.sessions(_events(spark, sf_dir, where)), link.keep_last(where), where, "complete")
     return spark.read.parquet(f"{where}/out").groupBy("user_id").agg(F.count(F.lit(1)).alias("sessions"))
 
 
@@ -61,7 +63,7 @@ def stream_sessions(spark, sf_dir):
 def stream_replies(spark, sf_dir):
     """Stream-stream interval join of requests and replies."""
     where = link.folder(spark, "replies")
-    link.run_batches(link.answered(_events(spark, sf_dir), "click", "purchase"), link.append_to(where), where)
+    link.run_batches(link.answered(_events(spark, sf_dir, where), "click", "purchase"), link.append_to(where), where)
     return spark.read.parquet(f"{where}/out").select("request", "reply")
 
 
@@ -69,18 +71,19 @@ def stream_replies(spark, sf_dir):
 def stream_request_ttl(spark, sf_dir):
     """Open, completed and expired requests by user, from a custom state."""
     where = link.folder(spark, "ttl")
-    link.run_batches(link.request_states(_events(spark, sf_dir), "click", "purchase"), link.append_to(where), where, "update")
+    link.run_batches(link.request_states(_events(spark, sf_dir, where), "click", "purchase"), link.append_to(where), where, "update")
     return spark.read.parquet(f"{where}/out").select("user_id", "open", "completed", "expired")
 
 
 @query()
 def stream_late_replies(spark, sf_dir):
-    """Later events first, earlier ones in the next micro-batches: rows behind the watermark are dropped and counted."""
+    """The newer half of the events first, then the older ones in two micro-batches: rows that are behind the watermark of the
+    micro-batch before are dropped and counted."""
     where = link.folder(spark, "late")
     events = surrounding.events(spark, sf_dir)
-    middle = events.agg(F.percentile_approx(F.col("ts").cast("timestamp").cast("double"), 0.5)).first()[0]
-    late = F.col("ts").cast("timestamp").cast("double") < middle
-    for name, part in (("a", events.where(~late)), ("b", events.where(late))):
+    at = F.col("ts").cast("timestamp").cast("double")
+    low, middle = events.agg(F.percentile_approx(at, [0.25, 0.5])).first()[0]
+    for part in (events.where(at >= middle), events.where((at >= low) & (at < middle)), events.where(at < low)):
         part.coalesce(1).write.mode("append").parquet(f"{where}/in")
     stream = link.event_stream(spark, f"{where}/in", events.schema, 1)
     progress = link.run_batches(link.throughput(stream, delay="1 hour"), link.append_to(where), where)
