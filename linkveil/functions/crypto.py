@@ -7,6 +7,8 @@ Pair keys use the letters g to v in place of hex digits.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -31,6 +33,11 @@ def hmac_sha256(message: Column, key: Column | str) -> Column:
     return F.sha2(F.concat(outer, F.unhex(inner)), 256)
 
 
+def let(value: Column, use: Callable[[Column], Column]) -> Column:
+    """``use`` of a value that is computed once, also where ``use`` has it inside another lambda."""
+    return F.transform(F.array(value), use)[0]
+
+
 def positions(seed: Column, h: Column | int, m: Column | int, family: str = "random", most: int = 48) -> Column:
     """``h`` pseudo-random positions below ``m`` from a hex seed.
 
@@ -39,13 +46,15 @@ def positions(seed: Column, h: Column | int, m: Column | int, family: str = "ran
     """
     h, m = (F.lit(x) if isinstance(x, int) else x for x in (h, m))
     if family == "double":
-        part = lambda k: F.conv(F.substring(seed, 1 + 8 * k, 8), 16, 10).cast("long")
-        step = (part(1) * 2 + 1) % m
-        return F.transform(F.sequence(F.lit(0), h - 1), lambda i: ((part(0) + i * step) % m).cast("int"))
-    stream = F.concat(*(F.sha2(F.concat(seed, F.lit(f"|{k}")).cast("binary"), 256) for k in range((most + SLICES - 1) // SLICES)))
-    return F.transform(
-        F.sequence(F.lit(0), h - 1), lambda i: (F.conv(F.substr(stream, 1 + 4 * i, F.lit(4)), 16, 10).cast("long") % m).cast("int")
+        part = lambda s, k: F.conv(F.substring(s, 1 + 8 * k, 8), 16, 10).cast("long")
+        walk = lambda ab: F.transform(F.sequence(F.lit(0), h - 1), lambda i: ((ab["a"] + i * ab["b"]) % m).cast("int"))
+        return let(seed, lambda s: let(F.struct(part(s, 0).alias("a"), ((part(s, 1) * 2 + 1) % m).alias("b")), walk))
+    blocks = (most + SLICES - 1) // SLICES
+    slices = lambda d: F.transform(
+        F.sequence(F.lit(0), h - 1), lambda i: (F.conv(F.substr(d, 1 + 4 * i, F.lit(4)), 16, 10).cast("long") % m).cast("int")
     )
+    stream = lambda s: F.concat(*(F.sha2(F.concat(s, F.lit(f"|{k}")).cast("binary"), 256) for k in range(blocks)))
+    return let(let(seed, stream), slices)
 
 
 def letters(hex_digits: Column) -> Column:

@@ -84,11 +84,14 @@ def blocking(candidates: DataFrame, records: DataFrame) -> DataFrame:
 def bit_counts(filters: DataFrame, m: int, by: Sequence[str] = ()) -> DataFrame:
     """(by..., bit, cnt) for every bit of every group, 0 where no filter has it.
 
-    Each word's bits are summed as columns inside one aggregation, so no row is made for a set bit.
+    Each word becomes a row and its 64 bits are summed as columns of one aggregation, so no row is made for a set bit and the
+    sums stay in generated code; m / 64 rows a group are shuffled from each task.
     """
-    sums = [F.sum(F.call_function("getbit", F.col(f"w{b // 64}"), F.lit(b % 64)).cast("long")).alias(f"b{b}") for b in range(m)]
-    wide = filters.groupBy(*by).agg(F.array(*sums).alias("counts"))
-    return wide.select(*by, F.posexplode("counts").alias("bit", "cnt"))
+    words = F.explode(F.array(*(F.struct(F.lit(i).alias("i"), F.col(w).alias("w")) for i, w in enumerate(bits.names(m)))))
+    each = filters.select(*by, words.alias("x")).select(*by, "x.i", "x.w")
+    sums = [F.sum(F.shiftrightunsigned("w", b).bitwiseAND(F.lit(1).cast("long"))).alias(f"b{b}") for b in range(64)]
+    wide = each.groupBy(*by, "i").agg(*sums).select(*by, "i", F.array(*(f"b{b}" for b in range(64))).alias("counts"))
+    return wide.select(*by, "i", F.posexplode("counts").alias("b", "cnt")).select(*by, (F.col("i") * 64 + F.col("b")).alias("bit"), "cnt")
 
 
 def unevenness(counts: DataFrame, by: Sequence[str] = ()) -> DataFrame:
