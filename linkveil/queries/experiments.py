@@ -143,8 +143,22 @@ def plaintext_privacy(spark, sf_dir):
 
 
 @query
-def ablation(spark, sf_dir):
-    return workloads.ablation(prepared(spark, sf_dir), pretrained=protocol.pretrain(prepared(spark, sf_dir, "E1S"), 200), **FEW)
+def ablation_models(spark, sf_dir):
+    """Arms without parts of the models, and with a forest from another data set."""
+    arms = ("full", "no_attribute_model", "no_threshold_shift", "updates_only")
+    return workloads.ablation(prepared(spark, sf_dir), names=arms, pretrained=protocol.pretrain(prepared(spark, sf_dir, "E1S"), 200), **FEW)
+
+
+@query
+def ablation_sampling(spark, sf_dir):
+    """Other samplers and response rates."""
+    return workloads.ablation(prepared(spark, sf_dir), names=("closest", "random", "rate_0.8", "rate_0.5"), **FEW)
+
+
+@query
+def ablation_updates(spark, sf_dir):
+    """Other limits, measures, and granularities of the update."""
+    return workloads.ablation(prepared(spark, sf_dir), names=("drift_0.05", "per_upper_batch", "f1_shift", "initial_labels"), **FEW)
 
 
 @query
