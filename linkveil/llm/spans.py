@@ -3,9 +3,16 @@
 Texts are cut into sentences (after ``.``, ``!``, ``?`` with white space behind, and at line ends); a sentence of over
 LONG words is cut every LONG words, so that a passage without full stops still has several.  From every sentence the
 shortest run of at least two sentences and MIN_WORDS words is taken forwards, and to every sentence the shortest one
-backwards, so a repeated passage is covered up to its last sentence.  All runs are hashed (words A-Z lower-cased) and
-joined over the whole corpus; the first place of a run, by doc_id and then by position, stays.  Every sentence that a later
-place covers is removed; the rest of the text is kept as it is.
+backwards, so a repeated passage is covered up to its last sentence.  Those cuts depend on where a sentence begins, so a
+passage that begins inside sentences of different leads is cut differently in each place.  Runs of MIN_WORDS words that
+are chosen by their content alone are therefore taken as well: each that has the smallest hash of WINDOW neighbouring ones.
+Any MIN_WORDS + WINDOW - 1 equal words share one, and of a longer passage at most WINDOW - 1 words at either end stay
+uncovered.  All runs are hashed (words A-Z lower-cased) and grouped over the whole corpus; the first place of a run, by
+doc_id and then by position, stays.  Of what the later places cover, sentences of up to LONG words are removed if they are
+covered as a whole, and longer ones word by word; the rest of the text is kept as it is.
+
+``n_sentences`` counts sentences and the pieces of long ones, ``n_removed`` those that repeated runs of sentences cover,
+``n_cut`` the further ones that lose words to runs chosen by content; ``removed_words`` counts the words of both.
 
 Defined cases: null texts stay null, empty ones empty; nothing is removed from texts under MIN_WORDS words.  Rows that share
 a doc_id are taken as one document: their places are told apart by position only, and each row loses the same sentences.
@@ -19,7 +26,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from linkveil.llm import words as W
@@ -27,6 +34,10 @@ from linkveil.session import bounded_batches, durable
 
 MIN_WORDS = 25
 LONG = 20
+WINDOW = 12
+#: A run's place in one number: first word * PACK + its words (0 for a run chosen by content); no run has MIN_WORDS + LONG words.
+PACK = 64
+OWN = ("n_sentences", "n_removed", "n_cut", "removed_words")
 
 _STOP = np.zeros(256, dtype=bool)
 _STOP[list(b".!?")] = True
@@ -45,14 +56,18 @@ class Sentences:
             lines = np.concatenate(([0], np.cumsum(data == 10)))
             opens[1:] |= lines[words.start[1:]] > lines[words.end[:-1]]
             at = np.flatnonzero(opens)
-            inside = np.arange(n) - np.repeat(at, np.diff(np.append(at, n)))
+            sizes = np.diff(np.append(at, n))
+            inside = np.arange(n) - np.repeat(at, sizes)
+            self.short = np.repeat(sizes <= LONG, sizes)
             opens |= inside % LONG == 0
+        else:
+            self.short = opens
         self.open = np.flatnonzero(opens)
         self.close = np.append(self.open[1:], n)[: len(self.open)]
         self.first = np.searchsorted(self.open, words.first)
 
     def runs(self) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        """Document, first sentence, end sentence and hash of each run."""
+        """Document, first word, end word (both of the slice; 0 for a run chosen by content) and hash of each run."""
         m = len(self.open)
         if not m:
             none = np.zeros(0, dtype=np.int64)
@@ -73,8 +88,28 @@ class Sentences:
         hashes = self.words.hashes()
         sums = np.zeros(len(hashes) + 1, dtype=np.uint64)
         np.cumsum(hashes * up[: len(hashes)], out=sums[1:])
+        hashed = lambda lo, hi: W.mix((sums[hi] - sums[lo]) * down[lo] + (hi - lo).astype(np.uint64))
         lo, hi = self.open[a], self.close[b - 1]
-        return doc[a], a, b, W.mix((sums[hi] - sums[lo]) * down[lo] + (hi - lo).astype(np.uint64))
+        word = np.arange(len(hashes))
+        of = self.words.documents()
+        word = word[word + MIN_WORDS <= self.words.first[1:][of]]
+        values = hashed(word, word + MIN_WORDS)
+        chosen = smallest(values, of[word])
+        word, values = word[chosen], values[chosen]
+        return np.concatenate([doc[a], of[word]]), np.concatenate([lo, word]), np.concatenate([hi, np.zeros_like(word)]), np.concatenate([hashed(lo, hi), ~values])
+
+
+def smallest(values: np.ndarray, doc: np.ndarray) -> np.ndarray:
+    """Which values are the smallest (or equal to it) of any WINDOW neighbours of one document."""
+    n = len(values) - WINDOW + 1
+    if n <= 0:
+        return np.zeros(len(values), dtype=bool)
+    least = np.lib.stride_tricks.sliding_window_view(values, WINDOW).min(axis=1)
+    least[doc[:n] != doc[WINDOW - 1 :]] = 0
+    around = np.zeros(len(values), dtype=np.uint64)
+    for k in range(WINDOW):
+        np.maximum(around[k : k + n], least, out=around[k : k + n])
+    return (values == around) & (around > 0)
 
 
 @W.tidy
@@ -84,26 +119,34 @@ def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for lo, _, data, offsets in W.slices(batch.column("text")):
             found = Sentences(data, offsets)
             doc, a, b, hashes = found.runs()
-            base = found.first[doc]
+            base = found.words.first[doc]
             yield pa.RecordBatch.from_arrays(
-                [pa.array(hashes.view(np.int64)), ids.take(pa.array(doc + lo)), pa.array((a - base).astype(np.int32)), pa.array((b - base).astype(np.int32))],
-                names=["run", "doc_id", "a", "b"],
+                [pa.array(hashes.view(np.int64)), ids.take(pa.array(doc + lo)), pa.array((a - base) * PACK + np.where(b, b - a, 0))],
+                names=["run", "doc_id", "at"],
             )
 
 
 def runs(docs: DataFrame) -> DataFrame:
-    """run (hash), doc_id, a, b: every run of sentences a to b - 1."""
+    """run (hash), doc_id, at: every run with its place."""
     texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    return texts.mapInArrow(_runs, "run long, doc_id long, a int, b int")
+    return texts.mapInArrow(_runs, "run long, doc_id long, at long")
 
 
 def later_places(docs: DataFrame) -> DataFrame:
-    """doc_id, cuts (a and b of each run that another place has first): a row for each document that has any."""
-    found = runs(docs)
-    place = F.struct("doc_id", "a")
-    repeated = found.groupBy("run").agg(F.min(place).alias("first"), F.max(place).alias("last")).where("first <> last")
-    again = found.join(repeated.select("run", "first"), "run").where(F.struct("doc_id", "a") != F.col("first"))
-    return again.groupBy("doc_id").agg(F.collect_set(F.struct("a", "b")).alias("cuts"))  # bounded by the document
+    """doc_id, cuts (the place of each run that another place has first): a row for each document that has any."""
+    # a window reads each run's places in one shuffle, where an aggregation and a join back take two
+    place = F.struct("doc_id", "at")
+    again = runs(docs).withColumn("first", F.min(place).over(Window.partitionBy("run"))).where(place != F.col("first"))
+    return again.groupBy("doc_id").agg(F.collect_set("at").alias("cuts"))  # bounded by the document
+
+
+def covered(cuts: list[int], count: int) -> np.ndarray:
+    """Which of a document's ``count`` words the runs cover."""
+    depth = np.zeros(count + 1, dtype=np.int64)
+    for c in cuts:
+        depth[min(c // PACK, count)] += 1
+        depth[min(c // PACK + (c % PACK or MIN_WORDS), count)] -= 1
+    return np.cumsum(depth[:-1]) > 0
 
 
 def _remover(keep: list[str]):
@@ -113,47 +156,45 @@ def _remover(keep: list[str]):
             n = batch.num_rows
             texts = batch.column("text")
             cuts = batch.column("__cuts").to_pylist()
-            removed, sentences, gone_words = np.zeros(n, np.int64), np.zeros(n, np.int64), np.zeros(n, np.int64)
+            removed, cut, sentences, gone_words = (np.zeros(n, np.int64) for _ in range(4))
             out: list = [None] * n
             for lo, hi, data, offsets in W.slices(texts):
                 found = Sentences(data, offsets)
                 sentences[lo:hi] = np.diff(found.first)
-                start, end = found.words.start, found.words.end
+                start = found.words.start
                 for d in range(hi - lo):
                     if cuts[lo + d] is None:
                         continue
-                    base, count = found.first[d], int(sentences[lo + d])
-                    gone = np.zeros(count + 1, dtype=np.int64)
-                    for c in cuts[lo + d]:
-                        gone[min(c["a"], count)] += 1
-                        gone[min(c["b"], count)] -= 1
-                    gone = np.cumsum(gone[:-1]) > 0
-                    removed[lo + d] = gone.sum()
-                    at = base + np.flatnonzero(gone)
-                    gone_words[lo + d] = (found.close[at] - found.open[at]).sum()
+                    base, count = int(found.words.first[d]), int(found.words.first[d + 1] - found.words.first[d])
+                    spanned, gone = covered([c for c in cuts[lo + d] if c % PACK], count), covered(cuts[lo + d], count)
+                    at = found.open[found.first[d] : found.first[d + 1]] - base
+                    if count:  # a short sentence stays if any of its words does
+                        part = np.repeat(~np.logical_and.reduceat(gone, at), np.diff(np.append(at, count)))
+                        gone &= ~(part & found.short[base : base + count])
+                        removed[lo + d] = spanned[at].sum()
+                        cut[lo + d] = (np.logical_or.reduceat(gone, at) & ~spanned[at]).sum()
+                    gone_words[lo + d] = gone.sum()
                     alive = np.ones(int(offsets[d + 1] - offsets[d]), dtype=bool)
-                    for s in at.tolist():  # a sentence goes with the white space behind it
-                        nxt = found.close[s]
-                        stop = start[nxt] if nxt < found.words.first[d + 1] else offsets[d + 1]
-                        alive[start[found.open[s]] - offsets[d] : stop - offsets[d]] = False
+                    edges = np.flatnonzero(np.diff(np.concatenate(([0], gone, [0]))))
+                    for p, q in zip(edges[::2].tolist(), edges[1::2].tolist(), strict=True):  # words go with the white space behind them
+                        stop = start[base + q] if q < count else offsets[d + 1]
+                        alive[start[base + p] - offsets[d] : stop - offsets[d]] = False
                     out[lo + d] = data[offsets[d] : offsets[d + 1]][alive].tobytes().decode().rstrip("\x20\x09\x0a\x0b\x0c\x0d")
-                del end
             column = pa.array([x if c is not None else None for x, c in zip(out, cuts, strict=True)], pa.large_string())
             whole = texts.cast(pa.large_string())
             text = pa.compute.coalesce(column, whole).cast(pa.string())
             columns = [text if c == "text" else batch.column(c) for c in keep]
-            yield pa.RecordBatch.from_arrays([*columns, pa.array(sentences), pa.array(removed), pa.array(gone_words)], names=[*keep, "n_sentences", "n_removed", "removed_words"])
+            yield pa.RecordBatch.from_arrays([*columns, pa.array(sentences), pa.array(removed), pa.array(cut), pa.array(gone_words)], names=[*keep, *OWN])
 
     return run
 
 
 def remove(docs: DataFrame, keep: list[str] | None = None) -> DataFrame:
-    """The columns ``keep`` (all but own results by default) with ``text`` less its repeats, n_sentences, n_removed, removed_words."""
-    own = ["n_sentences", "n_removed", "removed_words", "__cuts"]
-    keep = [c for c in docs.columns if c not in own] if keep is None else keep
+    """The columns ``keep`` (all but own results by default) with ``text`` less its repeats, and OWN."""
+    keep = [c for c in docs.columns if c not in (*OWN, "__cuts")] if keep is None else keep
     bounded_batches(docs.sparkSession)
     cuts = durable(later_places(docs)).select(F.col("doc_id").alias("__id"), F.col("cuts").alias("__cuts"))
     rows = docs.select(*dict.fromkeys([*keep, "doc_id", "text"]))
     joined = rows.join(cuts.hint("shuffle_hash"), rows["doc_id"].cast("long").eqNullSafe(F.col("__id")), "left").drop("__id")
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(*keep).schema)
-    return joined.mapInArrow(_remover(keep), f"{schema}, n_sentences long, n_removed long, removed_words long")
+    return joined.mapInArrow(_remover(keep), f"{schema}, {', '.join(f'{c} long' for c in OWN)}")

@@ -198,6 +198,30 @@ def test_spans_against_brute_force(docs, spark):
     assert {r.doc_id: r.n_removed for r in rows.itertuples()} == {d: len(gone[d]) for d in rows.doc_id}
 
 
+def test_spans_behind_different_leads(spark):
+    """A passage without stops goes from the second place, whatever number of words stands before it; short sentences stay whole."""
+    rows = []
+    for lead in range(1, 20):
+        for size in (36, 50, 81):
+            passage = [f"p{lead}x{size}w{k}" for k in range(size)]
+            rows.append((len(rows), " ".join(passage), size))
+            rows.append((len(rows), " ".join([f"l{lead}x{size}w{k}" for k in range(lead)] + passage + ["end."]), size))
+    sizes = {d: n for d, _, n in rows}
+    found = {r["doc_id"]: r for r in spans.remove(spark.createDataFrame(rows, "doc_id long, text string, size int")).collect()}
+    for d, text, _ in rows:
+        left = found[d]["text"].split()
+        if d % 2 == 0:
+            assert found[d]["text"] == text and found[d]["removed_words"] == 0
+            continue
+        assert found[d]["removed_words"] >= sizes[d] - 2 * (spans.WINDOW - 1) and found[d]["n_removed"] + found[d]["n_cut"] > 0
+        assert len(left) + found[d]["removed_words"] == len(text.split()) and left[-1] == "end."
+        assert [w for w in left if w[0] == "l"] == [w for w in text.split() if w[0] == "l"]
+    stops = " ".join(f"q{k}" + "." * (k in (18, 30)) for k in range(50))
+    near = spark.createDataFrame([(1, "One lead stands here: " + stops), (2, "Another is: " + stops)], "doc_id long, text string")
+    second = {r["doc_id"]: r["text"] for r in spans.remove(near).collect()}[2]
+    assert "q19 " not in second and "q30." not in second
+
+
 def test_pieces_equal_the_library_and_round_trip(spark, hard, docs):
     import sentencepiece
 
