@@ -2,16 +2,17 @@
 
 A seed is a run of SPAN words of which a fixed mask reads only some, so that a substituted word under a hole of the
 mask does no harm.  The seeds of the test items are hashed and joined with the seeds at every word of every text.
-Around each hit the words of item and text are compared along the hit's diagonal; the stretch with most matches
-(+1 a match, -2 a substitution) must have at least MIN_WORDS words (or the whole of a shorter item) of which
-MIN_IDENTITY are equal.
+Around each hit the words of item and text are compared along the hit's diagonal; it counts if any stretch of at least
+MIN_WORDS words (or the whole of a shorter item) has MIN_IDENTITY equal words.  The masks miss no such stretch: one of over
+25 words has another in one of its halves, and of 12 to 25 words with at most a fifth substituted, wherever they stand,
+one mask always reads equal words only.
 
 The test items go to the tasks as an index.  Its size is checked first: items over ``block_bytes`` of text together are
 dealt into several blocks, each searched in a pass of its own, so no index grows with the benchmark.
 
 Defined cases: a null or empty text has no overlap; null and empty items, and items under MIN_ITEM words, match
-nothing; with no items every document is clean.  Items of MIN_ITEM to SPAN - 1 words are sought as a whole, without
-substitutions.  Rows that share a doc_id give one row.  Words are lower-cased (A-Z and the
+nothing; with no items every document is clean.  Items of MIN_ITEM to SPAN - 1 words are found for certain as a whole
+without substitutions only.  Rows that share a doc_id give one row.  Words are lower-cased (A-Z and the
 Latin-1 capitals).
 """
 
@@ -31,7 +32,10 @@ from linkveil.session import bounded_batches
 
 SPAN = 12
 #: Fixed masks: the words of a span that a seed reads.
-MASKS = ((0, 1, 2, 4, 7, 8, 10, 11), (0, 1, 3, 4, 6, 9, 10, 11), (0, 2, 3, 5, 6, 8, 9, 11), (0, 1, 2, 3, 4, 5, 6, 7))
+MASKS = (
+    (0, 1, 2, 3, 4, 5, 6), (0, 1, 2, 4, 5, 6, 7), (0, 1, 2, 3, 4, 7, 8), (0, 1, 3, 6, 8, 9, 10),
+    (0, 1, 2, 5, 7, 9, 10), (0, 1, 3, 4, 5, 8, 11), (0, 1, 3, 7, 9, 10, 11),
+)
 MIN_ITEM = 6
 MIN_WORDS = 13
 MIN_IDENTITY = 0.8
@@ -113,18 +117,16 @@ class Index:
         return out
 
     def overlap(self, text: np.ndarray, i: int, shift: int) -> int:
-        """Words of the best stretch of item i, whose word 0 lies at word ``shift`` of the text; 0 if not good enough."""
+        """Words of the longest good stretch of item i, whose word 0 lies at word ``shift`` of the text; 0 if there is none."""
         item = self.words[self.first[i] : self.first[i + 1]]
         lo, hi = max(0, -shift), min(len(item), len(text) - shift)
         same = item[lo:hi] == text[lo + shift : hi + shift]
-        sums = np.concatenate(([0], np.cumsum(np.where(same, 1, -2))))
-        gain = sums - np.minimum.accumulate(sums)
-        end = int(np.argmax(gain))
-        begin = int(np.argmin(sums[: end + 1]))
-        length = end - begin
-        if length >= min(MIN_WORDS, len(item)) and same[begin:end].sum() >= MIN_IDENTITY * length:
-            return length
-        return 0
+        # whole numbers: a stretch has MIN_IDENTITY if its sum isn't negative
+        part = round(100 * MIN_IDENTITY)
+        sums = np.concatenate(([0], np.cumsum(np.where(same, 100 - part, -part))))
+        begin = np.searchsorted(-np.minimum.accumulate(sums), -sums)  # the first place with a sum as small
+        length = int((np.arange(len(sums)) - begin).max())
+        return length if length >= min(MIN_WORDS, len(item)) else 0
 
 
 def _searcher(index):

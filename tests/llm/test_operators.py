@@ -2,6 +2,7 @@
 
 import collections
 import html as html_lib
+import itertools
 import re
 
 import numpy as np
@@ -156,6 +157,44 @@ def test_decontamination_finds_planted_items_and_leaves_others(spark, docs, sf_d
     assert all(planted[10_000 + i] for i in range(20)) and not any(planted[20_000 + i] for i in range(20))
 
 
+def overlap_of(same):
+    """The overlap found of an item in a text that equals it where ``same`` is true, after three other words."""
+    n = len(same)
+    index = decontaminate.Index([(1, " ".join(f"w{k}" for k in range(n)))])
+    text = " ".join(["x", "y", "z"] + [f"w{k}" if same[k] else f"other{k}" for k in range(n)]).encode()
+    words = W.Words(np.frombuffer(text, dtype=np.uint8), np.array([0, len(text)]))
+    return index.search(words.hashes(), words.first).get(0, {}).get(0, 0)
+
+
+def longest_stretch(same):
+    ends = [(i, j) for i in range(len(same)) for j in range(i + min(decontaminate.MIN_WORDS, len(same)), len(same) + 1)]
+    return max((j - i for i, j in ends if 5 * sum(same[i:j]) >= 4 * (j - i)), default=0)
+
+
+def test_decontamination_accepts_any_stretch():
+    for equal, other in ((20, 8), (13, 6)):
+        same = ([True] * equal + [False] * other) * 2 + [True] * equal
+        assert overlap_of(same) == longest_stretch(same) >= equal
+    rng = np.random.default_rng(5)
+    for n in (12, 13, 16, 30, 60, 120):
+        for share in (0.6, 0.75, 0.85):
+            for _ in range(20):
+                same = (rng.random(n) < share).tolist()
+                assert overlap_of(same) == longest_stretch(same)
+
+
+@pytest.mark.parametrize(("n", "substituted"), [(12, 2), (13, 2), (14, 2), (15, 3), (20, 4), (25, 5)])
+def test_decontamination_masks_miss_no_substitutions(n, substituted):
+    places = [sum(1 << k for k in at) for at in itertools.combinations(range(n), substituted)]
+    left = np.array(places, dtype=np.int64)
+    for mask in decontaminate.MASKS:
+        for shift in range(n - mask[-1]):
+            left = left[left & (sum(1 << k for k in mask) << shift) != 0]
+    assert not len(left)
+    for at in places[:: max(1, len(places) // 80)]:
+        assert overlap_of([not at >> k & 1 for k in range(n)]) == n
+
+
 def test_decontamination_in_blocks_gives_the_same(spark, docs, sf_dir):
     items = spark.read.parquet(f"{sf_dir}/benchmark.parquet")
     whole, blocks = decontaminate.find(docs, items), decontaminate.find(docs, items, block_bytes=2000)
