@@ -13,6 +13,7 @@ from linkveil.queries import linkage
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLE_SQL: dict[str, str] = {}
+#: Three runs instead of 33, for tests; registered queries run all.
 FEW = dict(offsets=(-0.05, 0.0, 0.05), repetitions=1)
 _prepared: dict = {}
 
@@ -42,28 +43,30 @@ def protocol_e1m(spark, sf_dir):
 @query
 def curve_e1m_errors(spark, sf_dir):
     """Budget 100 with error rates 0, 0.1 and 0.2."""
-    return _union(workloads.summary(_curve(spark, sf_dir, budget=100, err=e, **FEW), data="E1M", budget=100, err=e) for e in (0.0, 0.1, 0.2))
+    return _union(workloads.summary(_curve(spark, sf_dir, budget=100, err=e), data="E1M", budget=100, err=e) for e in (0.0, 0.1, 0.2))
 
 
 @query
 def curve_e1m_budget(spark, sf_dir):
     """Error rate 0.2 with budgets 100, 200 and 300."""
-    return _union(workloads.summary(_curve(spark, sf_dir, budget=b, **FEW), data="E1M", budget=b, err=0.2) for b in (100, 200, 300))
+    return _union(workloads.summary(_curve(spark, sf_dir, budget=b), data="E1M", budget=b, err=0.2) for b in (100, 200, 300))
 
 
 @query
 def curve_overlaps(spark, sf_dir):
-    return _union(workloads.summary(_curve(spark, sf_dir, v, **FEW), data=v, budget=300, err=0.2) for v in ("E1S", "E1L"))
+    """Error rate 0.2 with budgets 100, 200 and 300."""
+    return _union(workloads.summary(_curve(spark, sf_dir, v, budget=b), data=v, budget=b, err=0.2) for v in ("E1S", "E1L") for b in (100, 200, 300))
 
 
 @query
 def curve_disparity(spark, sf_dir):
-    return _union(workloads.summary(_curve(spark, sf_dir, v, **FEW), data=v, budget=300, err=0.2) for v in ("E2S", "E2M"))
+    """Error rate 0.2 with budgets 100, 200 and 300."""
+    return _union(workloads.summary(_curve(spark, sf_dir, v, budget=b), data=v, budget=b, err=0.2) for v in ("E2S", "E2M") for b in (100, 200, 300))
 
 
 @query
 def curve_hardened(spark, sf_dir):
-    return _union(workloads.summary(_curve(spark, sf_dir, v, hardening="xor", **FEW), data=v + "-XOR", budget=300, err=0.2) for v in ("E1S", "E1M", "E1L"))
+    return _union(workloads.summary(_curve(spark, sf_dir, v, hardening="xor"), data=v + "-XOR", budget=300, err=0.2) for v in ("E1S", "E1M", "E1L"))
 
 
 def _union(tables):
@@ -81,54 +84,54 @@ def reference_lines(spark, sf_dir):
 @query
 def protocol_no_reply(spark, sf_dir):
     """No owner answers: every run stays at its start, as in linkage without review."""
-    return _curve(spark, sf_dir, reply_rate=0.0, **FEW).metrics
+    return _curve(spark, sf_dir, reply_rate=0.0).metrics
 
 
 @query
 def protocol_reuse_top(spark, sf_dir):
     """Without an attribute model: its layer repeats the top model's labels."""
-    return workloads.summary(_curve(spark, sf_dir, attribute_model="reuse_top", **FEW), data="E1M", arm="reuse_top")
+    return workloads.summary(_curve(spark, sf_dir, attribute_model="reuse_top"), data="E1M", arm="reuse_top")
 
 
 @query
 def protocol_two_layer(spark, sf_dir):
     """Without plaintext: a forest trained on another data set labels, one loop only."""
     forest = protocol.pretrain(prepared(spark, sf_dir, "E1S"), 200)
-    return workloads.summary(_curve(spark, sf_dir, layers=("top", "attr"), attribute_model="pretrained", pretrained=forest, **FEW), data="E1M", arm="two_layer")
+    return workloads.summary(_curve(spark, sf_dir, layers=("top", "attr"), attribute_model="pretrained", pretrained=forest), data="E1M", arm="two_layer")
 
 
 @query
 def protocol_log(spark, sf_dir):
     """Reviewed pairs of all runs with their labels."""
-    return _curve(spark, sf_dir, **FEW).log
+    return _curve(spark, sf_dir).log
 
 
 @query
 def correction_rate(spark, sf_dir):
-    return measures.correction_rate(_curve(spark, sf_dir, **FEW).log.withColumnRenamed("drawn", "round"))
+    return measures.correction_rate(_curve(spark, sf_dir).log.withColumnRenamed("drawn", "round"))
 
 
 @query
 def oracle_error(spark, sf_dir):
-    return measures.oracle_error(_curve(spark, sf_dir, **FEW).log)
+    return measures.oracle_error(_curve(spark, sf_dir).log)
 
 
 @query
 def rounds_to_baseline(spark, sf_dir):
     """Round and human reviews at which each run reaches the top layer's best F1."""
     data = prepared(spark, sf_dir)
-    return measures.rounds_to(_curve(spark, sf_dir, **FEW).metrics, data.f1_best)
+    return measures.rounds_to(_curve(spark, sf_dir).metrics, data.f1_best)
 
 
 @query
 def human_share(spark, sf_dir):
-    return measures.human_share(_curve(spark, sf_dir, **FEW).metrics).select("run_id", "round", "reviews_attr", "reviews_human", "human_share")
+    return measures.human_share(_curve(spark, sf_dir).metrics).select("run_id", "round", "reviews_attr", "reviews_human", "human_share")
 
 
 @query
 def filter_privacy(spark, sf_dir):
     """Plain and pair-keyed filters of the reviewed pairs."""
-    return workloads.filter_privacy(prepared(spark, sf_dir), _curve(spark, sf_dir, **FEW).log.select("pair_id", "left_id", "right_id").distinct())
+    return workloads.filter_privacy(prepared(spark, sf_dir), _curve(spark, sf_dir).log.select("pair_id", "left_id", "right_id").distinct())
 
 
 @query
@@ -139,26 +142,26 @@ def hardening_privacy(spark, sf_dir):
 @query
 def plaintext_privacy(spark, sf_dir):
     """Disclosure by selection for E1M and E2M, budget 200."""
-    return _union(workloads.plaintext_privacy(prepared(spark, sf_dir, v), _curve(spark, sf_dir, v, budget=200, **FEW)).withColumn("data", F.lit(v)) for v in ("E1M", "E2M"))
+    return _union(workloads.plaintext_privacy(prepared(spark, sf_dir, v), _curve(spark, sf_dir, v, budget=200)).withColumn("data", F.lit(v)) for v in ("E1M", "E2M"))
 
 
 @query
 def ablation_models(spark, sf_dir):
     """Arms without parts of the models, and with a forest from another data set."""
     arms = ("full", "no_attribute_model", "no_threshold_shift", "updates_only")
-    return workloads.ablation(prepared(spark, sf_dir), names=arms, pretrained=protocol.pretrain(prepared(spark, sf_dir, "E1S"), 200), **FEW)
+    return workloads.ablation(prepared(spark, sf_dir), names=arms, pretrained=protocol.pretrain(prepared(spark, sf_dir, "E1S"), 200))
 
 
 @query
 def ablation_sampling(spark, sf_dir):
     """Other samplers and response rates."""
-    return workloads.ablation(prepared(spark, sf_dir), names=("closest", "random", "rate_0.8", "rate_0.5"), **FEW)
+    return workloads.ablation(prepared(spark, sf_dir), names=("closest", "random", "rate_0.8", "rate_0.5"))
 
 
 @query
 def ablation_updates(spark, sf_dir):
     """Other limits, measures, and granularities of the update."""
-    return workloads.ablation(prepared(spark, sf_dir), names=("drift_0.05", "per_upper_batch", "f1_shift", "initial_labels"), **FEW)
+    return workloads.ablation(prepared(spark, sf_dir), names=("drift_0.05", "per_upper_batch", "f1_shift", "initial_labels"))
 
 
 @query

@@ -1,5 +1,8 @@
 """Every query of the catalogue with a DuckDB twin gives the same rows."""
 
+from types import SimpleNamespace
+from unittest.mock import MagicMock
+
 import pytest
 
 import __spark_entry__ as contract
@@ -30,6 +33,24 @@ def test_protocol_without_replies_stays_at_its_start(spark, sf_dir):
     assert rows.groupby("run_id").f1.nunique().eq(1).all() and (rows.reviews_attr == 0).all()
 
 
+def test_queries_run_all_starts_and_budgets(spark, sf_dir, monkeypatch):
+    """No registered query has fewer starts or repetitions than a scenario, and the curves have all budgets."""
+    calls = []
+    for name in ("workloads", "measures", "protocol"):
+        monkeypatch.setattr(experiments, name, MagicMock())
+    monkeypatch.setattr(experiments, "prepared", lambda spark, sf_dir, variant="E1M", hardening=None: SimpleNamespace(name=variant, f1_best=0.0))
+    experiments.workloads.curve.side_effect = lambda data, budget=300, err=0.2, **changes: calls.append((data.name, budget, changes)) or MagicMock()
+    experiments.workloads.ablation.side_effect = lambda data, budget=300, err=0.2, names=(), pretrained=None, **changes: calls.append((data.name, budget, changes)) or MagicMock()
+    ran = {}
+    for name in (k for k in experiments.QUERIES if k.startswith(("curve_", "protocol_", "ablation_")) or k in ("correction_rate", "oracle_error", "rounds_to_baseline", "human_share", "filter_privacy", "plaintext_privacy")):
+        calls.clear()
+        experiments.QUERIES[name](spark, sf_dir)
+        assert calls and not any({"offsets", "repetitions"} & set(changes) for *_, changes in calls), name
+        ran[name] = {(data, budget) for data, budget, _ in calls}
+    assert ran["curve_overlaps"] == {(v, b) for v in ("E1S", "E1L") for b in (100, 200, 300)}
+    assert ran["curve_disparity"] == {(v, b) for v in ("E2S", "E2M") for b in (100, 200, 300)}
+
+
 def test_protocol_keeps_its_limits(spark, sf_dir):
     data = experiments.prepared(spark, sf_dir)
     out = experiments._curve(spark, sf_dir, **experiments.FEW)
