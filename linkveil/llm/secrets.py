@@ -6,8 +6,8 @@ character transitions, how much of it a dictionary covers, whether it looks like
 forest is trained on labelled findings, which ``labelled_findings`` writes from a fixed seed: keys of public formats,
 random tokens and passwords against hashes, ids, paths, versions, names and placeholders.
 
-Defined cases: null and empty texts have no findings; a text is scanned as a whole; overlapping candidates are merged
-into the longest.  Offsets count code points.  Repeated rows give repeated rows.
+Defined cases: null and empty texts have no findings; a text is scanned as a whole; overlapping candidates of
+kinds (b) to (d) are merged into the longest, and a run is cut around them.  Offsets count code points.  Repeated rows give repeated rows.
 """
 
 from __future__ import annotations
@@ -16,6 +16,7 @@ import math
 import random
 import re
 import string
+from collections import Counter
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -95,25 +96,24 @@ def dictionary_share(value: str) -> float:
 def features(text: str, start: int, end: int) -> list[float]:
     """Numbers for FEATURES of the candidate text[start:end] and its surroundings."""
     value, n = text[start:end], end - start
-    head = value[:512]  # shares and transitions of a block of many lines are those of its first characters
-    m = max(1, len(head))
-    counts = {c: head.count(c) for c in set(head)}
+    m = max(1, n)
+    counts = Counter(value)
     before, after = text[max(0, start - 60) : start], text[end : end + 40]
     before_words = re.findall(r"[a-z0-9_-]+", before.lower())[-3:]
     after_words = re.findall(r"[a-z0-9_-]+", after.lower())[:2]
-    kinds = [_kind(c) for c in head]
+    kinds = [_kind(c) for c in value]
     return [
         min(n, 400),
-        sum(map(str.isdigit, head)) / m,
-        sum(map(str.isupper, head)) / m,
-        sum(map(str.islower, head)) / m,
-        sum(not c.isalnum() for c in head) / m,
-        sum(c in "0123456789abcdefABCDEF" for c in head) / m,
+        sum(map(str.isdigit, value)) / m,
+        sum(map(str.isupper, value)) / m,
+        sum(map(str.islower, value)) / m,
+        sum(not c.isalnum() for c in value) / m,
+        sum(c in "0123456789abcdefABCDEF" for c in value) / m,
         len(counts) / m,
         -sum(c / m * math.log2(c / m) for c in counts.values()),
         sum(x != y for x, y in zip(kinds, kinds[1:], strict=False)) / m,
-        3 * len(_VOWELS.findall(head.lower())) / m,
-        dictionary_share(head),
+        3 * len(_VOWELS.findall(value.lower())) / m,
+        dictionary_share(value),
         value.count("/"),
         value.count("."),
         float(bool(_EXTENSION.search(value))),
@@ -124,7 +124,7 @@ def features(text: str, start: int, end: int) -> list[float]:
         float(before[-1:] in ("'", '"', "`") and after[:1] in ("'", '"', "`")),
         float(value.startswith(PREFIXES)),
         float(n in (32, 40, 64) and not re.search(r"[^0-9a-f]", value)),
-        float(bool(_PLACEHOLDER.search(head))),
+        float(bool(_PLACEHOLDER.search(value))),
         float(value.startswith("-----BEGIN")),
         float(bool(re.search(r"://[^\s/:@]+:$", before)) and after[:1] == "@"),
         float(bool(_UUID.fullmatch(value))),
@@ -235,13 +235,28 @@ def candidates(text: str) -> list[tuple[int, int, str]]:
         found += [(*m.span(1), "assigned") for m in ASSIGNED.finditer(text)]
         if "://" in text:
             found += [(*m.span(1), "url_password") for m in URL.finditer(text)]
+    out = merged(found)
+    at, runs = 0, []
     for m in RUN.finditer(text):
-        a, b = m.span()
-        while b > a and text[b - 1] in ".=-" and not (text[b - 1] == "=" and (b - a) % 4 == 0):
-            b -= 1
-        value = text[a:b]
-        if len(value) >= MIN_RUN and any(map(str.isdigit, value)) and any(c.isalpha() for c in value):
-            found.append((a, b, "key" if value.startswith(PREFIXES) else "string"))
+        a, stop = m.span()
+        while at < len(out) and out[at][1] <= a:
+            at += 1
+        k = at
+        while a < stop:  # the parts of the run outside the findings
+            b = min(stop, max(a, out[k][0])) if k < len(out) else stop
+            after = out[k][1] if k < len(out) else stop
+            k += 1
+            while b > a and text[b - 1] in ".=-" and not (text[b - 1] == "=" and (b - a) % 4 == 0):
+                b -= 1
+            value = text[a:b]
+            if len(value) >= MIN_RUN and any(map(str.isdigit, value)) and any(c.isalpha() for c in value):
+                runs.append((a, b, "key" if value.startswith(PREFIXES) else "string"))
+            a = after
+    return sorted(out + runs)
+
+
+def merged(found: list[tuple[int, int, str]]) -> list[tuple[int, int, str]]:
+    """The findings in order, overlapping ones as one of the first one's kind."""
     out: list[tuple[int, int, str]] = []
     for a, b, kind in sorted(found, key=lambda x: (x[0], -x[1])):
         if out and a < out[-1][1]:
