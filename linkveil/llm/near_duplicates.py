@@ -3,8 +3,8 @@
 1. A document's set are its distinct five-word shingles (as 64-bit hashes).  Each of SYMBOLS hash functions gives the
    minimum over the set, of which 16 bits are kept: a signature of 64 symbols.
 2. Documents with equal sets form one class; only its smallest doc_id goes on.
-3. Two sets of Jaccard 0.75 differ in 16 symbols on average; LIMIT = 29 is 3.9 standard deviations over that, so one of
-   20,000 pairs at exactly 0.75 is beyond it.  Multi-index: the 64 symbols are split into 4 chunks of 3 symbols, where
+3. Two sets of Jaccard 0.75 differ in 16 symbols on average; LIMIT = 29 is 3.75 standard deviations over that, and one of
+   8,100 pairs at exactly 0.75 is beyond it (P(X >= 30) for 64 symbols at 1/4).  Multi-index: the 64 symbols are split into 4 chunks of 3 symbols, where
    no error is allowed, and 13 chunks of 4, where one is.  By the pigeonhole principle (4 * 1 + 13 * 2 = LIMIT + 1)
    every pair within LIMIT agrees in some chunk up to its allowed errors.  Errors are enumerated by leaving out each
    symbol in turn: 4 + 13 * 4 = 56 keys of three symbols (48 bits).  ``candidate`` pairs share a key.
