@@ -347,6 +347,15 @@ def test_forward_recursion_is_exact():
     assert (start.sum(), moves.sum(), emits.sum(), total) == pytest.approx((3, 4, 7, sum(map(brute, seqs))))
 
 
+def test_empty_seed_sample_still_trains(docs, monkeypatch):
+    monkeypatch.setattr(hmm, "SEED_TOKENS", 0)
+    _, vocabulary = hmm.count(docs)
+    model, start = hmm.fit(docs, vocabulary, rounds=1), hmm.Hmm.seeded(vocabulary.class_n, hmm.STATES)
+    assert not np.allclose(model.moves, start.moves)
+    untrained = hmm.fit(docs.limit(0), vocabulary, rounds=1)
+    assert np.allclose(untrained.moves, start.moves)
+
+
 def test_scores_against_plain_counts(docs):
     import math
     import zlib
