@@ -1,36 +1,62 @@
 """Keyed hashing without leaving the JVM.
 
-HMAC-SHA256 needs the key's bytes exclusive-or'ed with 0x36 and 0x5c.  For ASCII keys of up to 64 bytes without ``6`` and
-``\\`` (whose images would be zero bytes) that is a ``translate`` of characters, so both hashes are built-in functions.
-Pair keys use the letters g to v in place of hex digits.
+HMAC-SHA256 needs the key's 64 bytes exclusive-or'ed with 0x36 and 0x5c.  For a literal key these are computed once, on the
+driver; for a key column in hexadecimal, 32 bits at a time.  Keys may have any characters and any length: one of over 64
+bytes is hashed first, as the standard says.  Keys that are put together of several parts have SEPARATOR between them.
 """
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Callable
 
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-_ALPHABET = "".join(chr(c) for c in range(33, 127) if chr(c) not in "6\\")
-_INNER = "".join(chr(ord(c) ^ 0x36) for c in _ALPHABET)
-_OUTER = "".join(chr(ord(c) ^ 0x5C) for c in _ALPHABET)
+BLOCK = 64
+INNER, OUTER = 0x36, 0x5C
+SEPARATOR = "|"
 SLICES = 16
 LETTERS = "ghijklmnopqrstuv"
 
 
 def check_key(key: str) -> str:
-    if not 0 < len(key.encode()) <= 64 or not set(key) <= set(_ALPHABET):
-        raise ValueError("a key has 1 to 64 printable ASCII characters other than 6 and the backslash; hash longer ones first")
+    if not key:
+        raise ValueError("an owner's key must not be empty")
     return key
 
 
+def pads(key: str) -> tuple[bytes, bytes]:
+    """The inner and the outer block of a key."""
+    raw = check_key(key).encode()
+    raw = (hashlib.sha256(raw).digest() if len(raw) > BLOCK else raw).ljust(BLOCK, b"\0")
+    return bytes(x ^ INNER for x in raw), bytes(x ^ OUTER for x in raw)
+
+
+def _padded(key: Column) -> Column:
+    """The key's block as 128 hex digits."""
+    raw = key.cast("binary")
+    return F.rpad(F.when(F.octet_length(raw) > BLOCK, F.sha2(raw, 256)).otherwise(F.hex(raw)), 2 * BLOCK, "0")
+
+
+def _xored(block: Column, byte: int) -> Column:
+    word = int(f"{byte:02x}" * 4, 16)
+    each = (F.conv(F.substring(block, 1 + 8 * i, 8), 16, 10).cast("long").bitwiseXOR(F.lit(word)) for i in range(BLOCK // 4))
+    return F.unhex(F.concat(*(F.lpad(F.hex(x), 8, "0") for x in each)))
+
+
+def composed(*parts: Column | str) -> Column:
+    """A key of several parts; no two lists of parts without SEPARATOR give the same."""
+    return F.concat_ws(SEPARATOR, *(F.lit(p) if isinstance(p, str) else p for p in parts))
+
+
 def hmac_sha256(message: Column, key: Column | str) -> Column:
-    """Hex digest of HMAC-SHA256; a key column must keep to the rule of ``check_key``."""
-    key = F.lit(check_key(key)) if isinstance(key, str) else key
-    inner = F.sha2(F.concat(F.rpad(F.translate(key, _ALPHABET, _INNER), 64, "6"), message).cast("binary"), 256)
-    outer = F.rpad(F.translate(key, _ALPHABET, _OUTER), 64, "\\").cast("binary")
-    return F.sha2(F.concat(outer, F.unhex(inner)), 256)
+    """Hex digest of HMAC-SHA256."""
+    digest = lambda inner, outer: F.sha2(F.concat(outer, F.unhex(F.sha2(F.concat(inner, message.cast("binary")), 256))), 256)
+    if isinstance(key, str):
+        return digest(*(F.lit(bytearray(p)) for p in pads(key)))
+    blocks = lambda b: F.struct(_xored(b, INNER).alias("inner"), _xored(b, OUTER).alias("outer"))
+    return let(let(_padded(key), blocks), lambda b: digest(b["inner"], b["outer"]))
 
 
 def let(value: Column, use: Callable[[Column], Column]) -> Column:

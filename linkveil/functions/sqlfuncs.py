@@ -27,18 +27,15 @@ class GramRows:
                 yield (gram,)
 
 
-def _literal(text: str) -> str:
-    return "'" + "".join("\\u%04x" % ord(c) if c in "'\\" or not 32 <= ord(c) < 127 else c for c in text) + "'"
-
-
 def register(spark: SparkSession) -> None:
     """Temporary functions of the session: lv_ramp, lv_dice, lv_hmac, lv_grams, lv_mask, lv_gram_rows."""
-    a, i, o = (_literal(x) for x in (crypto._ALPHABET, crypto._INNER, crypto._OUTER))
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION lv_ramp(sim DOUBLE, t DOUBLE) RETURNS DOUBLE RETURN round(0.5D * (1 + least(1.0D, abs(sim - t) / CASE WHEN sim < t THEN 0.05D ELSE 0.1D END)), 9)")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION lv_dice(common BIGINT, a BIGINT, b BIGINT) RETURNS DOUBLE RETURN try_divide(2.0D * common, a + b)")
+    block = f"rpad(CASE WHEN octet_length(secret) > {crypto.BLOCK} THEN sha2(secret, 256) ELSE hex(secret) END, {2 * crypto.BLOCK}, '0')"
+    pad = lambda byte: f"unhex(array_join(transform(sequence(0, {crypto.BLOCK - 1}), i -> lpad(hex(CAST(conv(substr({block}, 1 + 2 * i, 2), 16, 10) AS INT) ^ {byte}), 2, '0')), ''))"
     spark.sql(
-        f"CREATE OR REPLACE TEMPORARY FUNCTION lv_hmac(message STRING, secret STRING) RETURNS STRING RETURN sha2(concat(CAST(rpad(translate(secret, {a}, {o}), 64, '\\\\') AS BINARY), "
-        f"unhex(sha2(CAST(concat(rpad(translate(secret, {a}, {i}), 64, '6'), message) AS BINARY), 256))), 256)"
+        "CREATE OR REPLACE TEMPORARY FUNCTION lv_hmac(message STRING, secret STRING) RETURNS STRING RETURN "
+        f"sha2(concat({pad(crypto.OUTER)}, unhex(sha2(concat({pad(crypto.INNER)}, CAST(message AS BINARY)), 256))), 256)"
     )
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION lv_grams(value STRING) RETURNS ARRAY<STRING> RETURN array_distinct(transform(sequence(1, length(value) + 1), i -> substr('{PAD}' || value || '{PAD}', i, 2)))")
     spark.udf.register("lv_mask", F.pandas_udf(_mask, T.StringType()))

@@ -80,7 +80,7 @@ def token_bits(filters: DataFrame, records: DataFrame, m: int = 256) -> DataFram
     return rate(inside, "inside").crossJoin(rate(across, "across"))  # one row each
 
 
-def dictionary(filters: DataFrame, guesses: DataFrame, attribute: str, key: str, p: encode.Parameters = encode.Parameters()) -> DataFrame:
+def dictionary(filters: DataFrame, guesses: DataFrame, attribute: str, key: str, p: encode.Parameters) -> DataFrame:
     """If the owners' key leaks: encodes a public list of values (column ``value``) and joins it with an attribute's filters by pattern."""
     listed = guesses.select(F.col("value").alias("rec_id"), F.lit("-").alias("owner"), *(F.col("value").alias(a) if a == attribute else F.lit(None).cast("string").alias(a) for a in p.attributes))
     stolen = encode.Parameters(key=key, m=p.m, h=p.h, q=p.q, attribute_m=p.attribute_m, hashes=p.hashes, attributes=p.attributes, family=p.family)

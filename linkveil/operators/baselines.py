@@ -23,7 +23,7 @@ def top_only(candidates: DataFrame, t: float) -> DataFrame:
     return classify.threshold(candidates, t)
 
 
-def attribute_only(pairs: DataFrame, records: DataFrame, p: encode.Parameters = encode.Parameters(), weights: Mapping[str, float] = encode.WEIGHTS) -> DataFrame:
+def attribute_only(pairs: DataFrame, records: DataFrame, p: encode.Parameters, weights: Mapping[str, float] = encode.WEIGHTS) -> DataFrame:
     """Pairs (left_id, right_id, ...) with sim_<attr> of attribute filters without pair keys, and sim, their weighted mean."""
     filters = encode.attribute_filters(records, p)
     found = plain_similarities(pairs, filters, p.attribute_m)

@@ -9,9 +9,11 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from linkveil.functions import crypto
-from linkveil.operators.encode import OWNER_KEY
+from linkveil.session import durable, sent
 
-SALTS = 16
+#: Pairs of a block that one task makes, about, and parts of a block at most.
+PAIRS_A_TASK = 2_000_000
+PARTS = 4096
 
 
 def soundex(value: Column) -> Column:
@@ -26,7 +28,7 @@ KEYS: dict[str, tuple] = {
 }
 
 
-def keys(records: DataFrame, spec: Sequence[str] = tuple(KEYS), key: str = OWNER_KEY) -> DataFrame:
+def keys(records: DataFrame, key: str, spec: Sequence[str] = tuple(KEYS)) -> DataFrame:
     """Adds ``keys``: the keyed digest of each blocking key, null where a part is missing (no block)."""
 
     def digest(name: str) -> Column:
@@ -38,20 +40,30 @@ def keys(records: DataFrame, spec: Sequence[str] = tuple(KEYS), key: str = OWNER
     return records.withColumn("keys", F.array(*(digest(n) for n in spec)))
 
 
-def candidates(left: DataFrame, right: DataFrame, columns: Sequence[str] = (), max_block: int | None = None) -> DataFrame:
+def candidates(left: DataFrame, right: DataFrame, columns: Sequence[str] = (), max_block: int | None = None, per_task: int | None = PAIRS_A_TASK) -> DataFrame:
     """Pairs of records that share a blocking key: left_id, right_id and ``columns`` of each side with l_ and r_.
 
     Both sides have rec_id and keys.  Instead of a distinct over all pairs, a pair stays under the first key that it
-    shares only.  Blocks with over ``max_block`` products of sides go, if that is set; their number can be had from
-    ``block_sizes``.  Large blocks are dealt out by a salt on the left, repeated on the right, only where there are any.
+    shares only.  ``columns`` (the filters' words) travel with the keys, so that pairs are compared where they come up and
+    aren't shuffled.  Blocks with over ``per_task`` pairs are counted first and dealt out: their left rows by a hash of the id,
+    their right rows to each part; all others are joined as they are.  Blocks with over ``max_block`` pairs go, if that is
+    set; ``purged`` tells the loss.
     """
     prefixed = lambda df, p: df.select(F.col("rec_id").alias(f"{p}id"), F.col("keys").alias(f"{p}keys"), *(F.col(c).alias(f"{p}{c}") for c in columns))
     spread = lambda df, p: df.select("*", F.posexplode(f"{p}keys").alias("key_no", "digest")).where("digest IS NOT NULL")
-    a, b = spread(prefixed(left, "l_"), "l_"), spread(prefixed(right, "r_"), "r_")
+    a, b, on = spread(prefixed(left, "l_"), "l_"), spread(prefixed(right, "r_"), "r_"), ["key_no", "digest"]
     if max_block is not None:
-        sizes = block_sizes(left, right).where(F.col("pairs") <= max_block).select("key_no", "digest")
-        a = a.join(sizes, ["key_no", "digest"], "left_semi")
-    pairs = a.join(b, ["key_no", "digest"])
+        sizes = block_sizes(left, right).where(F.col("pairs") <= max_block).select(*on)
+        a = a.join(sizes, on, "left_semi")
+    if per_task is not None:
+        parts = F.least(F.lit(PARTS), F.ceil(F.col("pairs") / per_task)).cast("int")
+        large = durable(block_sizes(left, right).where(F.col("pairs") > per_task).select(*on, parts.alias("parts")))
+        if not large.isEmpty():
+            large = sent(large)
+            a = a.join(large, on, "left").withColumn("part", F.coalesce(F.pmod(F.xxhash64("l_id"), F.col("parts")), F.lit(0)).cast("int")).drop("parts")
+            b = b.join(large, on, "left").withColumn("part", F.explode(F.sequence(F.lit(0), F.coalesce(F.col("parts"), F.lit(1)) - 1))).drop("parts")
+            on = [*on, "part"]
+    pairs = a.join(b, on).drop("part")
     earlier = F.exists(
         F.slice(F.arrays_zip(F.col("l_keys").alias("l"), F.col("r_keys").alias("r")), F.lit(1), F.col("key_no")), lambda z: z["l"] == z["r"]
     )

@@ -66,6 +66,13 @@ def frequency_feature(left_class: Column, right_class: Column, equal: Column) ->
     return F.when(equal, F.least(left_class, right_class)).otherwise(0)
 
 
+def signature_similarities(left: DataFrame, right: DataFrame, attributes: Sequence[str] = ATTRIBUTES) -> DataFrame:
+    """(pair_id, sim_<attr>): share of equal minima of the two signatures, null where a side has no value."""
+    both = left.select("pair_id", "attr", F.col("signature").alias("l")).join(right.select("pair_id", "attr", F.col("signature").alias("r")), ["pair_id", "attr"])
+    same = F.size(F.filter(F.zip_with("l", "r", lambda a, b: a == b), lambda x: x)) / F.size("l")
+    return both.groupBy("pair_id").agg(*(F.max(F.when(F.col("attr") == a, same)).alias(f"sim_{a}") for a in attributes))
+
+
 def weighted_mean(weights: dict[str, float], prefix: str = "sim_") -> Column:
     """Weighted mean of the similarities that aren't missing; null if all are."""
     present = [(F.col(prefix + a), w) for a, w in weights.items()]

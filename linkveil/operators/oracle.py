@@ -27,7 +27,7 @@ def from_table(pairs: DataFrame, labels: DataFrame) -> DataFrame:
 def mask_positions(left: Column, right: Column) -> Column:
     """The left value with each character that the right one has at the same place masked; equal values are masked whole."""
     chars = F.split(left, "")
-    shown = F.zip_with(chars, F.split(F.rpad(right, 4096, "\u0000"), ""), lambda a, b: F.when(a == b, MASK).otherwise(a))
+    shown = F.zip_with(chars, F.split(F.rpad(right, F.greatest(F.length(left), F.lit(1)), F.lit("\u0000")), ""), lambda a, b: F.when(a == b, MASK).otherwise(a))
     body = F.concat_ws("", F.slice(shown, 1, F.length(left)))
     return F.when(left.isNull(), None).when(right.isNull() | (F.length(left) == 0), left).otherwise(body)
 

@@ -14,13 +14,14 @@ from pyspark.sql import functions as F
 
 from linkveil.functions.crypto import uniform
 from linkveil.operators.encode import new_pair_key
+from linkveil.session import sent
 from linkveil.sources.registry import ATTRIBUTES
 
 
-def enqueue(drawn: DataFrame, round_: int = 0, seed: int = 0) -> DataFrame:
-    """Two requests for each drawn pair: round, pair_id, pair_key, owner, rec_id."""
+def enqueue(drawn: DataFrame, round_: int = 0, seed: int | None = None) -> DataFrame:
+    """Two requests for each drawn pair: round, pair_id, pair_key, owner, rec_id.  Without a seed the keys are random; see ``new_pair_key``."""
     sides = F.explode(F.array(F.struct(F.lit("A").alias("owner"), F.col("left_id").alias("rec_id")), F.struct(F.lit("B").alias("owner"), F.col("right_id").alias("rec_id"))))
-    keyed = drawn.select("pair_id", new_pair_key(F.col("pair_id"), 0, seed).alias("pair_key"), sides.alias("side"))
+    keyed = drawn.select("pair_id", new_pair_key(F.col("pair_id"), round_, seed).alias("pair_key"), sides.alias("side"))
     return keyed.select(F.lit(round_).alias("round"), "pair_id", "pair_key", "side.owner", "side.rec_id")
 
 
@@ -29,18 +30,15 @@ def pull(queue: DataFrame, owner: str, answered: DataFrame | None = None, size:
     mine = queue.where(F.col("owner") == owner)
     if answered is not None:
         mine = mine.join(answered.select("pair_id", "owner", "rec_id"), ["pair_id", "owner", "rec_id"], "left_anti")
-    mine = mine.orderBy("round", "pair_id", "rec_id")
-    return mine if size is None else mine.limit(size)
+    return mine if size is None else mine.orderBy("round", "pair_id", "rec_id").limit(size)
 
 
 @dataclass(frozen=True)
 class Policy:
-    """Share of records that an owner answers for, records it never gives, and least group size for plaintext."""
+    """Share of records that an owner answers for; ``deny`` names records that it never gives (such as ``rare_records``)."""
 
     rate: float = 1.0
     seed: int = 0
-    min_k: int = 1
-    max_attributes: int = len(ATTRIBUTES)
 
     def replies(self, requests: DataFrame, deny: DataFrame | None = None) -> DataFrame:
         """Requests that are answered, by a draw for each record."""
@@ -48,6 +46,11 @@ class Policy:
         return found if deny is None else found.join(deny.select("rec_id"), "rec_id", "left_anti")
 
 
+def answer_level(seed: int = 0, left: str = "left_id", right: str = "right_id") -> Column:
+    """The least response rate at which both owners of a pair answer."""
+    return F.greatest(*(uniform(F.col(c), f"reply{seed}") for c in (left, right)))
+
+
 def complete_pairs(replies: DataFrame) -> DataFrame:
     """Pairs that both owners have answered."""
     return replies.groupBy("pair_id").agg(F.countDistinct("owner").alias("owners")).where("owners = 2").select("pair_id")
@@ -90,12 +93,12 @@ def select_attributes(pairs: DataFrame, mode: str = "all", low: float = 0.4, att
 def provide(pairs: DataFrame, records: DataFrame, attributes: Sequence[str] = ATTRIBUTES, most: int | None = None) -> DataFrame:
     """Plaintext replies (pair_id, owner, rec_id, FN..POB) for pairs with ask_<attr>: values that are asked for, else null.
 
-    Pairs are bounded by the review budget and are sent to the tasks.  ``most`` lets owners give no more than so many, in order.
+    Pairs are bounded by the review budget and are sent to the tasks, if they are few enough.  ``most`` lets owners give no more than so many, in order.
     """
     asks = [f"ask_{a}" for a in attributes]
     sides = F.explode(F.array(F.struct(F.lit("A").alias("owner"), F.col("left_id").alias("rec_id")), F.struct(F.lit("B").alias("owner"), F.col("right_id").alias("rec_id"))))
     wanted = pairs.select("pair_id", *asks, sides.alias("side")).select("pair_id", *asks, "side.owner", "side.rec_id")
-    joined = records.join(F.broadcast(wanted), ["owner", "rec_id"])
+    joined = records.join(sent(wanted), ["owner", "rec_id"])
     given, so_far = {}, F.lit(0)
     for a in attributes:
         may = F.col(f"ask_{a}") & F.col(a).isNotNull()

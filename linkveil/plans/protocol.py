@@ -11,7 +11,7 @@ from __future__ import annotations
 
 import hashlib
 import pickle
-from collections.abc import Sequence
+from collections.abc import Callable, Mapping, Sequence
 from dataclasses import dataclass, field, replace
 
 import numpy as np
@@ -22,10 +22,13 @@ from pyspark.sql import functions as F
 from linkveil.functions import bits
 from linkveil.operators import block, classify, compare, encode, measures, owner, sampling
 from linkveil.operators.forest import FEATURES, EvolvingForest, matrix, weight
-from linkveil.session import durable
+from linkveil.session import durable, sent
 from linkveil.sources.registry import ATTRIBUTES
 
 STEP = 0.001
+#: Between a scenario and a run in a run's id.
+MARK = ":"
+STATE_PARTS = 256
 
 
 @dataclass(frozen=True)
@@ -52,7 +55,11 @@ class Schedule:
 
 @dataclass(frozen=True)
 class Settings:
-    """One scenario; each of its runs has a start and a repetition."""
+    """One scenario; each of its runs has a start and a repetition.
+
+    ``ask_more`` raises batches by the response rate, so that as many pairs come back as the schedule says; ``human`` is
+    ``simulated`` or ``table`` (labels that someone else gives); ``encoder`` names a member of ENCODERS; without ``key_seed``
+    pair keys are random."""
 
     schedule: Schedule = field(default_factory=Schedule)
     err: float = 0.2
@@ -73,6 +80,10 @@ class Settings:
     replace_labels: bool = True
     layers: tuple[str, ...] = ("top", "attr", "plain")
     reply_rate: float = 1.0
+    ask_more: bool = False
+    human: str = "simulated"
+    encoder: str = "filters"
+    key_seed: int | None = None
     label_source: str = "current"
     seed: int = 1
 
@@ -93,12 +104,12 @@ class Prepared:
     features: DataFrame | None = None
 
 
-def top_layer(records: DataFrame, p: encode.Parameters = encode.Parameters(), hardening: str | None = None, floor: float | None = None) -> tuple[DataFrame, DataFrame]:
+def top_layer(records: DataFrame, p: encode.Parameters, hardening: str | None = None, floor: float | None = None) -> tuple[DataFrame, DataFrame]:
     """(filters, candidates): record filters with block digests, and compared pairs (pair_id, left_id, right_id, ones, common, sim)."""
     filters, m = encode.record_filter(records, p), p.m
     if hardening == "xor":
         filters, m = encode.xor_fold(filters, m), m // 2
-    keyed = filters.join(block.keys(records).select("rec_id", "keys"), "rec_id")
+    keyed = filters.join(block.keys(records, p.key).select("rec_id", "keys"), "rec_id")
     keyed = durable(keyed)
     pairs = block.candidates(keyed.where("owner = 'A'"), keyed.where("owner = 'B'"), [*bits.names(m), "ones"])
     found = compare.record_similarity(pairs, m, floor)
@@ -106,7 +117,7 @@ def top_layer(records: DataFrame, p: encode.Parameters = encode.Parameters(), ha
     return keyed, found.select(pair_id, "left_id", "right_id", "l_ones", "r_ones", "common", "sim")
 
 
-def prepare(records: DataFrame, name: str = "", p: encode.Parameters = encode.Parameters(), hardening: str | None = None) -> Prepared:
+def prepare(records: DataFrame, p: encode.Parameters, name: str = "", hardening: str | None = None) -> Prepared:
     """Batch matching, with truth for the evaluation: the pairs, their histogram, and the best threshold."""
     records = durable(records)
     filters, found = top_layer(records, p, hardening)
@@ -255,8 +266,14 @@ class Run:
         rows = np.flatnonzero(self.pairs["human"].isna().to_numpy())
         chosen = draw(self.pairs["p_attr"].to_numpy(float)[rows], self.pairs["pair_id"].to_numpy()[rows], size, s, f"{s.seed}.{self.repetition}.{self.updates}")
         for i in rows[chosen]:
-            wrong = _uniform(self.pairs.at[i, "pair_id"], f"human{s.seed}.{self.repetition}") < s.err
-            self.pairs.at[i, "human"] = float(bool(self.pairs.at[i, "truth"]) != wrong)
+            if s.human == "table":
+                given = self.pairs.at[i, "given"]
+                if pd.isna(given):
+                    continue
+                self.pairs.at[i, "human"] = float(given)
+            else:
+                wrong = _uniform(self.pairs.at[i, "pair_id"], f"human{s.seed}.{self.repetition}") < s.err
+                self.pairs.at[i, "human"] = float(bool(self.pairs.at[i, "truth"]) != wrong)
             self.pairs.at[i, "layer"] = "plain"
         self.reviews_human += len(chosen)
 
@@ -269,31 +286,55 @@ def _row(run: Run) -> pd.DataFrame:
 
 
 def frequency_features(pairs: DataFrame, classes: DataFrame, records: DataFrame) -> DataFrame:
-    """(pair_id, fq_<attr>): class of a value that both records share, else 0.  Pairs are bounded by the review budget."""
-    sides = [records.join(F.broadcast(pairs.select("pair_id", F.col(f"{s}_id").alias("rec_id"))), "rec_id").select("pair_id", *(F.col(a).alias(f"{s}_{a}") for a in ATTRIBUTES)) for s in ("left", "right")]
-    both = sides[0].join(sides[1], "pair_id")
-    shared = both.select("pair_id", F.explode(F.array(*(F.struct(F.lit(a).alias("attr"), F.when(F.col(f"left_{a}") == F.col(f"right_{a}"), F.col(f"left_{a}")).alias("value")) for a in ATTRIBUTES))).alias("v")).select("pair_id", "v.*")
+    """(pair_id, fq_<attr>): class of a value that both records share, else 0.  The registry is read once for both sides."""
+    sides = F.explode(F.array(*(F.struct(F.lit(s).alias("side"), F.col(f"{s}_id").alias("rec_id")) for s in ("left", "right"))))
+    wanted = pairs.select("pair_id", sides.alias("s")).select("pair_id", "s.*")
+    values = F.explode(F.array(*(F.struct(F.lit(a).alias("attr"), F.col(a).alias("value")) for a in ATTRIBUTES)))
+    each = records.join(sent(wanted), "rec_id").select("pair_id", values.alias("v")).select("pair_id", "v.*").where("value IS NOT NULL")
+    shared = each.groupBy("pair_id", "attr", "value").agg(F.count(F.lit(1)).alias("n")).where("n = 2")
     classed = shared.join(classes.select("attr", "value", "freq_class"), ["attr", "value"], "left")
-    return classed.groupBy("pair_id").agg(*(F.coalesce(F.max(F.when(F.col("attr") == a, F.col("freq_class"))), F.lit(0)).alias(f"fq_{a}") for a in ATTRIBUTES))
+    found = classed.groupBy("pair_id").agg(*(F.max(F.when(F.col("attr") == a, F.col("freq_class"))).alias(f"fq_{a}") for a in ATTRIBUTES))
+    return pairs.select("pair_id").join(found, "pair_id", "left").na.fill(0, [f"fq_{a}" for a in ATTRIBUTES])
+
+
+def _filter_sims(requests: DataFrame, prepared: Prepared) -> DataFrame:
+    p = prepared.parameters
+    filters = durable(encode.pair_keyed_filters(requests, prepared.records, p))
+    return compare.attribute_similarities(filters.where("owner = 'A'"), filters.where("owner = 'B'"), m=p.attribute_m)
+
+
+def _minhash_sims(requests: DataFrame, prepared: Prepared) -> DataFrame:
+    p = prepared.parameters
+    signed = durable(encode.pair_keyed_minhash(requests, prepared.records, p))
+    return compare.signature_similarities(signed.where("owner = 'A'"), signed.where("owner = 'B'"), p.attributes)
 
 
-def pair_features(pairs: DataFrame, prepared: Prepared, classes: DataFrame, seed: int = 0, rate: float = 1.0) -> DataFrame:
-    """(pair_id, sim_<attr>, fq_<attr>) for pairs that both owners answer for, from pair-keyed filters."""
-    requests = owner.enqueue(pairs, 0, seed)
-    replies = owner.Policy(rate, seed).replies(requests)
+#: Perturbations with a pair's key: requests (owner, rec_id, pair_id, pair_key) and the data to (pair_id, sim_<attr>).
+ENCODERS: dict[str, Callable[[DataFrame, Prepared], DataFrame]] = {"filters": _filter_sims, "minhash": _minhash_sims}
+
+
+def pair_features(pairs: DataFrame, prepared: Prepared, classes: DataFrame, seed: int = 0, rate: float = 1.0, round_: int = 0, key_seed: int | None = None, encoder: str = "filters") -> DataFrame:
+    """(pair_id, sim_<attr>, fq_<attr>) for pairs that both owners answer for, each from its own queue."""
+    queue = durable(owner.enqueue(pairs, round_, key_seed))
+    pulled = owner.pull(queue, "A").unionByName(owner.pull(queue, "B"))
+    replies = owner.Policy(rate, seed).replies(pulled)
     answered = replies.join(owner.complete_pairs(replies), "pair_id") if rate < 1 else replies
-    filters = durable(encode.pair_keyed_filters(answered, prepared.records, prepared.parameters))
-    sims = compare.attribute_similarities(filters.where("owner = 'A'"), filters.where("owner = 'B'"), m=prepared.parameters.attribute_m)
+    sims = ENCODERS[encoder](answered, prepared)
     usable = pairs if rate >= 1 else pairs.join(owner.complete_pairs(answered), "pair_id", "left_semi")
     return usable.select("pair_id").join(sims, "pair_id", "left").join(frequency_features(usable, classes, prepared.records), "pair_id")
 
 
-def runs_of(prepared: Prepared, s: Settings) -> list[Run]:
+def runs_of(prepared: Prepared, s: Settings, scenario: str = "") -> list[Run]:
+    name = f"{scenario}{MARK}" if scenario else ""
     return [
-        Run(f"{i:02d}.{r}", round(prepared.t_best + o, 9), r, s, prepared.histogram, prepared.n_true) for i, o in enumerate(s.offsets) for r in range(s.repetitions)
+        Run(f"{name}{i:02d}.{r}", round(prepared.t_best + o, 9), r, s, prepared.histogram, prepared.n_true) for i, o in enumerate(s.offsets) for r in range(s.repetitions)
     ]
 
 
+def scenario_of(run_id: str) -> str:
+    return run_id.rpartition(MARK)[0]
+
+
 def draw_batches(candidates: DataFrame, runs: list[tuple[str, float]], reviewed: DataFrame | None, size: int, s: Settings, round_: int) -> DataFrame:
     """(run_id, pair_id, left_id, right_id, sim, truth) of each run's next batch.
 
@@ -303,10 +344,10 @@ def draw_batches(candidates: DataFrame, runs: list[tuple[str, float]], reviewed:
     bands = [(run_id, t, *classify.uncertain_interval(t, s.p_limit, s.below, s.above)) for run_id, t in runs]
     table = spark.createDataFrame(bands, "run_id string, t double, lo double, hi double")
     inside = candidates.where((F.col("sim") > min(b[2] for b in bands)) & (F.col("sim") < max(b[3] for b in bands)))
-    pairs = inside.join(F.broadcast(table), (F.col("sim") > F.col("lo")) & (F.col("sim") < F.col("hi")))
+    pairs = inside.join(F.broadcast(table), (F.col("sim") > F.col("lo")) & (F.col("sim") < F.col("hi")))  # a row a run
     pairs = pairs.withColumn("p", classify.ramp(F.col("sim"), F.col("t"), s.below, s.above)).where(F.col("p") < s.p_limit)
     if reviewed is not None:
-        pairs = pairs.join(F.broadcast(reviewed), ["run_id", "pair_id"], "left_anti")  # bounded by the review budget
+        pairs = pairs.join(sent(reviewed), ["run_id", "pair_id"], "left_anti")
     seed = F.concat_ws(".", F.lit(str(s.seed)), F.substring_index("run_id", ".", -1), F.lit(str(round_)))
     if s.sampler == "bucketed":
         drawn = sampling.bucketed(pairs, size, s.p_limit, s.buckets, seed, by=["run_id"])
@@ -350,48 +391,85 @@ def _log_of(states):
                 yield table[names]
 
 
-def _stepper(s: Settings, warm: bool, table: np.ndarray, n_true: int):
+def _stepper(scenarios: Mapping[str, Settings], warm: bool, table: np.ndarray, n_true: int):
     def step(old: pd.DataFrame, new: pd.DataFrame) -> pd.DataFrame:
         run = pickle.loads(old["blob"].iloc[0])
-        run.advance(new.drop(columns="run_id"), s, warm, table, n_true)
+        run.advance(new.drop(columns="run_id"), scenarios[scenario_of(run.run_id)], warm, table, n_true)
         return _row(run)
 
     return step
 
 
-def run_protocol(prepared: Prepared, s: Settings = Settings()) -> Outcome:
-    """All runs of a scenario."""
+def _alike(s: Settings) -> tuple:
+    """What runs have in common that are drawn together."""
+    return s.sampler, s.p_limit, s.buckets, s.below, s.above, s.seed, s.reply_rate if s.ask_more else 1.0
+
+
+def run_scenarios(prepared: Prepared, scenarios: Mapping[str, Settings], labels: DataFrame | None = None) -> dict[str, Outcome]:
+    """All runs of several scenarios that have the same batches of the upper loop: they advance together, round by round.
+
+    ``labels`` (pair_id, g) are those of a human who isn't simulated."""
     spark: SparkSession = prepared.records.sparkSession
-    table, n_true = prepared.histogram, prepared.n_true
-    state = durable(spark.createDataFrame(pd.concat([_row(r) for r in runs_of(prepared, s)]), _STATE).repartition(len(s.offsets) * s.repetitions))
-    classes = durable(encode.frequency_classes(prepared.records))
+    every = list(scenarios.values())
+    common = {(s.schedule.small, s.schedule.n_small, s.schedule.big, s.schedule.n_big, s.encoder, s.seed, s.key_seed, "attr" in s.layers) for s in every}
+    if len(common) != 1:
+        raise ValueError("scenarios that run together have the same batches, encoder and seeds")
+    s0, table, n_true = every[0], prepared.histogram, prepared.n_true
+    runs = [r for name, s in scenarios.items() for r in runs_of(prepared, s, name)]
+    state = durable(spark.createDataFrame(pd.concat([_row(r) for r in runs]), _STATE).repartition(min(len(runs), STATE_PARTS)))
+    classes = encode.frequency_classes(prepared.records)
+    classes = durable(classes) if "attr" in s0.layers else classes
+    rate = max(s.reply_rate for s in every)
     reviewed = features = None
-    batches = [(s.schedule.small, True)] * s.schedule.n_small + [(s.schedule.big, False)] * s.schedule.n_big
-    if "attr" not in s.layers:
+    batches = [(s0.schedule.small, True)] * s0.schedule.n_small + [(s0.schedule.big, False)] * s0.schedule.n_big
+    if "attr" not in s0.layers:
         batches = []
     for round_, (size, warm) in enumerate(batches):
-        runs = [(r["run_id"], r["t"]) for r in state.select("run_id", "t").collect()]  # a row a run
-        drawn = durable(draw_batches(prepared.candidates, runs, reviewed, size, s, round_))
+        at = [(r["run_id"], r["t"]) for r in state.select("run_id", "t").collect()]  # a row a run
+        drawn = None
+        for alike in dict.fromkeys(_alike(s) for s in every):
+            mine = [(run_id, t) for run_id, t in at if _alike(scenarios[scenario_of(run_id)]) == alike]
+            s = scenarios[scenario_of(mine[0][0])]
+            asked = sampling.batch_for(size, s.reply_rate) if s.ask_more else size
+            found = draw_batches(prepared.candidates, mine, reviewed, asked, s, round_)
+            drawn = found if drawn is None else drawn.unionByName(found)
+        drawn = durable(drawn)
         pairs = drawn.select("pair_id", "left_id", "right_id").distinct()
         if features is not None:
-            pairs = pairs.join(F.broadcast(features.select("pair_id")), "pair_id", "left_anti")
-        found = pair_features(durable(pairs), prepared, classes, s.seed, s.reply_rate)
-        features = durable(found if features is None else features.unionByName(found))
-        news = drawn.join(F.broadcast(features), "pair_id")  # bounded by the review budget
-
-        step = _stepper(s, warm, table, n_true)
+            pairs = pairs.join(sent(features.select("pair_id")), "pair_id", "left_anti")
+        found = durable(pair_features(durable(pairs), prepared, classes, s0.seed, rate, round_, s0.key_seed, s0.encoder))
+        features = found if features is None else features.unionByName(found)
+        news = drawn.join(sent(features), "pair_id")
+        rates = {name: s.reply_rate for name, s in scenarios.items() if s.reply_rate < rate}
+        if rates:  # owners who answer less give a part of the same answers
+            scenario = F.regexp_extract("run_id", f"^(.*){MARK}", 1)
+            limit = F.coalesce(F.create_map(*(F.lit(x) for kv in rates.items() for x in kv))[scenario], F.lit(2.0))
+            news = news.where(owner.answer_level(s0.seed) < limit)
+        if labels is not None:
+            news = news.join(labels.select("pair_id", F.col("g").cast("double").alias("given")), "pair_id", "left")
+        step = _stepper(scenarios, warm, table, n_true)
         state = durable(state.groupBy("run_id").cogroup(news.groupBy("run_id")).applyInPandas(step, _STATE))
         asked = drawn.select("run_id", "pair_id")
-        reviewed = durable(asked if reviewed is None else reviewed.unionByName(asked))
-    return Outcome(state.mapInPandas(_metrics_of, _METRICS), state.mapInPandas(_log_of, _LOG), features)
+        reviewed = asked if reviewed is None else reviewed.unionByName(asked)
+    out = {}
+    for name in scenarios:
+        mine = state.where(F.col("run_id").startswith(f"{name}{MARK}")) if name else state
+        bare = F.substring_index("run_id", MARK, -1)
+        out[name] = Outcome(mine.mapInPandas(_metrics_of, _METRICS).withColumn("run_id", bare), mine.mapInPandas(_log_of, _LOG).withColumn("run_id", bare), features)
+    return out
+
+
+def run_protocol(prepared: Prepared, s: Settings, labels: DataFrame | None = None) -> Outcome:
+    """All runs of a scenario."""
+    return run_scenarios(prepared, {"": s}, labels)[""]
 
 
-def pretrain(prepared: Prepared, size: int = 500, seed: int = 1) -> bytes:
+def pretrain(prepared: Prepared, size: int = 500, seed: int = 1, key_seed: int | None = None) -> bytes:
     """A forest trained on the uncertain pairs of a data set with known truth, for another data set's attribute layer."""
     t = prepared.t_best
     pairs = classify.threshold(prepared.candidates, t).where(F.col("p") < 0.8)
     drawn = durable(sampling.bucketed(pairs, size, seed=seed).select("pair_id", "left_id", "right_id", "truth"))
-    rows = drawn.select("pair_id", "truth").join(pair_features(drawn, prepared, encode.frequency_classes(prepared.records), seed), "pair_id").toPandas().sort_values("pair_id")  # ``size`` rows
+    rows = drawn.select("pair_id", "truth").join(pair_features(drawn, prepared, encode.frequency_classes(prepared.records), seed, key_seed=key_seed), "pair_id").toPandas().sort_values("pair_id")  # ``size`` rows
     forest = EvolvingForest(seed=seed)
     for _ in range(10):
         forest = forest.update(matrix(rows, FEATURES), rows["truth"].to_numpy(float), np.ones(len(rows)))
@@ -401,7 +479,7 @@ def pretrain(prepared: Prepared, size: int = 500, seed: int = 1) -> bytes:
 def result(candidates: DataFrame, log: DataFrame, t: float) -> DataFrame:
     """The top layer's final result of one run: a human's label, else the attribute model's, else ``sim >= t``."""
     labels = log.select("pair_id", F.col("g").alias("label"), F.col("layer"))
-    joined = candidates.join(F.broadcast(labels), "pair_id", "left")  # bounded by the review budget
+    joined = candidates.join(sent(labels), "pair_id", "left")
     return joined.select("pair_id", "left_id", "right_id", "sim", F.coalesce("label", F.col("sim") >= t).alias("g"), F.coalesce("layer", F.lit("top")).alias("layer"))
 
 

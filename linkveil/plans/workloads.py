@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import math
-from collections.abc import Sequence
+from collections.abc import Mapping, Sequence
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -16,8 +16,8 @@ from linkveil.session import durable
 from linkveil.sources.registry import ATTRIBUTES, registry
 
 
-def data_set(spark: SparkSession, sf_dir: str, variant: str = "E1M", hardening: str | None = None) -> protocol.Prepared:
-    return protocol.prepare(registry(spark, sf_dir, variant), variant + ("-XOR" if hardening else ""), hardening=hardening)
+def data_set(spark: SparkSession, sf_dir: str, p: encode.Parameters, variant: str = "E1M", hardening: str | None = None) -> protocol.Prepared:
+    return protocol.prepare(registry(spark, sf_dir, variant), p, variant + ("-XOR" if hardening else ""), hardening)
 
 
 def schedule(prepared: protocol.Prepared, budget: int) -> protocol.Schedule:
@@ -28,9 +28,18 @@ def schedule(prepared: protocol.Prepared, budget: int) -> protocol.Schedule:
     return protocol.Schedule(small, 5, max(2 * small, round(1000 * scale)), 4, max(10, round(budget * scale)))
 
 
-def curve(prepared: protocol.Prepared, budget: int = 100, err: float = 0.2, **changes) -> protocol.Outcome:
+def settings(prepared: protocol.Prepared, budget: int = 100, err: float = 0.2, **changes) -> protocol.Settings:
+    return protocol.Settings(schedule=schedule(prepared, budget), err=err, **changes)
+
+
+def curve(prepared: protocol.Prepared, budget: int = 100, err: float = 0.2, labels: DataFrame | None = None, **changes) -> protocol.Outcome:
     """One scenario over eleven starts and three repetitions (or what ``changes`` says)."""
-    return protocol.run_protocol(prepared, protocol.Settings(schedule=schedule(prepared, budget), err=err, **changes))
+    return protocol.run_protocol(prepared, settings(prepared, budget, err, **changes), labels)
+
+
+def curves(prepared: protocol.Prepared, scenarios: Mapping[str, Mapping]) -> dict[str, protocol.Outcome]:
+    """Several scenarios, by name, that advance together; each is what ``curve`` takes."""
+    return protocol.run_scenarios(prepared, {name: settings(prepared, **s) for name, s in scenarios.items()})
 
 
 def summary(outcome: protocol.Outcome, **tags) -> DataFrame:
@@ -50,17 +59,19 @@ def reference_lines(prepared: protocol.Prepared) -> DataFrame:
     return top.unionByName(attribute).select(F.lit(prepared.name).alias("data"), "baseline", F.round("t", 6).alias("t"), F.round("f1", 6).alias("f1"))
 
 
-def filter_privacy(prepared: protocol.Prepared, requested: DataFrame) -> DataFrame:
-    """Counts, Gini and Jensen-Shannon of plain and of pair-keyed attribute filters, per attribute; ``requested``: pairs with left_id and right_id."""
+def filter_privacy(prepared: protocol.Prepared, reviewed: DataFrame, seed: int | None = None) -> DataFrame:
+    """Counts, Gini and Jensen-Shannon of plain and of pair-keyed attribute filters, per attribute.
+
+    ``reviewed`` (run_id, pair_id, left_id, right_id): of pair-keyed filters the means over the runs.  Each pair is encoded once."""
     p = prepared.parameters
-    kinds = {"plain": encode.attribute_filters(prepared.records, p), "pair_keyed": encode.pair_keyed_filters(owner.enqueue(requested), prepared.records, p)}
-    out = None
-    for kind, filters in kinds.items():
-        filters = durable(filters)
-        uneven = measures.unevenness(measures.bit_counts(filters, p.attribute_m, ["attr"]), ["attr"])
-        rows = uneven.join(measures.encoding_counts(filters), "attr").withColumn("kind", F.lit(kind))
-        out = rows if out is None else out.unionByName(rows)
-    return out.select("kind", "attr", "encodings", "gini", "js_divergence", "js_distance")
+    plain = durable(encode.attribute_filters(prepared.records, p))
+    asked = durable(reviewed.select("run_id", "pair_id", "left_id", "right_id"))
+    keyed = durable(encode.pair_keyed_filters(owner.enqueue(asked.drop("run_id").distinct(), seed=seed), prepared.records, p))
+    measure = lambda filters, by: measures.unevenness(measures.bit_counts(filters, p.attribute_m, by), by).join(filters.groupBy(*by).agg(F.count(F.lit(1)).alias("encodings")), by)
+    runs = measure(keyed.join(asked.select("run_id", "pair_id"), "pair_id"), ["run_id", "attr"])
+    mean = runs.groupBy("attr").agg(*(F.round(F.avg(c), 9).alias(c) for c in ("encodings", "gini", "js_divergence", "js_distance")), F.count(F.lit(1)).alias("runs"))
+    one = measure(plain, ["attr"]).withColumn("runs", F.lit(1).cast("long")).withColumn("encodings", F.col("encodings").cast("double"))
+    return one.withColumn("kind", F.lit("plain")).unionByName(mean.withColumn("kind", F.lit("pair_keyed"))).select("kind", "attr", "runs", "encodings", "gini", "js_divergence", "js_distance")
 
 
 def hardening_privacy(prepared: protocol.Prepared) -> DataFrame:
@@ -105,12 +116,17 @@ ABLATIONS: dict[str, dict] = {
 def ablation(prepared: protocol.Prepared, budget: int = 300, err: float = 0.2, names: Sequence[str] = tuple(ABLATIONS), pretrained: bytes | None = None, **changes) -> DataFrame:
     """First and last micro-average F1 and range for each arm; with a forest from another data set also the arm that uses it."""
     arms = {n: ABLATIONS[n] for n in names} | ({"pretrained": {"attribute_model": "pretrained", "pretrained": pretrained}} if pretrained else {})
+    return ends(curves(prepared, {name: {"budget": budget, "err": err, **changes, **arm} for name, arm in arms.items()}))
+
+
+def ends(arms: Mapping[str, protocol.Outcome]) -> DataFrame:
+    """(arm, first_f1, first_range, last_f1, last_range, reviews_attr, reviews_human): each arm before and after its reviews."""
     out = None
-    for name, arm in arms.items():
-        table = durable(summary(curve(prepared, budget, err, **{**changes, **arm}), arm=name))
+    for name, outcome in arms.items():
+        table = durable(summary(outcome, arm=name))
         last = table.agg(F.max("round").alias("round"))
-        ends = table.where("round = 0").select("arm", F.col("micro_f1").alias("first_f1"), F.col("f1_range").alias("first_range"))
-        row = ends.join(table.join(F.broadcast(last), "round").select("arm", F.col("micro_f1").alias("last_f1"), F.col("f1_range").alias("last_range"), "reviews_attr", "reviews_human"), "arm")  # one row each
+        first = table.where("round = 0").select("arm", F.col("micro_f1").alias("first_f1"), F.col("f1_range").alias("first_range"))
+        row = first.join(table.join(F.broadcast(last), "round").select("arm", F.col("micro_f1").alias("last_f1"), F.col("f1_range").alias("last_range"), "reviews_attr", "reviews_human"), "arm")  # one row each
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -149,12 +165,12 @@ def document_pairs(records: DataFrame) -> DataFrame:
     return found.select("left_id", "right_id", (F.col("l_digest") == F.col("r_digest")).alias("exact"))
 
 
-def document_linkage(documents: DataFrame, t: float = 0.7) -> DataFrame:
+def document_linkage(documents: DataFrame, key: str, t: float = 0.7) -> DataFrame:
     """Record filters of the documents' attributes, compared and classified: left_id, right_id, exact, sim, g, p."""
     from linkveil.functions import bits
 
     records = document_records(documents)
-    p = encode.Parameters(attributes=DOC_ATTRIBUTES)
+    p = encode.Parameters(key, attributes=DOC_ATTRIBUTES)
     filters = encode.record_filter(records, p)
     names = [*bits.names(p.m), "ones"]
     side = lambda s, name: filters.select(F.col("rec_id").alias(name), *(F.col(w).alias(s + w) for w in names))

@@ -20,7 +20,7 @@ from linkveil.sources.registry import ATTRIBUTES
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLE_SQL: dict[str, str] = {}
 T = S.T
-P = encode.Parameters()
+P = S.P
 _kept: weakref.WeakKeyDictionary = weakref.WeakKeyDictionary()
 
 
@@ -34,12 +34,23 @@ def query(sql: str | None = None):
     return register
 
 
-def kept(spark: SparkSession, name: str, make: Callable[[], DataFrame]) -> DataFrame:
-    """A derived table that several queries of a session use: written once to the checkpoint folder."""
+def file_state(spark: SparkSession, sf_dir: str) -> tuple:
+    """The folder with the age and size of the tables that the registry is made of: what is kept for it goes out of use when they change."""
+    out = [sf_dir]
+    for name in ("orders", "customer", "nation", "documents"):
+        path = spark._jvm.org.apache.hadoop.fs.Path(f"{sf_dir}/{name}.parquet")
+        status = path.getFileSystem(spark._jsc.hadoopConfiguration()).getFileStatus(path)
+        out.append((status.getModificationTime(), status.getLen()))
+    return tuple(out)
+
+
+def kept(spark: SparkSession, sf_dir: str, name: str, make: Callable[[], DataFrame]) -> DataFrame:
+    """A derived table that several queries of a session use: written once to the checkpoint folder, as long as its sources stay as they are."""
     tables = _kept.setdefault(spark, {})
-    if name not in tables:
-        tables[name] = durable(make())
-    return tables[name]
+    key = (name, file_state(spark, sf_dir))
+    if key not in tables:
+        tables[key] = durable(make())
+    return tables[key]
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -47,19 +58,19 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def registry(spark: SparkSession, sf_dir: str, variant: str = "E1M") -> DataFrame:
-    return kept(spark, f"registry {sf_dir} {variant}", lambda: R.registry(spark, sf_dir, variant))
+    return kept(spark, sf_dir, f"registry {variant}", lambda: R.registry(spark, sf_dir, variant))
 
 
 def record_filters(spark, sf_dir) -> DataFrame:
-    return kept(spark, f"filters {sf_dir}", lambda: encode.record_filter(registry(spark, sf_dir)))
+    return kept(spark, sf_dir, "filters", lambda: encode.record_filter(registry(spark, sf_dir), P))
 
 
 def attribute_filters(spark, sf_dir) -> DataFrame:
-    return kept(spark, f"attribute filters {sf_dir}", lambda: encode.attribute_filters(registry(spark, sf_dir)))
+    return kept(spark, sf_dir, "attribute filters", lambda: encode.attribute_filters(registry(spark, sf_dir), P))
 
 
 def keyed(spark, sf_dir) -> DataFrame:
-    return block.keys(registry(spark, sf_dir))
+    return block.keys(registry(spark, sf_dir), S.KEY)
 
 
 def pairs(spark, sf_dir) -> DataFrame:
@@ -70,7 +81,7 @@ def pairs(spark, sf_dir) -> DataFrame:
         found = block.candidates(k.where("owner = 'A'"), k.where("owner = 'B'"), ["entity_id"])
         return found.select(F.concat_ws("-", "left_id", "right_id").alias("pair_id"), "left_id", "right_id", (F.col("l_entity_id") == F.col("r_entity_id")).alias("truth"))
 
-    return kept(spark, f"pairs {sf_dir}", make)
+    return kept(spark, sf_dir, "pairs", make)
 
 
 def compared(spark, sf_dir, filters: DataFrame | None = None, m: int = 1024) -> DataFrame:
@@ -82,7 +93,7 @@ def compared(spark, sf_dir, filters: DataFrame | None = None, m: int = 1024) ->
 
 
 def candidates(spark, sf_dir) -> DataFrame:
-    return kept(spark, f"candidates {sf_dir}", lambda: compared(spark, sf_dir))
+    return kept(spark, sf_dir, "candidates", lambda: compared(spark, sf_dir))
 
 
 def classified(spark, sf_dir) -> DataFrame:
@@ -90,21 +101,21 @@ def classified(spark, sf_dir) -> DataFrame:
 
 
 def drawn(spark, sf_dir) -> DataFrame:
-    return kept(spark, f"drawn {sf_dir}", lambda: sampling.bucketed(classified(spark, sf_dir), 100))
+    return kept(spark, sf_dir, "drawn", lambda: sampling.bucketed(classified(spark, sf_dir), 100))
 
 
 def requests(spark, sf_dir) -> DataFrame:
-    return owner.enqueue(drawn(spark, sf_dir))
+    return owner.enqueue(drawn(spark, sf_dir), seed=0)
 
 
 def pair_filters(spark, sf_dir) -> DataFrame:
-    return kept(spark, f"pair filters {sf_dir}", lambda: encode.pair_keyed_filters(requests(spark, sf_dir), registry(spark, sf_dir)))
+    return kept(spark, sf_dir, "pair filters", lambda: encode.pair_keyed_filters(requests(spark, sf_dir), registry(spark, sf_dir), P))
 
 
 def pair_sims(spark, sf_dir) -> DataFrame:
     f = pair_filters(spark, sf_dir)
     sims = compare.attribute_similarities(f.where("owner = 'A'"), f.where("owner = 'B'"))
-    return kept(spark, f"pair sims {sf_dir}", lambda: drawn(spark, sf_dir).join(sims, "pair_id", "left"))
+    return kept(spark, sf_dir, "pair sims", lambda: drawn(spark, sf_dir).join(sims, "pair_id", "left"))
 
 
 def replies(spark, sf_dir, mode: str = "all") -> DataFrame:
@@ -231,14 +242,14 @@ def folded_positions(spark, sf_dir):
 
 _SALTED = f"""
 salted_gram AS (SELECT g.rec_id, g.owner, g.gram, r.YOB AS salt FROM gram_of g JOIN registry r ON r.rec_id = g.rec_id),
-salted_mask AS (SELECT gram, salt, {twin.positions(twin.hmac('gram', f"'{S.KEY}' || translate(salt, '6', 'x')"), '12', 1024, most=12)} AS p FROM (SELECT DISTINCT gram, salt FROM salted_gram))
+salted_mask AS (SELECT gram, salt, {twin.positions(twin.hmac('gram', f"'{S.KEY}|' || salt"), '12', 1024, most=12)} AS p FROM (SELECT DISTINCT gram, salt FROM salted_gram))
 SELECT rec_id, len(list_distinct(flatten(list(p))))::INT AS ones FROM salted_gram JOIN salted_mask USING (gram, salt) GROUP BY rec_id"""
 
 
 @query(S.with_(S.registry(), S.VALUE, S.GRAM, _SALTED.split("\nSELECT rec_id, len")[0]) + "SELECT rec_id, len" + _SALTED.split("\nSELECT rec_id, len")[1])
 def salted_ones(spark, sf_dir):
     """Record filters with the year of birth in the key."""
-    return encode.record_filter(registry(spark, sf_dir), record_salt="YOB").select("rec_id", "ones")
+    return encode.record_filter(registry(spark, sf_dir), P, record_salt="YOB").select("rec_id", "ones")
 
 
 @query(S.with_(S.registry(), S.VALUE, S.GRAM, S.ATTRIBUTE_FILTER) + "SELECT rec_id, attr, ones::INT AS ones FROM attr_filter")
@@ -254,7 +265,7 @@ _PLAN = encode.bit_plan(encode.WEIGHTS, 1024, P.attribute_m, P.key)
     + "SELECT r.rec_id, coalesce(n, 0)::INT AS ones FROM registry r LEFT JOIN (SELECT rec_id, count(DISTINCT position) AS n FROM (SELECT rec_id, attr, unnest(pos) AS bit FROM attr_filter) JOIN plan USING (attr, bit) GROUP BY rec_id) USING (rec_id)"
 )
 def sampled_filter_ones(spark, sf_dir):
-    return encode.sampled_filter(registry(spark, sf_dir)).select("rec_id", "ones")
+    return encode.sampled_filter(registry(spark, sf_dir), P).select("rec_id", "ones")
 
 
 @query(S.with_(*S.TO_REQUESTS, S.PAIR_KEYED) + "SELECT pair_id, owner, rec_id, attr, ones::INT AS ones FROM pair_filter")
@@ -305,7 +316,7 @@ def candidate_pairs(spark, sf_dir):
 @query(S.with_(S.registry(), S.KEYED) + "SELECT a.rec_id AS left_id, b.rec_id AS right_id FROM keyed a JOIN keyed b ON a.owner = 'A' AND b.owner = 'B' AND a.k0 = b.k0 UNION SELECT a.rec_id, b.rec_id FROM keyed a JOIN keyed b ON a.owner = 'A' AND b.owner = 'B' AND a.k1 = b.k1")
 def candidate_pairs_exact_keys(spark, sf_dir):
     """Without the phonetic key."""
-    k = block.keys(registry(spark, sf_dir), ("fn_yob", "ln_yob"))
+    k = block.keys(registry(spark, sf_dir), S.KEY, ("fn_yob", "ln_yob"))
     return block.candidates(k.where("owner = 'A'"), k.where("owner = 'B'")).select("left_id", "right_id")
 
 
@@ -321,8 +332,8 @@ def blocking_quality(spark, sf_dir):
 def candidates_hardened_diff(spark, sf_dir):
     """The same pairs come up whatever the encoding."""
     r = registry(spark, sf_dir)
-    plain = protocol.top_layer(r)[1].select("left_id", "right_id")
-    folded = protocol.top_layer(r, hardening="xor")[1].select("left_id", "right_id")
+    plain = protocol.top_layer(r, P)[1].select("left_id", "right_id")
+    folded = protocol.top_layer(r, P, hardening="xor")[1].select("left_id", "right_id")
     count = lambda df, name: df.agg(F.count(F.lit(1)).alias(name))
     return count(plain, "plain").crossJoin(count(folded, "folded")).crossJoin(count(plain.exceptAll(folded), "only_plain")).crossJoin(count(folded.exceptAll(plain), "only_folded"))
 
@@ -378,7 +389,7 @@ def attribute_scores(spark, sf_dir) -> DataFrame:
         found = baselines.plain_similarities(pairs(spark, sf_dir), attribute_filters(spark, sf_dir))
         return found.withColumn("sim", compare.weighted_mean(encode.WEIGHTS))
 
-    return kept(spark, f"attribute scores {sf_dir}", make)
+    return kept(spark, sf_dir, "attribute scores", make)
 
 
 _GRAM_SET = "gram_set AS (SELECT rec_id, list_distinct(list(gram)) AS grams FROM gram_of GROUP BY rec_id)"
@@ -712,7 +723,7 @@ def _attack(spark, sf_dir, filters, m=1024):
 def attack_attribute_bits(spark, sf_dir):
     """Bits of sampled filters that the attack attributes rightly, and of joint filters that stay ambiguous."""
     plan = spark.createDataFrame(_PLAN, "position int, attr string, bit int")
-    sampled = _attack(spark, sf_dir, encode.sampled_filter(registry(spark, sf_dir)))
+    sampled = _attack(spark, sf_dir, encode.sampled_filter(registry(spark, sf_dir), P))
     right = attacks.attribution_precision(sampled, plan).select("guesses", "right", "precision")
     return right.crossJoin(attacks.ambiguous_bits(_attack(spark, sf_dir, record_filters(spark, sf_dir))))  # one row each
 
@@ -726,13 +737,13 @@ def attack_token_bits(spark, sf_dir):
 def attack_dictionary(spark, sf_dir):
     """With the owners' key, every year of birth is found from a list of years."""
     years = spark.range(1900, 2020).select(F.col("id").cast("string").alias("value"))
-    return attacks.dictionary(attribute_filters(spark, sf_dir), years, "YOB", S.KEY)
+    return attacks.dictionary(attribute_filters(spark, sf_dir), years, "YOB", S.KEY, P)
 
 
 @query(S.with_(S.registry()) + "SELECT rec_id, owner, YOB AS value FROM registry WHERE false")
 def attack_dictionary_wrong_key(spark, sf_dir):
     years = spark.range(1900, 2020).select(F.col("id").cast("string").alias("value"))
-    return attacks.dictionary(attribute_filters(spark, sf_dir), years, "YOB", "another")
+    return attacks.dictionary(attribute_filters(spark, sf_dir), years, "YOB", "another", P)
 
 
 @query(

@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+from linkveil.functions import crypto
 from linkveil.operators import block, encode
 from linkveil.queries import twin
 from linkveil.sources.registry import ATTRIBUTES
 
 T = 0.7
-KEY = encode.OWNER_KEY
-P = encode.Parameters()
+#: The owners' key of the queries; a real one is secret.
+KEY = "ownersecret"
+P = encode.Parameters(KEY)
 
 
 def with_(*parts: str) -> str:
@@ -44,7 +46,7 @@ def folded(source: str = "record_filter", name: str = "folded", m: int = P.m) ->
 
 
 ATTRIBUTE_FILTER = f"""
-attr_mask AS (SELECT attr, gram, {twin.positions(twin.hmac('gram', f"'{KEY}' || attr"), H_OF, P.attribute_m)} AS p FROM (SELECT DISTINCT attr, gram FROM gram_of)),
+attr_mask AS (SELECT attr, gram, {twin.positions(twin.hmac('gram', f"'{KEY}|' || attr"), H_OF, P.attribute_m)} AS p FROM (SELECT DISTINCT attr, gram FROM gram_of)),
 attr_filter AS (
   SELECT rec_id, owner, attr, list_sort(list_distinct(flatten(list(p)))) AS pos, len(list_distinct(flatten(list(p)))) AS ones
   FROM gram_of JOIN attr_mask USING (attr, gram) GROUP BY rec_id, owner, attr
@@ -82,16 +84,17 @@ turns AS (
   SELECT *, row_number() OVER (PARTITION BY bucket ORDER BY md5('0|' || pair_id), pair_id) AS turn
   FROM (SELECT *, least(floor(round((p - 0.5::DOUBLE) / ((0.8::DOUBLE - 0.5::DOUBLE) / 10), 6))::INT, 9) AS bucket FROM classified WHERE p < 0.8)
 ), drawn AS (SELECT * FROM turns ORDER BY turn, bucket LIMIT 100)"""
-REQUEST = """
+PAIR_KEY = f"translate(substr({twin.hmac("pair_id || '|0'", "'pair keys 0'")}, 1, 24), '0123456789abcdef', '{crypto.LETTERS}')"
+REQUEST = f"""
 request AS (
-  SELECT 0 AS round, pair_id, translate(substr(sha256('0|' || pair_id || '|0'), 1, 24), '0123456789abcdef', 'ghijklmnopqrstuv') AS pair_key, 'A' AS owner, left_id AS rec_id FROM drawn
-  UNION ALL SELECT 0, pair_id, translate(substr(sha256('0|' || pair_id || '|0'), 1, 24), '0123456789abcdef', 'ghijklmnopqrstuv'), 'B', right_id FROM drawn
+  SELECT 0 AS round, pair_id, {PAIR_KEY} AS pair_key, 'A' AS owner, left_id AS rec_id FROM drawn
+  UNION ALL SELECT 0, pair_id, {PAIR_KEY}, 'B', right_id FROM drawn
 )"""
 PAIR_KEYED = f"""
 keyed_gram AS (SELECT r.pair_id, r.pair_key, g.* FROM request r JOIN gram_of g ON g.rec_id = r.rec_id),
 pair_filter AS (
   SELECT pair_id, owner, rec_id, attr, list_sort(list_distinct(flatten(list(p)))) AS pos, len(list_distinct(flatten(list(p)))) AS ones
-  FROM (SELECT *, {twin.positions(twin.hmac('gram', f"'{KEY}' || pair_key || attr"), H_OF, P.attribute_m)} AS p FROM keyed_gram) GROUP BY pair_id, owner, rec_id, attr
+  FROM (SELECT *, {twin.positions(twin.hmac('gram', f"'{KEY}|' || pair_key || '|' || attr"), H_OF, P.attribute_m)} AS p FROM keyed_gram) GROUP BY pair_id, owner, rec_id, attr
 )"""
 PAIR_SIMS = """
 pair_sim AS (

@@ -36,7 +36,7 @@ def _events(spark, sf_dir, where):
 def stream_incremental(spark, sf_dir):
     """B's encoded records arrive in files and are linked with A's stored ones: the same pairs as the batch."""
     where = link.folder(spark, "arrivals")
-    keyed = linkage.record_filters(spark, sf_dir).join(block.keys(linkage.registry(spark, sf_dir)).select("rec_id", "keys"), "rec_id")
+    keyed = linkage.record_filters(spark, sf_dir).join(block.keys(linkage.registry(spark, sf_dir), linkage.P.key).select("rec_id", "keys"), "rec_id")
     stored, arriving = keyed.where("owner = 'A'"), keyed.where("owner = 'B'")
     arriving.repartition(4).write.parquet(f"{where}/in")
     stream = spark.readStream.schema(arriving.schema).option("maxFilesPerTrigger", 2).parquet(f"{where}/in")

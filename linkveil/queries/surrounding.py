@@ -11,6 +11,7 @@ from pyspark.sql.window import Window
 from linkveil.functions import sqlfuncs
 from linkveil.operators import compare
 from linkveil.plans import workloads
+from linkveil.queries import linkage_sql, twin
 from linkveil.sources import exchange
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -237,7 +238,10 @@ def op_maps(spark, sf_dir):
     return t(spark, sf_dir, "nation").select("n_nationkey", F.explode(F.map_entries(m)).alias("e")).select("n_nationkey", F.concat_ws(":", "e.key", "e.value").alias("entry"))
 
 
-@query()
+@query(
+    "WITH e AS (SELECT vec_id, label, list_filter(range(0, len(embedding)), lambda i: embedding[i + 1] > 0) AS pos FROM embeddings) "
+    "SELECT l.vec_id AS l_id, round(2.0::DOUBLE * len(list_intersect(l.pos, r.pos)) / nullif(len(l.pos) + len(r.pos), 0), 9) AS sim, l.label = r.label AS same FROM e l JOIN e r ON r.vec_id = l.vec_id + 1"
+)
 def op_sign_bits(spark, sf_dir):
     """Another perturbation: sign bits of embeddings as 64-bit filters, Dice between neighbours by id, and whether labels agree."""
     e = t(spark, sf_dir, "embeddings")
@@ -266,7 +270,10 @@ def op_sessions(spark, sf_dir):
     return e.groupBy("user_id", F.session_window("at", "30 minutes")).agg(F.count(F.lit(1)).alias("n")).groupBy("user_id").agg(F.count(F.lit(1)).alias("sessions"))
 
 
-@query()
+@query(
+    f"SELECT n_nationkey, {linkage_sql.ramp('0.6::DOUBLE + n_nationkey / 100::DOUBLE', '0.7')} AS p, {twin.hmac('n_name', chr(39) + 'key' + chr(39))} AS seed, len({twin.grams('lower(n_name)')})::INT AS grams, "
+    "CASE WHEN n_name = upper(n_name) THEN repeat('*', length(n_name)) END AS mask FROM nation"
+)
 def op_sql_functions(spark, sf_dir):
     """The registered SQL names: lv_ramp, lv_hmac, lv_grams, lv_mask."""
     sqlfuncs.register(spark)
@@ -275,7 +282,7 @@ def op_sql_functions(spark, sf_dir):
     )
 
 
-@query()
+@query(f"SELECT n_nationkey, unnest({twin.grams('lower(n_name)')}) AS gram FROM nation")
 def op_table_function(spark, sf_dir):
     """A Python table function beside its built-in form: rows of grams."""
     sqlfuncs.register(spark)
@@ -318,11 +325,11 @@ def doc_pairs_exact(spark, sf_dir):
 @query()
 def doc_pairs_near(spark, sf_dir):
     """Pairs across owners that share opening or closing words, with their similarity."""
-    return workloads.document_linkage(t(spark, sf_dir, "documents")).select("left_id", "right_id", "exact", F.round("sim", 9).alias("sim"))
+    return workloads.document_linkage(t(spark, sf_dir, "documents"), linkage_sql.KEY).select("left_id", "right_id", "exact", F.round("sim", 9).alias("sim"))
 
 
 @query()
 def doc_linkage_quality(spark, sf_dir):
     """How many of the exact copies and of the other candidates the threshold links."""
-    found = workloads.document_linkage(t(spark, sf_dir, "documents"))
+    found = workloads.document_linkage(t(spark, sf_dir, "documents"), linkage_sql.KEY)
     return found.groupBy("exact").agg(F.count(F.lit(1)).alias("pairs"), F.count(F.when(F.col("g"), 1)).alias("linked"))

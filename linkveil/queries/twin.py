@@ -85,26 +85,11 @@ vocabulary AS (
 )"""
 
 
-def _quote(text: str) -> str:
-    parts, plain = [], ""
-    for c in text:
-        if c == "'" or ord(c) < 32 or ord(c) > 126:
-            if plain:
-                parts.append(f"'{plain}'")
-            parts.append(f"chr({ord(c)})")
-            plain = ""
-        else:
-            plain += c
-    if plain:
-        parts.append(f"'{plain}'")
-    return "(" + " || ".join(parts) + ")"
-
-
 def hmac(message: str, key: str) -> str:
     """Hex digest; message and key are SQL expressions."""
-    a, i, o = _quote(crypto._ALPHABET), _quote(crypto._INNER), _quote(crypto._OUTER)
-    inner = f"sha256(rpad(translate({key}, {a}, {i}), 64, '6') || ({message}))"
-    return f"sha256(encode(rpad(translate({key}, {a}, {o}), 64, chr(92))) || unhex({inner}))"
+    block = f"rpad(CASE WHEN octet_length(encode({key})) > {crypto.BLOCK} THEN sha256({key}) ELSE lower(hex(encode({key}))) END, {2 * crypto.BLOCK}, '0')"
+    pad = lambda byte: f"unhex(array_to_string(list_transform(range(0, {crypto.BLOCK}), lambda i: printf('%02x', xor(('0x' || substr({block}, 1 + 2 * i::INT, 2))::INT, {byte}))), ''))"
+    return f"sha256({pad(crypto.OUTER)} || unhex(sha256({pad(crypto.INNER)} || encode({message}))))"
 
 
 def positions(seed: str, h: str, m: int, family: str = "random", most: int = 48) -> str:

@@ -2,20 +2,30 @@
 
 from __future__ import annotations
 
+import atexit
+import re
+import shutil
 import tempfile
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def checkpoint_dir(spark: SparkSession) -> str:
     """The folder all executors share, named by ``spark.checkpoint.dir``.
 
-    Only where the session names none (tests, local mode) a temporary local folder is used.
+    Only under a local master a temporary local folder does instead, which goes with the process; on a cluster a session that
+    names none is refused, as executors don't see each other's folders.
     """
     context = spark.sparkContext
     if context.getCheckpointDir() is None:
         named = spark.conf.get("spark.checkpoint.dir", None)
-        context.setCheckpointDir(named or tempfile.mkdtemp(prefix="linkveil-checkpoint-"))
+        if not named:
+            if not re.fullmatch(r"local(\[[^]]*\])?", context.master):
+                raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+            named = tempfile.mkdtemp(prefix="linkveil-checkpoint-")
+            atexit.register(shutil.rmtree, named, ignore_errors=True)
+        context.setCheckpointDir(named)
     return context.getCheckpointDir()
 
 
@@ -25,6 +35,16 @@ def durable(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+#: Rows up to which a table goes to every task of a join.
+BROADCAST_ROWS = 200_000
+
+
+def sent(df: DataFrame, limit: int = BROADCAST_ROWS) -> DataFrame:
+    """``df`` for the small side of a join: sent to every task if it has at most ``limit`` rows, which is counted first, else left
+    to a shuffle."""
+    return F.broadcast(df) if df.select(F.lit(1)).limit(limit + 1).count() <= limit else df
+
+
 def local_session(name: str = "linkveil", cores: str = "8", partitions: int = 8) -> SparkSession:
     """A local session for tests and for the bench."""
     return (
@@ -42,8 +62,9 @@ def local_session(name: str = "linkveil", cores: str = "8", partitions: int = 8)
 
 
 def bounded_batches(spark: SparkSession, rows: int = 2000) -> None:
-    """At most ``rows`` rows in an Arrow batch from here on: with whole texts, batches of 10,000 rows take too much memory on
-    both sides.  This is a setting that sessions may change at any time; a smaller value stays."""
+    """At most ``rows`` rows in an Arrow batch from here on: with whole texts, batches of 10,000 rows take too much memory on both
+    sides.  Plans read this setting when they run, so it can't be put back once a plan is handed out; every operator that reads
+    texts sets it, so none depends on what ran before.  Sessions may change it at any time; a smaller value stays."""
     name = "spark.sql.execution.arrow.maxRecordsPerBatch"
     if not 0 < int(spark.conf.get(name, "10000")) <= rows:
         spark.conf.set(name, str(rows))

@@ -38,7 +38,7 @@ def link_arrivals(arrivals: DataFrame, stored: DataFrame, t: float, where: str,
     columns = [*bits.names(m), "ones"]
 
     def handle(batch: DataFrame, number: int) -> None:
-        pairs = block.candidates(stored, batch, columns)
+        pairs = block.candidates(stored, batch, columns, per_task=None)
         found = classify.threshold(compare.record_similarity(pairs, m), t)
         found.select("left_id", "right_id", "sim", "g", "p").write.mode("overwrite").parquet(f"{where}/links/batch={number}")
 

@@ -9,11 +9,13 @@ import pytest
 from pyspark.sql import functions as F
 
 from linkveil import cart
-from linkveil.functions import bits, crypto, text
+from linkveil.functions import bits, crypto, sqlfuncs, text
 from linkveil.operators import baselines, block, classify, compare, encode, forest, measures, oracle, owner, sampling
 from linkveil.plans import protocol, workloads
 from linkveil.sources.registry import ATTRIBUTES, SCHEMA
 
+P = encode.Parameters("ownersecret")
+
 
 def one(spark, *columns):
     return spark.range(1).select(*columns).first()
@@ -40,10 +42,72 @@ def test_hmac_and_positions(spark):
     assert row[1] == [int(stream[4 * i : 4 * i + 4], 16) % 256 for i in range(20)]
 
 
-@pytest.mark.parametrize("key", ["", "six6", "back\\", "x" * 65, "é"])
-def test_keys_that_do_not_fit(key):
+def test_an_empty_key_is_refused():
     with pytest.raises(ValueError):
-        crypto.check_key(key)
+        crypto.check_key("")
+
+
+@pytest.mark.parametrize("key", ["k", "ownersecret", "six6 and back\\slash é", "x" * 40, "x" * 64, "y" * 65, "z" * 100])
+def test_hmac_with_any_key(spark, key):
+    """Literal keys, key columns and the SQL function agree with the standard library, also when parts make a key longer than a block."""
+    sqlfuncs.register(spark)
+    parts = "|".join([key, "ghijklmnopqrstuvghijklmn", "FN"])
+    df = spark.createDataFrame([("_é", key, "ghijklmnopqrstuvghijklmn", "FN")], "m string, k string, p string, a string")
+    row = df.select(crypto.hmac_sha256(F.col("m"), key), crypto.hmac_sha256(F.col("m"), F.col("k")), crypto.hmac_sha256(F.col("m"), crypto.composed(key, F.col("p"), F.col("a"))), F.expr("lv_hmac(m, k)")).first()
+    want = hmac.new(key.encode(), "_é".encode(), hashlib.sha256).hexdigest()
+    assert row[0] == row[1] == row[3] == want
+    assert row[2] == hmac.new(parts.encode(), "_é".encode(), hashlib.sha256).hexdigest()
+
+
+@pytest.mark.parametrize("length", [11, 40, 64, 100])
+def test_long_keys_keep_pairs_and_attributes_apart(spark, length):
+    df = people(spark, [("A", 1, "anna", None, "anna", "1970", "x", "27001", "NA"), ("B", 1, "anna", None, "anna", "1970", "y", "27001", None)])
+    pairs = spark.createDataFrame([("p", "A1", "B1"), ("q", "A1", "B1")], "pair_id string, left_id string, right_id string")
+    found = encode.pair_keyed_filters(owner.enqueue(pairs, seed=0), df, encode.Parameters("x" * length, hashes={a: 18 for a in ATTRIBUTES}))
+    rows = {(r["pair_id"], r["rec_id"], r["attr"]): tuple(r[w] for w in bits.names(256)) for r in found.collect()}
+    assert rows["p", "A1", "FN"] == rows["p", "B1", "FN"] != rows["q", "A1", "FN"]
+    assert rows["p", "A1", "FN"] != rows["p", "A1", "LN"]
+
+
+def test_pair_keys_are_random_without_a_seed(spark):
+    pairs = spark.createDataFrame([("p", "A1", "B1")], "pair_id string, left_id string, right_id string")
+    keys = {owner.enqueue(pairs).first()["pair_key"] for _ in range(3)}
+    assert len(keys) == 3 and owner.enqueue(pairs, seed=1).first()["pair_key"] == owner.enqueue(pairs, seed=1).first()["pair_key"]
+    assert owner.enqueue(pairs, 1, seed=1).first()["pair_key"] != owner.enqueue(pairs, seed=1).first()["pair_key"]
+
+
+def test_a_large_block_is_dealt_out(spark):
+    """A third of all records in one block: the same pairs from many tasks."""
+    rows = [("A" if i % 2 else "B", i, "anna" if i < 300 else f"name{i % 40}", None, f"l{i % 7}", "1970" if i < 300 else str(1900 + i % 50), "x", "1", None) for i in range(900)]
+    k = block.keys(people(spark, rows), "k")
+    a, b = k.where("owner = 'A'"), k.where("owner = 'B'")
+    whole, dealt = block.candidates(a, b, per_task=None), block.candidates(a, b, per_task=1000)
+    assert whole.count() == dealt.count() > 22_000 and whole.exceptAll(dealt).isEmpty()
+    assert "part" in dealt._jdf.queryExecution().toString() and block.block_sizes(a, b).agg(F.max("pairs")).first()[0] > 20_000
+
+
+def test_frequency_classes_with_ties_at_the_borders(spark):
+    rows = [("A", i, v, None, None, None, None, None, None) for i, v in enumerate([f"n{k:04d}" for k in range(700)] * 1 + [f"n{k:04d}" for k in range(0, 700, 3)] + ["n0001"] * 5)]
+    found = {r["value"]: r["freq_class"] for r in encode.frequency_classes(people(spark, rows), ("FN",)).collect()}
+    counts = pd.Series([r[2] for r in rows]).value_counts()
+    order = sorted(counts.index, key=lambda v: (-counts[v], v))
+    assert found == {v: 1 if i / 699 < 0.01 else 2 if i / 699 < 0.05 else 3 for i, v in enumerate(order)}
+
+
+def test_values_of_any_length_are_masked(spark):
+    row = spark.createDataFrame([("a" * 5000, "a" * 5000, "ab", "a")], "l string, r string, x string, y string").select(oracle.mask_positions(F.col("l"), F.col("r")), oracle.mask_positions(F.col("x"), F.col("y"))).first()
+    assert row[0] == "*" * 5000 and row[1] == "*b"
+
+
+def test_scenarios_that_run_together_equal_those_alone(spark, sf_dir):
+    data = workloads.data_set(spark, sf_dir, P)
+    few = dict(offsets=(-0.05, 0.05), repetitions=1, key_seed=1)
+    specs = {"a": dict(budget=100, **few), "b": dict(budget=300, err=0.0, reply_rate=0.6, sampler="closest", **few)}
+    together = workloads.curves(data, specs)
+    for name, s in specs.items():
+        alone = workloads.curve(data, **s)
+        columns = ["run_id", "round", "reviews_attr", "reviews_human", "tp", "fp", "threshold"]
+        assert together[name].metrics.select(columns).toPandas().sort_values(["run_id", "round"]).values.tolist() == alone.metrics.select(columns).toPandas().sort_values(["run_id", "round"]).values.tolist()
 
 
 def test_grams(spark):
@@ -106,7 +170,7 @@ def test_fitted_hash_counts_for_five_six_and_three_grams(spark):
 def test_pair_keys(spark):
     df = people(spark, [("A", 1, "anna", None, "li", "1970", "x", "27001", "NA"), ("B", 1, "anna", None, "li", "1970", "y", "27001", None), ("A", 2, "anna", None, "li", "1970", "x", "27001", "NA")])
     pairs = spark.createDataFrame([("p", "A1", "B1"), ("q", "A2", "B1")], "pair_id string, left_id string, right_id string")
-    f = encode.pair_keyed_filters(owner.enqueue(pairs), df)
+    f = encode.pair_keyed_filters(owner.enqueue(pairs, seed=0), df, P)
     rows = {(r["pair_id"], r["rec_id"], r["attr"]): tuple(r[w] for w in bits.names(256)) for r in f.collect()}
     assert rows["p", "A1", "FN"] == rows["p", "B1", "FN"]
     assert rows["p", "B1", "FN"] != rows["q", "B1", "FN"] and rows["p", "A1", "FN"] != rows["p", "A1", "LN"]
@@ -117,7 +181,7 @@ def test_pair_keys(spark):
 
 def test_blocking_has_no_duplicates_and_no_null_blocks(spark):
     df = people(spark, [("A", 1, "anna", None, "li", "1970", "x", "1", None), ("B", 1, "anna", None, "li", "1970", "x", "1", None), ("A", 2, None, None, None, None, "x", "1", None), ("B", 2, None, None, None, None, "x", "1", None), ("B", 3, "anne", None, "lee", "1980", "x", "1", None)])
-    k = block.keys(df)
+    k = block.keys(df, "k")
     found = [(r["left_id"], r["right_id"]) for r in block.candidates(k.where("owner = 'A'"), k.where("owner = 'B'")).collect()]
     assert sorted(found) == [("A1", "B1"), ("A1", "B3")]
     assert block.purged(k.where("owner = 'A'"), k.where("owner = 'B'"), 0).first()["pairs"] == 5 - 1
@@ -125,8 +189,8 @@ def test_blocking_has_no_duplicates_and_no_null_blocks(spark):
 
 def test_empty_tables(spark):
     df = people(spark, [("A", 1, "a", "b", "c", "1", "d", "2", "e")]).limit(0)
-    assert encode.record_filter(df).count() == 0
-    k = block.keys(df)
+    assert encode.record_filter(df, P).count() == 0
+    k = block.keys(df, "k")
     assert block.candidates(k, k).count() == 0
     assert encode.frequency_classes(df).count() == 0
 

@@ -7,12 +7,16 @@ import pytest
 
 import __spark_entry__ as contract
 from conftest import rows_of
-from linkveil.queries import experiments, linkage
+from linkveil.plans import workloads
+from linkveil.queries import experiments, linkage, streams, surrounding
 
-LIGHT = sorted(k for k in contract.oracle_sql() if k in linkage.ORACLE_SQL and k not in ("hash_positions_double",))
+#: Three runs instead of 33; registered queries run all.
+FEW = dict(offsets=(-0.05, 0.0, 0.05), repetitions=1)
+MODULES = (linkage, surrounding, streams, experiments)
+TWINS = sorted(k for m in MODULES for k in m.ORACLE_SQL if k != "protocol_no_reply")  # which has a test of its own
 
 
-@pytest.mark.parametrize("name", LIGHT)
+@pytest.mark.parametrize("name", TWINS)
 def test_twin(name, spark, sf_dir, duck):
     found = contract.queries()[name](spark, sf_dir).toPandas()
     wanted = duck.execute(contract.oracle_sql()[name]).df()
@@ -29,31 +33,40 @@ def test_every_twin_has_a_query():
 
 
 def test_protocol_without_replies_stays_at_its_start(spark, sf_dir):
-    rows = experiments.protocol_no_reply(spark, sf_dir).toPandas()
+    rows = workloads.curve(experiments.prepared(spark, sf_dir), 300, reply_rate=0.0, **FEW).metrics.toPandas()
     assert rows.groupby("run_id").f1.nunique().eq(1).all() and (rows.reviews_attr == 0).all()
 
 
 def test_queries_run_all_starts_and_budgets(spark, sf_dir, monkeypatch):
     """No registered query has fewer starts or repetitions than a scenario, and the curves have all budgets."""
-    calls = []
+    asked = []
     for name in ("workloads", "measures", "protocol"):
         monkeypatch.setattr(experiments, name, MagicMock())
-    monkeypatch.setattr(experiments, "prepared", lambda spark, sf_dir, variant="E1M", hardening=None: SimpleNamespace(name=variant, f1_best=0.0))
-    experiments.workloads.curve.side_effect = lambda data, budget=300, err=0.2, **changes: calls.append((data.name, budget, changes)) or MagicMock()
-    experiments.workloads.ablation.side_effect = lambda data, budget=300, err=0.2, names=(), pretrained=None, **changes: calls.append((data.name, budget, changes)) or MagicMock()
+    monkeypatch.setattr(experiments, "_prepared", {})
+    monkeypatch.setattr(experiments, "prepared", lambda spark, sf_dir, variant="E1M", hardening=None: SimpleNamespace(name=variant, f1_best=0.0, candidates=MagicMock()))
+    experiments.workloads.ABLATIONS = workloads.ABLATIONS
+
+    def curves(data, scenarios):
+        asked.extend((data.name, s) for s in scenarios.values())
+        return {name: MagicMock() for name in scenarios}
+
+    experiments.workloads.curves.side_effect = curves
+    experiments.workloads.curve.side_effect = lambda data, budget=300, **s: asked.append((data.name, s | {"budget": budget})) or MagicMock()
     ran = {}
     for name in (k for k in experiments.QUERIES if k.startswith(("curve_", "protocol_", "ablation_")) or k in ("correction_rate", "oracle_error", "rounds_to_baseline", "human_share", "filter_privacy", "plaintext_privacy")):
-        calls.clear()
+        experiments._prepared.clear()
+        experiments._prepared[(*experiments._state(spark, sf_dir), "forest")] = b""
+        asked.clear()
         experiments.QUERIES[name](spark, sf_dir)
-        assert calls and not any({"offsets", "repetitions"} & set(changes) for *_, changes in calls), name
-        ran[name] = {(data, budget) for data, budget, _ in calls}
+        assert asked and not any({"offsets", "repetitions"} & set(s) for _, s in asked), name
+        ran[name] = {(data, s["budget"]) for data, s in asked}
     assert ran["curve_overlaps"] == {(v, b) for v in ("E1S", "E1L") for b in (100, 200, 300)}
     assert ran["curve_disparity"] == {(v, b) for v in ("E2S", "E2M") for b in (100, 200, 300)}
 
 
 def test_protocol_keeps_its_limits(spark, sf_dir):
     data = experiments.prepared(spark, sf_dir)
-    out = experiments._curve(spark, sf_dir, **experiments.FEW)
+    out = workloads.curve(data, 300, **FEW, **experiments.SEEDED)
     rows = out.metrics.toPandas().sort_values(["run_id", "round"])
     start = rows.groupby("run_id").threshold.first()
     for run, part in rows.groupby("run_id"):
