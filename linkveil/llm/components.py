@@ -8,6 +8,10 @@ from pyspark.sql import functions as F
 from linkveil.session import durable
 
 
+#: Edges of a written file, about: rounds over small graphs don't write many small ones.
+EDGES_A_FILE = 100_000
+
+
 def components(edges: DataFrame) -> DataFrame:
     """(id, root): for each id on an edge of ``edges`` (a, b), the smallest id that it reaches.
 
@@ -24,11 +28,8 @@ def components(edges: DataFrame) -> DataFrame:
         large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u")
-        edges = durable(
-            small.where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
-            .unionAll(least.select("u", F.col("m").alias("v")))
-            .distinct()
-        )
+        found = small.where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionAll(least.select("u", F.col("m").alias("v"))).distinct()
+        edges = durable(found.coalesce(1 + state[0] // EDGES_A_FILE))
         before, state = state, _state(edges)
         if state == before:
             break

@@ -3,25 +3,28 @@
 1. A document's set are its distinct five-word shingles (as 64-bit hashes).  Each of SYMBOLS hash functions gives the
    minimum over the set, of which 16 bits are kept: a signature of 64 symbols.
 2. Documents with equal sets form one class; only its smallest doc_id goes on.
-3. Two sets of Jaccard 0.75 differ in 16 symbols on average; LIMIT = 29 is 3.75 standard deviations over that, and one of
-   8,100 pairs at exactly 0.75 is beyond it (P(X >= 30) for 64 symbols at 1/4).  Multi-index: the 64 symbols are split into 4 chunks of 3 symbols, where
-   no error is allowed, and 13 chunks of 4, where one is.  By the pigeonhole principle (4 * 1 + 13 * 2 = LIMIT + 1)
-   every pair within LIMIT agrees in some chunk up to its allowed errors.  Errors are enumerated by leaving out each
-   symbol in turn: 4 + 13 * 4 = 56 keys of three symbols (48 bits).  ``candidate`` pairs share a key.
+3. Two sets of Jaccard 0.75 differ in 16 symbols on average.  Multi-index: the 64 symbols are split into 4 chunks of 3
+   symbols, where no error is allowed, and 13 chunks of 4, where one is.  By the pigeonhole principle (4 * 1 + 13 * 2 =
+   LIMIT + 1) every pair within LIMIT agrees in some chunk up to its allowed errors.  Errors are enumerated by leaving out
+   each symbol in turn: 4 + 13 * 4 = 56 keys of three symbols (48 bits).  Pairs that share a key are tested up to REACH, so
+   a pair at exactly 0.75 is lost if it shares none (3e-9) or lies beyond REACH = 36 (2.5e-8).
 4. Groups of near copies may be very large, so pairs in a bucket are not all written out.  Each document has a hub: of
    the most crowded members of its buckets the most crowded one.  Each is compared with its hub on the full sets, which
    joins most of a group.  Shingles outside the hub that over HOT documents of the group have are taken to the hub's:
-   together they are the group's common set.  The CENTRAL documents with most of it and least else are compared with the
-   group as well.  For each document let c be the size of its intersection with the common set.  Two documents x and y
-   of a group share min(c(x), c(y)) shingles of the common set at most, so a link between different components either
-   shares shingles outside of it (found by an equi-join on hub and shingle, counted; at most HOT documents have one), or c
-   suffices alone (joined on the hub, between documents outside the group's main component and the rest).  Pairs of a
-   bucket with different hubs, in different components, within LIMIT and of fitting sizes are candidates as well.
+   together they are the group's common set C.  With D(x) the elements in which x and C differ, x and y are linked exactly
+   if (n(x) + n(y)) / 7 >= |D(x)| + |D(y)| - 2 |D(x) & D(y)|, so the document with the most slack n / 7 - |D| is linked with
+   every one that is linked with any without sharing an element of D.  The CENTRAL documents with most slack are compared
+   with the whole group, one row a document.  What may be left are links between different components of a group.  Let c be
+   the size of a document's intersection with C; x and y share min(c(x), c(y)) of it at most.  So a link either takes shingles
+   outside of C as well (``sharing_pairs``, a join on the rarest of them), or c suffices alone (``full_pairs``, between
+   documents outside the group's main component and the rest, dealt into parts).  Pairs of a bucket with different hubs,
+   in different components and of fitting sizes are candidates as well.
 5. Each link is confirmed on the full sets: 100 * intersection >= 75 * union.
 
 Defined cases: null, empty and blank texts have the empty set, are linked with nothing and kept.  Rows that share a
 doc_id are taken as one document in links.  A null doc_id is linked with nothing; its component_id is null and it is
-kept.  An empty table gives an empty result.
+kept.  An empty table gives an empty result.  A similarity of just 0.75 links.  Very long texts are read whole; a document's
+set is held by one task.  Only doc_id and text are read, so other columns of any name do no harm.
 """
 
 from __future__ import annotations
@@ -44,10 +47,12 @@ PERCENT = 75
 SYMBOLS = 64
 LANES = SYMBOLS // 4
 LIMIT = 29
+REACH = 36
 HOT = 32
 CENTRAL = 3
 EXACT_CHUNKS, LOOSE_CHUNKS = 4, 13
 SALTS = 32
+PART = 4096
 _MULTIPLIERS = np.random.default_rng(7).integers(1, 2**63, SYMBOLS, dtype=np.uint64) * W.U(2) + W.U(1)
 SIGNATURE = [f"s{i}" for i in range(LANES)]
 
@@ -204,61 +209,96 @@ def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             common.append(int(shared.sum()))
             extra.append(x[~shared].view(np.int64))
         yield pa.RecordBatch.from_arrays(
-            [batch.column("id"), batch.column("hub"), pa.array(n, pa.int64()), pa.array(n_hub, pa.int64()), pa.array(common, pa.int64()), pa.array(extra, pa.list_(pa.int64()))],
-            names=["id", "hub", "n", "n_hub", "c", "extra"],
+            [batch.column("id"), batch.column("hub"), batch.column("parts"), pa.array(n, pa.int64()), pa.array(n_hub, pa.int64()), pa.array(common, pa.int64()), pa.array(extra, pa.list_(pa.int64()))],
+            names=["id", "hub", "parts", "n", "n_hub", "c", "extra"],
         )
 
 
 def hubs(members: DataFrame) -> DataFrame:
-    """(id, hub) from (key, id, n): of the leaders of an id's buckets the one with most neighbours; ties to the smallest id."""
+    """(id, hub, parts) from (key, id, n): of the leaders of an id's buckets the one with most neighbours; ties to the smallest id.
+
+    A group has fewer documents than its hub has neighbours, and there are parts by PART neighbours, SALTS at most."""
     crowd = members.groupBy("id").agg(F.sum("n").alias("crowd"))
     leaders = members.join(crowd, "id").groupBy("key").agg(F.max(F.struct("crowd", (-F.col("id")).alias("minus"))).alias("leader"))
     best = members.select("key", "id").join(leaders, "key").groupBy("id").agg(F.max("leader").alias("leader"))
-    return best.select("id", (-F.col("leader.minus")).alias("hub"))
+    parts = F.least(F.lit(SALTS), 1 + F.floor(F.col("leader.crowd") / PART)).cast("int")
+    return best.select("id", (-F.col("leader.minus")).alias("hub"), parts.alias("parts"))
 
 
 def with_common_sets(compared: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(id, hub, n, c) with c against the group's common set, and (hub, id, shingle) outside of it that two documents or more have."""
+    """(id, hub, parts, n, c, root) with c against the group's common set, and (hub, id, shingle, df) outside of it that two documents or more have.
+
+    ``root`` is the hub for the documents that are linked with it."""
     each = compared.select("hub", "id", F.explode("extra").alias("shingle"))
     counts = each.groupBy("hub", "shingle").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
     shared = durable(each.join(counts, ["hub", "shingle"]))
     hot = shared.where(F.col("df") > HOT).groupBy("id").agg(F.count(F.lit(1)).alias("hot"))
-    sizes = compared.select("id", "hub", "n", "c").join(hot, "id", "left")
-    sizes = sizes.select("id", "hub", "n", (F.col("c") + F.coalesce("hot", F.lit(0))).alias("c"))
-    return durable(sizes), shared.where(F.col("df") <= HOT).drop("df")
+    root = F.when(enough(F.col("c"), F.col("n"), F.col("n_hub")), F.col("hub")).otherwise(F.col("id")).alias("root")
+    sizes = compared.select("id", "hub", "parts", "n", "c", root).join(hot, "id", "left")
+    sizes = sizes.select("id", "hub", "parts", "n", (F.col("c") + F.coalesce("hot", F.lit(0))).alias("c"), "root")
+    return durable(sizes), shared.where(F.col("df") <= HOT)
 
 
-def central_pairs(placed: DataFrame) -> DataFrame:
-    """(a, b): each document with the CENTRAL ones of its hub, where components differ."""
-    order = Window.partitionBy("hub").orderBy(F.desc(2 * F.col("c") - F.col("n")), "id")
-    best = placed.withColumn("place", F.row_number().over(order)).where(F.col("place") <= CENTRAL)
-    best = best.select("hub", F.col("id").alias("a"), F.col("root").alias("a_root"))
-    return placed.join(best, "hub").where("root <> a_root").select("a", F.col("id").alias("b"))
+def dealt(rows: DataFrame) -> DataFrame:
+    """``rows`` with the part of their hub's group that they belong to, so that no large group meets in one task."""
+    return rows.withColumn("part", F.pmod(F.xxhash64("id"), F.col("parts")).cast("int"))
+
+
+def repeated(rows: DataFrame) -> DataFrame:
+    """``rows`` once for each part of a group."""
+    return rows.withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
 
 
-def open_pairs(placed: DataFrame, shared: DataFrame, nodes: DataFrame) -> DataFrame:
-    """Pairs (a, b) of one hub and of different components that may yet be linked."""
-    rare = shared.join(placed, ["hub", "id"])
+def central_pairs(placed: DataFrame) -> DataFrame:
+    """(a, b): each document with the CENTRAL ones of its hub, unless both are linked with the hub."""
+    order = Window.partitionBy("hub").orderBy(F.desc(7 * F.col("c") - 3 * F.col("n")), "id")
+    best = placed.withColumn("place", F.row_number().over(order)).where(F.col("place") <= CENTRAL)
+    best = repeated(best.select("hub", "parts", F.col("id").alias("a"), F.col("root").alias("a_root"))).drop("parts")
+    return dealt(placed).join(best, ["hub", "part"]).where("root <> a_root").select("a", F.col("id").alias("b"))
+
+
+def sharing_pairs(placed: DataFrame, shared: DataFrame) -> DataFrame:
+    """Pairs (a, b) of one hub and of different components that shingles outside the common set may link.
+
+    A partner of x shares at least 0.75 n(x) of its shingles, of them c(x) of the common set at most, so ``need`` or more of
+    the ``own`` others.  Two sets with so many elements in common share one of the first own - need + 1 in any order that both
+    follow; rare ones come first here.  Behind the last such element no more are shared than either has left."""
+    order = Window.partitionBy("hub", "id").orderBy("df", "shingle")
+    need = F.greatest(F.ceil(F.col("n") * PERCENT / 100) - F.col("c"), F.lit(1))
+    rare = (
+        shared.join(placed, ["hub", "id"])
+        .withColumn("at", F.row_number().over(order))
+        .withColumn("own", F.count(F.lit(1)).over(Window.partitionBy("hub", "id")))
+        .where(F.col("at") <= F.col("own") - need + 1)
+        .withColumn("left", F.col("own") - F.col("at"))
+    )
     x, y = rare.alias("x"), rare.alias("y")
     same = (F.col("x.hub") == F.col("y.hub")) & (F.col("x.shingle") == F.col("y.shingle"))
-    sharing = x.join(y, same & (F.col("x.id") < F.col("y.id")) & (F.col("x.root") != F.col("y.root")))
-    sharing = sharing.groupBy(F.col("x.id").alias("a"), F.col("y.id").alias("b")).agg(
-        F.count(F.lit(1)).alias("k"), F.first(F.least("x.c", "y.c")).alias("c"), F.first("x.n").alias("n"), F.first("y.n").alias("m")
-    ).where(enough(F.col("k") + F.col("c"), F.col("n"), F.col("m")))
-
-    parts = placed.groupBy("hub", "root").agg(F.min("n").alias("least_n"), F.count(F.lit(1)).alias("size"))
-    group = parts.groupBy("hub").agg(F.min("least_n").alias("least_n"), F.max_by("root", F.struct("size", "root")).alias("main"))
-    full = placed.join(group, "hub").where(enough(F.col("c"), F.col("n"), F.col("least_n")))
-    full = full.join(nodes.select("id", "n_shingles", *SIGNATURE), "id")
-    x, y = full.where("root <> main").alias("x"), full.alias("y")
+    apart = (F.col("x.id") < F.col("y.id")) & (F.col("x.root") != F.col("y.root")) & sizes_fit(F.col("x.n"), F.col("y.n"))
+    able = enough(F.least("x.own", "y.own") + F.least("x.c", "y.c"), F.col("x.n"), F.col("y.n"))
+    met = x.join(y, same & apart & able).groupBy(F.col("x.id").alias("a"), F.col("y.id").alias("b")).agg(
+        (F.count(F.lit(1)) + F.min(F.least("x.left", "y.left"))).alias("k"),
+        F.first(F.least("x.c", "y.c")).alias("c"), F.first("x.n").alias("n"), F.first("y.n").alias("m"),
+    )
+    return met.where(enough(F.col("k") + F.col("c"), F.col("n"), F.col("m"))).select("a", "b")
+
+
+def full_pairs(placed: DataFrame, nodes: DataFrame) -> DataFrame:
+    """Pairs (a, b) of one hub and of different components that the common set alone may link: one is outside the group's main component."""
+    joined = placed.groupBy("hub", "parts", "root").agg(F.min("n").alias("least_n"), F.count(F.lit(1)).alias("size"))
+    group = joined.groupBy("hub", "parts").agg(F.min("least_n").alias("least_n"), F.max(F.struct("size", "root")).alias("main"))
+    group = repeated(group.select("hub", "parts", "least_n", F.col("main.root").alias("main"))).drop("parts")
+    full = dealt(placed).join(group, ["hub", "part"]).where(enough(F.col("c"), F.col("n"), F.col("least_n")))
+    full = full.join(nodes.select("id", *SIGNATURE), "id")
+    x, y = repeated(full.where("root <> main")).alias("x"), full.alias("y")
     apart = (F.col("x.root") != F.col("y.root")) & ((F.col("y.root") == F.col("y.main")) | (F.col("x.id") < F.col("y.id")))
-    may = enough(F.least("x.c", "y.c"), F.col("x.n"), F.col("y.n")) & (distance("x", "y") <= LIMIT)
-    alone = x.join(y, (F.col("x.hub") == F.col("y.hub")) & apart & may)
-    return sharing.select("a", "b").unionAll(alone.select(F.col("x.id").alias("a"), F.col("y.id").alias("b")))
+    may = enough(F.least("x.c", "y.c"), F.col("x.n"), F.col("y.n")) & (distance("x", "y") <= REACH)
+    alone = x.join(y, (F.col("x.hub") == F.col("y.hub")) & (F.col("x.part") == F.col("y.part")) & apart & may)
+    return alone.select(F.col("x.id").alias("a"), F.col("y.id").alias("b"))
 
 
 def links(nodes: DataFrame, docs: DataFrame) -> DataFrame:
-    """Confirmed links (a, b) between classes, enough of them to join all that are linked."""
+    """Links (a, b) between classes of one component, enough of them to join all that are linked; each rests on confirmed ones."""
     keyed = nodes.select("id", F.explode(F.array(*chunk_keys())).alias("key"))
     buckets = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
     members = durable(keyed.join(buckets, "key"))
@@ -272,15 +312,12 @@ def links(nodes: DataFrame, docs: DataFrame) -> DataFrame:
     own = chosen.where("id <> hub").join(sets.withColumnRenamed("shingles", "own_set"), "id")
     both = own.join(sets.withColumnsRenamed({"id": "hub", "shingles": "hub_set"}), "hub")
     compared = durable(
-        both.select("id", "hub", "own_set", "hub_set").mapInArrow(_compare, "id long, hub long, n long, n_hub long, c long, extra array<long>")
+        both.select("id", "hub", "parts", "own_set", "hub_set").mapInArrow(_compare, "id long, hub long, parts int, n long, n_hub long, c long, extra array<long>")
     )
     first = compared.where(enough(F.col("c"), F.col("n"), F.col("n_hub"))).select(F.col("id").alias("a"), F.col("hub").alias("b"))
-    roots = components(first)
     sizes, shared = with_common_sets(compared)
-    placed = sizes.join(roots, "id", "left").withColumn("root", F.coalesce("root", "id"))
-    second = durable(first.unionAll(confirm(central_pairs(placed), sets)))
-    roots = components(second)
-    placed = durable(sizes.join(roots, "id", "left").withColumn("root", F.coalesce("root", "id")))
+    roots = components(first.unionAll(confirm(central_pairs(sizes), sets)))
+    placed = durable(sizes.drop("root").join(roots, "id", "left").withColumn("root", F.coalesce("root", "id")))
 
     where = members.select("key", "id").join(chosen, "id").join(roots, "id", "left").withColumn("root", F.coalesce("root", "id"))
     spread = [f(c).alias(f"{f.__name__}_{c}") for c in ("root", "hub") for f in (F.min, F.max)]
@@ -289,10 +326,10 @@ def links(nodes: DataFrame, docs: DataFrame) -> DataFrame:
     x, y = rest.alias("x"), rest.alias("y")
     apart = (F.col("x.key") == F.col("y.key")) & (F.col("x.id") < F.col("y.id")) & (F.col("x.root") != F.col("y.root"))
     apart &= (F.col("x.hub") != F.col("y.hub")) & (F.col("x.hub") != F.col("y.id")) & (F.col("y.hub") != F.col("x.id"))
-    near = (distance("x", "y") <= LIMIT) & sizes_fit(F.col("x.n_shingles"), F.col("y.n_shingles"))
+    near = (distance("x", "y") <= REACH) & sizes_fit(F.col("x.n_shingles"), F.col("y.n_shingles"))
     across = x.join(y, apart & near).select(F.col("x.id").alias("a"), F.col("y.id").alias("b"))
-    pairs = across.unionAll(open_pairs(placed, shared, nodes)).distinct()
-    return second.unionAll(confirm(pairs, sets))
+    pairs = across.unionAll(sharing_pairs(placed, shared)).unionAll(full_pairs(placed, nodes)).distinct()
+    return roots.select(F.col("id").alias("a"), F.col("root").alias("b")).unionAll(confirm(pairs, sets))
 
 
 def find(docs: DataFrame) -> DataFrame:
