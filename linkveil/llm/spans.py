@@ -1,22 +1,28 @@
 """Substring dedup by sliding sentence spans.
 
 Texts are cut into sentences (after ``.``, ``!``, ``?`` with white space behind, and at line ends); a sentence of over
-LONG words is cut every LONG words, so that a passage without full stops still has several.  From every sentence the
-shortest run of at least two sentences and MIN_WORDS words is taken forwards, and to every sentence the shortest one
-backwards, so a repeated passage is covered up to its last sentence.  Those cuts depend on where a sentence begins, so a
-passage that begins inside sentences of different leads is cut differently in each place.  Runs of MIN_WORDS words that
-are chosen by their content alone are therefore taken as well: each that has the smallest hash of WINDOW neighbouring ones.
-Any MIN_WORDS + WINDOW - 1 equal words share one, and of a longer passage at most WINDOW - 1 words at either end stay
-uncovered.  All runs are hashed (words A-Z lower-cased) and grouped over the whole corpus; the first place of a run, by
-doc_id and then by position, stays.  Of what the later places cover, sentences of up to LONG words are removed if they are
-covered as a whole, and longer ones word by word; the rest of the text is kept as it is.
+LONG words is cut every LONG words, so that a passage without full stops still has several.  Every run of two or more
+consecutive sentences with MIN_WORDS words or more counts.  Hashed are, for each sentence, the shortest such run from it and
+the shortest one up to it: these cover every other run.  (Take a repeated run R.  The shortest run from its first sentence
+and the one up to its last lie in R.  A sentence between them has MIN_WORDS words of R before it, so the one up to it does as
+well.)  Cuts depend on where a sentence begins, so a passage that begins inside sentences of different leads is cut
+differently in each place.  Runs of MIN_WORDS words that are chosen by their content alone are therefore taken as well:
+each that has the smallest hash of WINDOW neighbouring ones.  Any MIN_WORDS + WINDOW - 1 equal words share one, and of a
+longer passage at most WINDOW - 1 words at either end stay uncovered.  All runs are hashed (words A-Z lower-cased) and
+grouped over the whole corpus; the first place of a run, by doc_id and then by position, stays.  Of what the later places
+cover, sentences of up to LONG words are removed if they are covered as a whole, and longer ones word by word; the rest of
+the text is kept as it is.  MIN_WORDS is a threshold: what repeats in fewer words is common speech and stays.
+
+A run that a document has twice is settled within the document, so only one place a document goes to the run's group.  Runs
+that a sample of the documents shows to be in very many are dealt into parts first, of which one place each goes on.
 
 ``n_sentences`` counts sentences and the pieces of long ones, ``n_removed`` those that repeated runs of sentences cover,
 ``n_cut`` the further ones that lose words to runs chosen by content; ``removed_words`` counts the words of both.
 
 Defined cases: null texts stay null, empty ones empty; nothing is removed from texts under MIN_WORDS words.  Rows that share
-a doc_id are taken as one document: their places are told apart by position only, and each row loses the same sentences.
-A null doc_id counts as the smallest one.  Repeats inside one document are removed too.
+a doc_id are told apart by their texts; rows of equal id and text are one document, and each loses the same.  Rows with
+null ids are told apart by their texts.  Repeats inside one document are removed too.  Columns named as an own result (OWN)
+give way to it; others of any name stay.  An empty table gives an empty result.  Texts of any length are read whole.
 """
 
 from __future__ import annotations
@@ -26,10 +32,12 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from linkveil.llm import words as W
+from linkveil.llm.columns import MARK_BITS, fresh, identity, plain, quoted, restored
 from linkveil.session import bounded_batches, durable
 
 MIN_WORDS = 25
@@ -37,6 +45,13 @@ LONG = 20
 WINDOW = 12
 #: A run's place in one number: first word * PACK + its words (0 for a run chosen by content); no run has MIN_WORDS + LONG words.
 PACK = 64
+#: Bits of a place; the bits of the text's digest go before them.
+PLACE_BITS = 63 - MARK_BITS
+#: One of so many documents is read to find hot runs; hot is a run with HOT_LEAST documents of it and a HOT_SHARE-th of its runs.
+SAMPLE = 64
+HOT_LEAST = 64
+HOT_SHARE = 20_000
+PARTS = 64
 OWN = ("n_sentences", "n_removed", "n_cut", "removed_words")
 
 _STOP = np.zeros(256, dtype=bool)
@@ -115,29 +130,68 @@ def smallest(values: np.ndarray, doc: np.ndarray) -> np.ndarray:
 @W.tidy
 def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        ids = batch.column("doc_id")
+        ids = batch.column("id")
+        marks = batch.column("mark").to_numpy()
         for lo, _, data, offsets in W.slices(batch.column("text")):
             found = Sentences(data, offsets)
             doc, a, b, hashes = found.runs()
-            base = found.words.first[doc]
+            place = (a - found.words.first[doc]) * PACK + np.where(b, b - a, 0) + (marks[doc + lo] << PLACE_BITS)
+            order = np.lexsort((place, hashes, doc))
+            again = np.zeros(len(order), dtype=bool)
+            again[order[1:]] = (doc[order[1:]] == doc[order[:-1]]) & (hashes[order[1:]] == hashes[order[:-1]])
+            # a later place of the document goes in any case: it is marked and meets no other
+            hashes = np.where(again, W.mix(hashes ^ place.astype(np.uint64)), hashes)
             yield pa.RecordBatch.from_arrays(
-                [pa.array(hashes.view(np.int64)), ids.take(pa.array(doc + lo)), pa.array((a - base) * PACK + np.where(b, b - a, 0))],
-                names=["run", "doc_id", "at"],
+                [pa.array(hashes.view(np.int64)), ids.take(pa.array(doc + lo)), pa.array(np.where(again, ~place, place))], names=["run", "id", "at"]
             )
 
 
-def runs(docs: DataFrame) -> DataFrame:
-    """run (hash), doc_id, at: every run with its place."""
-    texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    return texts.mapInArrow(_runs, "run long, doc_id long, at long")
+def own_marks(docs: DataFrame) -> tuple[Column, Column]:
+    """A row's identity (id, mark); the mark is 0, which takes no room in a shuffle, as long as no two rows share an id."""
+    key, mark = identity()
+    shared = docs.select(F.col("doc_id").cast("long").alias("doc_id")).where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    return key, F.lit(0).cast("long") if shared.isEmpty() else mark
+
+
+def marked(docs: DataFrame, key: Column, mark: Column) -> DataFrame:
+    """id, mark (the row's identity) and text."""
+    return docs.select(key.alias("id"), mark.alias("mark"), F.col("text").cast("string").alias("text"))
+
+
+def runs(texts: DataFrame) -> DataFrame:
+    """run (hash), id, at: every run with its place (and digest); ``at`` is inverted where the document has the run before."""
+    return texts.mapInArrow(_runs, "run long, id long, at long")
+
+
+def hot_runs(texts: DataFrame) -> DataFrame | None:
+    """The runs (HOT_SHARE at most) that very many documents have, by a sample; this moves work, not results."""
+    sample = texts.where(F.pmod(F.xxhash64(F.lit("hot"), "id", "mark"), F.lit(SAMPLE)) == 0)
+    counts = durable(runs(sample).where("at >= 0").groupBy("run").agg(F.count(F.lit(1)).alias("n")))
+    total = counts.agg(F.sum("n")).first()[0] or 0
+    hot = counts.where(F.col("n") >= max(HOT_LEAST, total / HOT_SHARE)).select("run")
+    return hot if hot.count() else None
 
 
-def later_places(docs: DataFrame) -> DataFrame:
-    """doc_id, cuts (the place of each run that another place has first): a row for each document that has any."""
-    # a window reads each run's places in one shuffle, where an aggregation and a join back take two
-    place = F.struct("doc_id", "at")
-    again = runs(docs).withColumn("first", F.min(place).over(Window.partitionBy("run"))).where(place != F.col("first"))
-    return again.groupBy("doc_id").agg(F.collect_set("at").alias("cuts"))  # bounded by the document
+def later_places(texts: DataFrame) -> DataFrame:
+    """id, mark, cuts (the place of each run that another place has first): a row for each document that has any."""
+    hot, found, place = hot_runs(texts), runs(texts), F.struct("id", "at")
+    own = F.when(F.col("at") >= 0, place)
+    if hot is None:
+        first = F.min(own).over(Window.partitionBy("run"))
+        again = found.withColumn("first", first).where((F.col("at") < 0) | (place != F.col("first")))
+    else:
+        hot = F.broadcast(hot.withColumn("hot", F.lit(True)))  # HOT_SHARE rows at most
+        part = F.when(F.col("hot"), 1 + F.pmod(F.xxhash64("id", "at"), F.lit(PARTS))).otherwise(0).cast("int")
+        dealt = found.join(hot, "run", "left").select("run", "id", "at", part.alias("part"))
+        # a window reads each run's places in one shuffle, where an aggregation and a join back take two
+        dealt = dealt.withColumn("first", F.min(own).over(Window.partitionBy("run", "part")))
+        again = dealt.where((F.col("at") < 0) | (place != F.col("first")))
+        leaders = dealt.where((F.col("part") > 0) & (F.col("at") >= 0) & (place == F.col("first")))  # PARTS a hot run
+        leaders = leaders.withColumn("first", F.min(place).over(Window.partitionBy("run")))
+        again = again.unionByName(leaders.where(place != F.col("first")))
+    at = F.when(F.col("at") < 0, F.bitwise_not("at")).otherwise(F.col("at"))
+    cut, mark = at.bitwiseAND(F.lit((1 << PLACE_BITS) - 1)).alias("cut"), F.shiftright(at, PLACE_BITS).alias("mark")
+    return again.select("id", mark, cut).groupBy("id", "mark").agg(F.collect_set("cut").alias("cuts"))  # bounded by the document
 
 
 def covered(cuts: list[int], count: int) -> np.ndarray:
@@ -149,13 +203,13 @@ def covered(cuts: list[int], count: int) -> np.ndarray:
     return np.cumsum(depth[:-1]) > 0
 
 
-def _remover(keep: list[str]):
+def _remover(keep: list[str], own_text: str, own_cuts: str):
     @W.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             n = batch.num_rows
-            texts = batch.column("text")
-            cuts = batch.column("__cuts").to_pylist()
+            texts = batch.column(own_text)
+            cuts = batch.column(own_cuts).to_pylist()
             removed, cut, sentences, gone_words = (np.zeros(n, np.int64) for _ in range(4))
             out: list = [None] * n
             for lo, hi, data, offsets in W.slices(texts):
@@ -191,10 +245,14 @@ def _remover(keep: list[str]):
 
 def remove(docs: DataFrame, keep: list[str] | None = None) -> DataFrame:
     """The columns ``keep`` (all but own results by default) with ``text`` less its repeats, and OWN."""
-    keep = [c for c in docs.columns if c not in (*OWN, "__cuts")] if keep is None else keep
+    docs, names = plain(docs)
+    keep = [c for c in docs.columns if c not in OWN] if keep is None else [names.get(c, c) for c in keep]
+    key, mark = own_marks(docs)
+    own_id, own_mark, own_cuts, own_text = (fresh(f"__{c}", docs.columns) for c in ("id", "mark", "cuts", "text"))
     bounded_batches(docs.sparkSession)
-    cuts = durable(later_places(docs)).select(F.col("doc_id").alias("__id"), F.col("cuts").alias("__cuts"))
-    rows = docs.select(*dict.fromkeys([*keep, "doc_id", "text"]))
-    joined = rows.join(cuts.hint("shuffle_hash"), rows["doc_id"].cast("long").eqNullSafe(F.col("__id")), "left").drop("__id")
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(*keep).schema)
-    return joined.mapInArrow(_remover(keep), f"{schema}, {', '.join(f'{c} long' for c in OWN)}")
+    cuts = durable(later_places(marked(docs, key, mark))).select(F.col("id").alias(own_id), F.col("mark").alias(own_mark), F.col("cuts").alias(own_cuts))
+    rows = docs.select(*(quoted(c) for c in keep), key.alias(own_id), mark.alias(own_mark), F.col("text").cast("string").alias(own_text))
+    joined = rows.join(cuts.hint("shuffle_hash"), [own_id, own_mark], "left").drop(own_id, own_mark)
+    fields = [T.StructField("text", T.StringType()) if f.name == "text" else f for f in docs.select(*(quoted(c) for c in keep)).schema]
+    schema = T.StructType([*fields, *(T.StructField(c, T.LongType()) for c in OWN)])
+    return restored(joined.mapInArrow(_remover(keep, own_text, own_cuts), schema), names)
