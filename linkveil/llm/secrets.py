@@ -7,7 +7,9 @@ forest is trained on labelled findings, which ``labelled_findings`` writes from
 random tokens and passwords against hashes, ids, paths, versions, names and placeholders.
 
 Defined cases: null and empty texts have no findings; a text is scanned as a whole; overlapping candidates of
-kinds (b) to (d) are merged into the longest, and a run is cut around them.  Offsets count code points.  Repeated rows give repeated rows.
+kinds (b) to (d) are merged into the longest, and a run is cut around them.  Offsets count code points.  Repeated rows give repeated rows, an
+empty table an empty result.  A score of just the threshold is a secret.  Very long texts and values are read whole, in one
+pass.  Other columns of any name pass through ``redact`` unchanged, n_chars excepted, which follows the text.
 """
 
 from __future__ import annotations
@@ -27,6 +29,7 @@ from pyspark.sql import functions as F
 
 from linkveil.cart import grow_forest, predict_forest
 from linkveil.llm import words as W
+from linkveil.llm.columns import plain, restored
 from linkveil.session import bounded_batches
 
 MIN_RUN = 16
@@ -47,7 +50,7 @@ PLAIN_NAMES = ("commit", "sha", "sha1", "sha256", "md5", "digest", "checksum", "
 #: Public formats of keys: their fixed beginnings.
 PREFIXES = ("AKIA", "ASIA", "ghp_", "gho_", "ghs_", "github_pat_", "glpat-", "sk_live_", "sk_test_", "rk_live_", "xoxb-", "xoxp-", "AIza", "ya29.", "eyJ", "SG.", "npm_", "pypi-", "hf_", "sk-")
 ASSIGNED = re.compile(r"(?i)(?<![A-Za-z])(?:" + "|".join(map(re.escape, sorted(SECRET_NAMES, key=len, reverse=True))) + r")[\"']?\s*(?::=|=>|[:=])\s*[\"']?([^\s\"'`,;<>(){}]{6,})")
-BLOCK = re.compile(r"-----BEGIN [A-Z ]*PRIVATE KEY-----(?:.*?-----END [A-Z ]*PRIVATE KEY-----)?", re.S)
+BLOCK_EDGE = re.compile(r"-----(BEGIN|END) [A-Z ]*PRIVATE KEY-----")
 URL = re.compile(r"[a-z][a-z0-9+.-]{1,20}://[^\s/:@]{1,64}:([^\s/@]{3,128})@")
 RUN = re.compile(r"[A-Za-z0-9_/+=.\-]{%d,}" % MIN_RUN)
 #: Frequent English stems and parts of file names and identifiers: the dictionary.
@@ -228,9 +231,27 @@ def suspicious(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     return flags | (W.per_document(signs, offsets) > 0)
 
 
+def key_blocks(text: str) -> list[tuple[int, int, str]]:
+    """Private keys from their first to their last line; the first line alone where no last one follows.  One pass."""
+    edges = list(BLOCK_EDGE.finditer(text))
+    last = max((m.start() for m in edges if m[1] == "END"), default=-1)
+    out, begun = [], None
+    for m in edges:
+        if m[1] == "END":
+            if begun is not None:
+                out.append((begun, m.end(), "private_key"))
+            begun = None
+        elif begun is None:
+            if m.start() < last:
+                begun = m.start()
+            else:
+                out.append((*m.span(), "private_key"))
+    return out
+
+
 def candidates(text: str) -> list[tuple[int, int, str]]:
     """(start, end, kind), not overlapping, in order."""
-    found = [(m.start(), m.end(), "private_key") for m in BLOCK.finditer(text)] if "-----BEGIN" in text else []
+    found = key_blocks(text) if "-----BEGIN" in text else []
     if "=" in text or ":" in text:
         found += [(*m.span(1), "assigned") for m in ASSIGNED.finditer(text)]
         if "://" in text:
@@ -332,4 +353,5 @@ def _masker(trees, threshold: float):
 def redact(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """The documents with MASK in place of each secret (``n_chars``, where there is one, follows); other columns as they are."""
     bounded_batches(docs.sparkSession)
-    return docs.mapInArrow(_masker(forest(), threshold), docs.schema)
+    docs, names = plain(docs)
+    return restored(docs.mapInArrow(_masker(forest(), threshold), docs.schema), names)
