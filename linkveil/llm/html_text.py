@@ -11,7 +11,9 @@ feed.
 
 Defined cases: null and empty pages give an empty text, as do pages without text.  Unclosed, crossed and unknown tags are
 taken as browsers do in the plain cases (a block closes an open paragraph, an end tag closes what is open inside).  Plain
-text without tags is one block.  Repeated rows give repeated rows.
+text without tags is one block.  White space is what ``str.split`` takes for it, U+00A0 and other Unicode blanks included.
+The text of ``noscript`` is a block like others.  Repeated rows give repeated rows, an empty table an empty result; only
+page_id, url and html are read, so other columns of any name do no harm.  Pages of any length and depth are read in one pass.
 """
 
 from __future__ import annotations
@@ -19,7 +21,8 @@ from __future__ import annotations
 import html
 import random
 import re
-from collections.abc import Iterator
+from collections import Counter
+from collections.abc import Iterator, Set
 from functools import lru_cache
 
 import numpy as np
@@ -28,6 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from linkveil.llm import words as W
+from linkveil.session import bounded_batches
 
 TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*>|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:\"[^\"]*\"|'[^']*'|[^>\"'])*+)>|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)([^>]*)>", re.S)
 ATTRIBUTE = re.compile(r"""\b(?:class|id|role)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+))""", re.I)
@@ -42,17 +46,89 @@ BLOCK = frozenset(
 #: Elements that an opening tag of the same group closes.
 CLOSES = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "option": ("option",)}
 SCOPES = frozenset("ul ol dl table div section article body form select td".split())
-
-
-def blocks(page: str) -> list[tuple[str, tuple[str, ...], float]]:
-    """(text, ancestor marks, share of linked characters) of each leaf block with text; marks are tags and ``.names``."""
+CLOSABLE = frozenset({"p"}.union(*CLOSES.values()))
+
+
+Chain = tuple[tuple[str, ...], str, tuple[str, ...]]
+
+
+class Open:
+    """The open elements.  Whatever a page nests, an opened or closed element costs as much as its own marks, and a chain as
+    many steps as there are different marks in it that the field knows."""
+
+    def __init__(self, known: Set[str] | None):
+        self.known = known
+        self.stack: list[tuple[str, tuple[str, ...]]] = []
+        self.names: Counter[str] = Counter()
+        self.marks: dict[str, int] = {}
+        self.scoped: list[int] = []  # places of elements that an opening tag closes or stops at
+        self.cached: Chain | None = None
+        self.hidden = 0
+
+    def push(self, name: str, marks: tuple[str, ...]) -> None:
+        if name in CLOSABLE or name in SCOPES:
+            self.scoped.append(len(self.stack))
+        self.stack.append((name, marks))
+        self.names[name] += 1
+        self.hidden += name in HIDDEN
+        for m in marks:
+            if self.known is None or m in self.known:
+                self.marks[m] = self.marks.get(m, 0) + 1
+        self.cached = None
+
+    def pop_to(self, k: int) -> None:
+        """Closes the element at place k and all inside of it."""
+        while len(self.stack) > k:
+            name, marks = self.stack.pop()
+            if self.scoped and self.scoped[-1] == len(self.stack):
+                self.scoped.pop()
+            self.names[name] -= 1
+            self.hidden -= name in HIDDEN
+            for m in marks:
+                if m in self.marks:
+                    self.marks[m] -= 1
+                    if not self.marks[m]:
+                        del self.marks[m]
+        self.cached = None
+
+    def close(self, name: str) -> None:
+        if self.names[name]:
+            k = len(self.stack) - 1
+            while self.stack[k][0] != name:
+                k -= 1
+            self.pop_to(k)
+
+    def closed_by(self, name: str) -> None:
+        """What an opening block closes: an open paragraph or list item, unless a scope lies in between."""
+        closed = (("p",) if name != "option" else ()) + CLOSES.get(name, ())
+        for k in reversed(self.scoped):
+            if self.stack[k][0] in closed:
+                self.pop_to(k)
+                return
+            if self.stack[k][0] in SCOPES:
+                return
+
+    def chain(self) -> Chain:
+        """(different marks, innermost tag, the marks from the third to the fifth)."""
+        if self.cached is None:
+            top: list[str] = []
+            for _, marks in self.stack[:5]:
+                top += marks
+            self.cached = tuple(self.marks), self.stack[-1][0] if self.stack else "", tuple(top[2:5])
+        return self.cached
+
+
+def blocks(page: str, known: Set[str] | None = None) -> list[tuple[str, Chain, float]]:
+    """(text, chain of ancestors, share of linked characters) of each leaf block with text; marks are tags and ``.names``.
+
+    With ``known`` marks outside of it are left out of the chains."""
     out: list = []
-    stack: list[tuple[str, tuple[str, ...]]] = []
+    opened = Open(known)
     parts: list[str] = []
     linked = total = 0
-    links = hidden = 0
-    chain: tuple[str, ...] = ()
+    chain: Chain = opened.chain()
     at, n = 0, len(page)
+    last = page.rfind(">") + 1  # no tag ends behind it
 
     def flush() -> None:
         nonlocal linked, total
@@ -65,30 +141,27 @@ def blocks(page: str) -> list[tuple[str, tuple[str, ...], float]]:
 
     def take(text: str) -> None:
         nonlocal linked, total, chain
-        if hidden or not text:
+        if not text or opened.hidden:
             return
         if not total and not text.isspace():
-            chain = tuple(m for _, marks in stack for m in marks)
+            chain = opened.chain()
         parts.append(text)
         if not text.isspace():
             total += len(text)
-            if links:
+            if opened.names["a"]:
                 linked += len(text)
 
-    def pop() -> None:
-        nonlocal links, hidden
-        name, _ = stack.pop()
-        links -= name == "a"
-        hidden -= name in HIDDEN
-
     while at < n:
-        found = TOKEN.search(page, at)
+        found = TOKEN.search(page, at, last) if at < last else None
         if found is None:
-            take(page[at:])
+            comment = page.find("<!--", at)
+            take(page[at:] if comment < 0 else page[at:comment])
             break
         if found.start() > at:
             take(page[at : found.start()])
         at = found.end()
+        if found[0].startswith("<!--") and not found[0].endswith("-->"):
+            break  # a comment that isn't closed
         name = (found[2] or found[5] or "").lower()
         if not name:
             continue
@@ -96,26 +169,14 @@ def blocks(page: str) -> list[tuple[str, tuple[str, ...], float]]:
         if found[1] or found[4]:
             if block:
                 flush()
-            for k in range(len(stack) - 1, -1, -1):
-                if stack[k][0] == name:
-                    while len(stack) > k:
-                        pop()
-                    break
+            opened.close(name)
             continue
         if name == "br":
             take(" ")
             continue
         if block:
             flush()
-            closed = ("p",) if name != "option" else ()
-            closed += CLOSES.get(name, ())
-            for k in range(len(stack) - 1, -1, -1):
-                if stack[k][0] in closed:
-                    while len(stack) > k:
-                        pop()
-                    break
-                if stack[k][0] in SCOPES:
-                    break
+            opened.closed_by(name)
         if name in VOID:
             continue
         if (found[3] or found[6] or "").endswith("/") and name not in BLOCK:
@@ -123,11 +184,9 @@ def blocks(page: str) -> list[tuple[str, tuple[str, ...], float]]:
         marks = [name]
         for value in ATTRIBUTE.findall(found[3] or found[6] or ""):
             marks += ["." + m for m in NAME.findall("".join(value).lower())]
-        stack.append((name, tuple(marks)))
-        links += name == "a"
-        hidden += name in HIDDEN
+        opened.push(name, tuple(marks))
         if name in RAW:
-            end = page.lower().find("</" + name, at) if n < 1 << 16 else _find(page, name, at)
+            end = _find(page, name, at)
             end = n if end < 0 else end
             take(page[at:end])
             at = end
@@ -140,9 +199,9 @@ def _find(page: str, name: str, at: int) -> int:
     return found.start() if found else -1
 
 
-def chain_features(chain: tuple[str, ...]) -> list[str]:
-    tags = [m for m in chain if m[0] != "."]
-    return [*{("anc" + m) for m in chain}, "tag" + (tags[-1] if tags else ""), *{f"top{m}" for m in chain[2:5]}]
+def chain_features(chain: Chain) -> list[str]:
+    marks, tag, top = chain
+    return [*("anc" + m for m in marks), "tag" + tag, *{f"top{m}" for m in top}]
 
 
 def text_features(text: str, share: float, index: int, count: int) -> list[str]:
@@ -165,13 +224,14 @@ class Field:
     def __init__(self, names: dict[str, int], weights: np.ndarray, moves: np.ndarray, start: np.ndarray):
         self.names, self.weights, self.moves, self.start = names, weights, moves, start
         self.table = {f: (float(weights[i, 0]), float(weights[i, 1])) for f, i in names.items()}
-        self.chains: dict[tuple[str, ...], tuple[float, float]] = {}
+        self.known = frozenset(f[3:] for f in names if f.startswith("anc"))
+        self.chains: dict[Chain, tuple[float, float]] = {}
 
     def _sum(self, features: list[str]) -> tuple[float, float]:
         found = [self.table[f] for f in features if f in self.table]
         return sum(a for a, _ in found), sum(b for _, b in found)
 
-    def decode(self, page: list[tuple[str, tuple[str, ...], float]]) -> list[int]:
+    def decode(self, page: list[tuple[str, Chain, float]]) -> list[int]:
         """Most likely labels of a page's blocks."""
         if not page:
             return []
@@ -354,7 +414,7 @@ def field() -> Field:
 
 
 def main_text(page: str | None, model: Field) -> str:
-    found = blocks(page) if page else []
+    found = blocks(page, model.known) if page else []
     return "\n".join(text for (text, _, _), label in zip(found, model.decode(found), strict=True) if label)
 
 
@@ -374,6 +434,7 @@ def _extractor(parts):
 
 def extract(pages: DataFrame) -> DataFrame:
     """page_id, url, text, n_chars of each page."""
+    bounded_batches(pages.sparkSession)
     model = field()
     rows = pages.select(F.col("page_id").cast("long"), F.col("url").cast("string"), F.col("html").cast("string"))
     parts = (model.names, model.weights, model.moves, model.start)
