@@ -6,7 +6,7 @@ whose shrunk rate is over a limit go as well.
 
 Defined cases: a null text has no words, so it fails; an empty text likewise.  A null host has no verdict: its
 documents are judged one by one.  An empty table gives an empty result.  Repeated rows and ids are measured each on
-their own.  Further columns of the input stay out of ``measure`` and pass through ``apply`` unchanged.
+their own.  A host whose rate is just the limit stays.  Very long texts are read whole.  Further columns of the input stay out of ``measure`` and pass through ``apply`` unchanged.
 """
 
 from __future__ import annotations
@@ -19,6 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from linkveil.llm import words as W
+from linkveil.llm.columns import plain, restored
 from linkveil.llm.dropping import drop_keys
 from linkveil.session import bounded_batches, durable
 
@@ -171,6 +172,7 @@ def apply(docs: DataFrame, max_host_rate: float = 0.5, min_words: int = 10, max_
 
     Only the hosts that are rejected are joined to the texts, so texts are shuffled only if those are very many.
     """
+    docs, names = plain(docs)
     measured = measure(docs).withColumn("base_failed", base_failed(min_words, max_repeat_percent))
     bad = host_rates(durable(measured.select("source", "base_failed"))).where(F.col("host_rate") > max_host_rate)
-    return drop_keys(docs.mapInArrow(_passer(min_words, max_repeat_percent), docs.schema), "source", bad.select("source"))
+    return restored(drop_keys(docs.mapInArrow(_passer(min_words, max_repeat_percent), docs.schema), "source", bad.select("source")), names)

@@ -11,7 +11,9 @@ each prefix is admissible, and it is what merging the prefix gives.  So the stat
 two pieces stay apart is found by merging their joined string, and kept.
 
 Defined cases: a null text gives null tokens; an empty one gives none; U+2581 in a text counts as a blank.  Very long
-words take time in proportion to their length.  Repeated rows give repeated rows.
+words take time in proportion to their length.  Repeated rows give repeated rows, an empty table an empty result.  Columns
+named as an own result (n_tokens, token_ids, round_trip) give way to it; others of any name stay.  A prefix has one
+admissible path, so there are no ties.
 """
 
 from __future__ import annotations
@@ -23,8 +25,10 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from linkveil.llm import words as W
+from linkveil.llm.columns import plain, quoted, restored
 from linkveil.session import bounded_batches
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
@@ -202,12 +206,14 @@ def _encoder(broadcast, keep: list[str]):
 def encode(docs: DataFrame, keep: list[str] | None = None, model: str = MODEL) -> DataFrame:
     """The columns ``keep`` (all but own results by default; ``text`` as decoded from its ids), n_tokens, token_ids, round_trip."""
     own = ["n_tokens", "token_ids", "round_trip"]
-    keep = [c for c in docs.columns if c not in own] if keep is None else keep
+    docs, names = plain(docs)
+    keep = [c for c in docs.columns if c not in own] if keep is None else [names.get(c, c) for c in keep]
     bounded_batches(docs.sparkSession)
     broadcast = docs.sparkSession.sparkContext.broadcast(read_pieces(model))
-    source = docs.select(*dict.fromkeys([*keep, "text"]))
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(*keep).schema)
-    return source.mapInArrow(_encoder(broadcast, keep), f"{schema}, n_tokens long, token_ids array<int>, round_trip boolean")
+    source = docs.select(*(quoted(c) for c in dict.fromkeys([*keep, "text"])))
+    kept = docs.select(*(quoted(c) for c in keep)).schema
+    own_fields = [T.StructField("n_tokens", T.LongType()), T.StructField("token_ids", T.ArrayType(T.IntegerType())), T.StructField("round_trip", T.BooleanType())]
+    return restored(source.mapInArrow(_encoder(broadcast, keep), T.StructType([*kept, *own_fields])), names)
 
 
 def decode(encoded: DataFrame, model: str = MODEL, column: str = "token_ids") -> DataFrame:

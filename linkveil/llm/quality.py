@@ -7,7 +7,8 @@ isotonic map to shares of label 1 is fitted.
 
 Defined cases: null and empty texts have the statistics of no words and are scored; rows that share a doc_id each get a
 row; a document with several labels counts for each; null labels are left out.  Without labels every score is 0.5.  A
-null doc_id has no label.
+null doc_id has no label.  Scores of just the threshold count as 1.  Very long texts are read whole, in one pass; an empty
+table gives an empty result.  Only doc_id, text and the labels' quality are read, so other columns of any name do no harm.
 """
 
 from __future__ import annotations
@@ -22,7 +23,7 @@ from pyspark.sql import functions as F
 from linkveil.llm import host_rules
 from linkveil.llm import words as W
 from linkveil.llm.treesum import emit, tree_sum
-from linkveil.session import durable
+from linkveil.session import bounded_batches, durable
 
 STATISTICS = (
     "log_words", "word_length", "symbols", "digits", "capitals", "punctuation", "exclamations", "other_bytes", "dup_lines", "repeated_words",
@@ -203,6 +204,7 @@ def _scorer(model: Model | None, threshold: float):
 
 def score(docs: DataFrame, labels: DataFrame, threshold: float = 0.7) -> DataFrame:
     """doc_id, held_out, score, predicted for each document."""
+    bounded_batches(docs.sparkSession)
     measured = durable(measure(docs))
     model = fit(measured, labels)
     return measured.withColumn("held_out", held_out()).mapInArrow(_scorer(model, threshold), "doc_id long, held_out boolean, score double, predicted int")
