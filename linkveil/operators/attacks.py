@@ -10,6 +10,7 @@ from pyspark.sql.window import Window
 
 from linkveil.functions import bits
 from linkveil.operators import encode
+from linkveil.session import sent
 
 DIGITS = 9
 
@@ -80,6 +81,36 @@ def token_bits(filters: DataFrame, records: DataFrame, m: int = 256) -> DataFram
     return rate(inside, "inside").crossJoin(rate(across, "across"))  # one row each
 
 
+def token_inference(filters: DataFrame, records: DataFrame, m: int = 256, q: int = 2) -> DataFrame:
+    """Token inference from known plaintext: (attr, grams, tests, right, wrong).
+
+    The attacker knows values and filters of half the records, takes the bits that all filters with a gram have in common for
+    the gram's, and says that an unknown record has the gram if its filter has those bits.  ``right`` counts grams found among
+    ``tests`` that unknown records have, ``wrong`` those said of records without them.  Grams come from a small alphabet, so the
+    table of their bits is sent to the tasks where it is few enough.  Filters under different keys have no bits in common, so a
+    gram's table is empty and every record is said to have it."""
+    words = bits.names(m)
+    known = F.pmod(F.crc32(F.col("rec_id").cast("binary")), F.lit(2)) == 0
+    grams = encode.grams(records, encode.ATTRIBUTES, q)
+    merged = filters.where(known).join(grams, ["rec_id", "owner", "attr"]).groupBy("attr", "gram").agg(F.count(F.lit(1)).alias("seen"), *(F.bit_and(w).alias(f"g_{w}") for w in words))
+    said = F.lit(True)
+    for w in words:
+        said = said & (F.col(w).bitwiseAND(F.col(f"g_{w}")) == F.col(f"g_{w}"))
+    unknown = filters.where(~known)
+    found = unknown.join(sent(merged.where("seen > 1")), "attr").groupBy("attr").agg(F.countDistinct("gram").alias("grams"), F.count(F.when(said, 1)).alias("said"))
+    true = unknown.join(grams, ["rec_id", "owner", "attr"]).join(merged.where("seen > 1"), ["attr", "gram"]).groupBy("attr").agg(F.count(F.lit(1)).alias("tests"), F.count(F.when(said, 1)).alias("right"))
+    return found.join(true, "attr").select("attr", "grams", "tests", "right", (F.col("said") - F.col("right")).alias("wrong"))
+
+
+def aligned_after_attribution(found: DataFrame, filters: DataFrame, records: DataFrame, m: int = 1024, top: int = 20) -> DataFrame:
+    """The step after ``attribute_bits``: each attribute's bits alone make a pattern, and the most frequent patterns are set beside
+    the most frequent values, as in ``frequency_alignment``."""
+    masks = found.select("attr", *(x.alias(f"m_{w}") for w, x in zip(bits.names(m), bits.pack(F.col("bits"), m), strict=True)))
+    parts = filters.crossJoin(F.broadcast(masks))  # one row an attribute
+    parts = parts.select("rec_id", "owner", "attr", *(F.col(w).bitwiseAND(F.col(f"m_{w}")).alias(w) for w in bits.names(m)))
+    return frequency_alignment(parts, records, m, top)
+
+
 def dictionary(filters: DataFrame, guesses: DataFrame, attribute: str, key: str, p: encode.Parameters) -> DataFrame:
     """If the owners' key leaks: encodes a public list of values (column ``value``) and joins it with an attribute's filters by pattern."""
     listed = guesses.select(F.col("value").alias("rec_id"), F.lit("-").alias("owner"), *(F.col("value").alias(a) if a == attribute else F.lit(None).cast("string").alias(a) for a in p.attributes))
@@ -92,6 +123,6 @@ def dictionary(filters: DataFrame, guesses: DataFrame, attribute: str, key: str,
 def graph_exposure(candidates: DataFrame, requested: DataFrame, floor: float = 0.5) -> DataFrame:
     """Edges (pairs over a similarity) and nodes of the full similarity graph, and of the part that a lower layer sees."""
     edges = candidates.where(F.col("sim") >= floor)
-    part = edges.join(F.broadcast(requested.select("pair_id").distinct()), "pair_id", "left_semi")  # bounded by the review budget
+    part = edges.join(sent(requested.select("pair_id").distinct()), "pair_id", "left_semi")
     count = lambda df, name: df.agg(F.count(F.lit(1)).alias(f"{name}_edges"), F.countDistinct("left_id").alias(f"{name}_left"), F.countDistinct("right_id").alias(f"{name}_right"))
     return count(edges, "all").crossJoin(count(part, "seen")).withColumn("edge_share", F.round(F.try_divide(F.col("seen_edges").cast("double"), F.col("all_edges")), DIGITS))  # one row each

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from linkveil.operators import classify, compare, encode, measures, oracle
+from linkveil.session import sent
 
 
 def fitted_weights(records: DataFrame, error: float | Mapping[str, float] = 0.01, attributes=encode.ATTRIBUTES, approximate: bool = False) -> DataFrame:
@@ -48,6 +49,23 @@ def full_review(pairs: DataFrame, err: float = 0.0, seed: int = 0) -> DataFrame:
     return pairs.withColumn("g", oracle.human(F.col("truth"), err, seed))
 
 
+def full_plaintext_review(pairs: DataFrame, records: DataFrame, attributes=encode.ATTRIBUTES) -> DataFrame:
+    """(attr, values, characters, shown): what reviewers of ``pairs`` (left_id, right_id) read with full plaintext, and how many of
+    those characters the masked display shows."""
+    sides = F.explode(F.array(*(F.struct(F.lit(s).alias("side"), F.col(f"{s}_id").alias("rec_id")) for s in ("left", "right"))))
+    wanted = pairs.select("pair_id", sides.alias("s")).select("pair_id", "s.*")
+    values = F.explode(F.array(*(F.struct(F.lit(a).alias("attr"), F.col(a).alias("value")) for a in attributes)))
+    read = records.join(sent(wanted), "rec_id").select("pair_id", "side", values.alias("v")).select("pair_id", "side", "v.*")
+    both = read.groupBy("pair_id", "attr").agg(*(F.max(F.when(F.col("side") == s, F.col("value"))).alias(s) for s in ("left", "right")))
+    each = [(F.col(x), oracle.mask_positions(F.col(x), F.col(y))) for x, y in (("left", "right"), ("right", "left"))]
+    size = lambda c: F.coalesce(F.length(c), F.lit(0))
+    return both.groupBy("attr").agg(
+        F.sum(sum((c.isNotNull().cast("long") for c, _ in each), F.lit(0))).alias("values"),
+        F.sum(sum((size(c) for c, _ in each), F.lit(0))).cast("long").alias("characters"),
+        F.sum(sum((size(F.translate(m, oracle.MASK, "")) for _, m in each), F.lit(0))).cast("long").alias("shown"),
+    )
+
+
 def exact_grams(pairs: DataFrame, records: DataFrame, attributes=encode.ATTRIBUTES, q: int = 2) -> DataFrame:
     """Plaintext reference of the record filter: Dice coefficient of the union of all attributes' grams."""
     from linkveil.functions import text

@@ -57,7 +57,7 @@ def diverse(pairs: DataFrame, size: int, features: Sequence[str], p_limit: float
 
 def batch_for(wanted: int, rate: float) -> int:
     """Pairs to request so that ``wanted`` are answered by both owners, who answer independently."""
-    return math.ceil(wanted / rate**2) if rate > 0 else 0
+    return math.ceil(round(wanted / (rate * rate), 6)) if rate > 0 else 0
 
 
 def with_decoys(drawn: DataFrame, certain: DataFrame, share: float, seed: int = 0) -> DataFrame:

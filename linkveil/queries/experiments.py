@@ -4,10 +4,11 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from linkveil.operators import measures
+from linkveil.operators import encode, forest, measures, oracle
 from linkveil.plans import protocol, workloads
 from linkveil.queries import linkage
 from linkveil.queries import linkage_sql as S
@@ -200,6 +201,44 @@ def rounds_to_baseline(spark, sf_dir):
     return measures.rounds_to(_curve(spark, sf_dir).metrics, data.f1_best)
 
 
+@query
+def baseline_gap(spark, sf_dir):
+    """Final micro-average F1 beside the lines of E1M."""
+    table = workloads.summary(_curve(spark, sf_dir))
+    last = table.orderBy(F.desc("round")).limit(1).select(F.lit("protocol").alias("name"), F.col("micro_f1").alias("f1"))
+    return measures.gap(last, workloads.reference_lines(prepared(spark, sf_dir)).select("baseline", "f1"))
+
+
+@query
+def forest_predictions(spark, sf_dir):
+    """The forest of the first batch's pairs with human labels, on the pairs themselves: g and p."""
+    rows = _forest_rows(spark, sf_dir)
+    grown = forest.EvolvingForest(seed=1)
+    for _ in range(3):
+        grown = grown.update(forest.matrix(rows), rows["label"].to_numpy(float), np.ones(len(rows)))
+    g, p = grown.classify(forest.matrix(rows))
+    return spark.createDataFrame([(i, bool(a), float(b)) for i, a, b in zip(rows["pair_id"], g, np.round(p, 9), strict=True)], "pair_id string, g boolean, p double")
+
+
+@query
+@twin_sql("SELECT 'forest' AS run_id, i::INT AS round, least(10 * i, 100)::BIGINT AS trees, (greatest(10 * i - 100, 0))::BIGINT AS oldest, (10 * i - 1)::BIGINT AS newest FROM range(1, 13) r(i)")
+def forest_fifo(spark, sf_dir):
+    """Living trees after each of twelve updates: ten more each time, a hundred at most, the oldest go."""
+    rows, grown, living = _forest_rows(spark, sf_dir), forest.EvolvingForest(seed=1), []
+    for i in range(1, 13):
+        grown = grown.update(forest.matrix(rows), rows["label"].to_numpy(float), np.ones(len(rows)))
+        living += [("forest", i, int(s)) for s in grown.sequence]
+    return measures.forest_state(spark.createDataFrame(living, "run_id string, round int, seq long"))
+
+
+def _forest_rows(spark, sf_dir):
+    """Features and labels of the first batch, a hundred rows."""
+    classes = encode.frequency_classes(linkage.registry(spark, sf_dir))
+    drawn = linkage.drawn(spark, sf_dir)
+    frequent = protocol.frequency_features(drawn.select("pair_id", "left_id", "right_id"), classes, linkage.registry(spark, sf_dir))
+    return linkage.pair_sims(spark, sf_dir).join(frequent, "pair_id").withColumn("label", oracle.human(F.col("truth"), 0.2)).toPandas().sort_values("pair_id")
+
+
 @query
 def human_share(spark, sf_dir):
     return measures.human_share(_curve(spark, sf_dir).metrics).select("run_id", "round", "reviews_attr", "reviews_human", "human_share")

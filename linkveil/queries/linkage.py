@@ -440,7 +440,10 @@ def bucket_sizes(spark, sf_dir):
     return inside.groupBy("bucket").agg(F.count(F.lit(1)).alias("pairs"), F.count(F.when(F.col("truth"), 1)).alias("true_pairs"))
 
 
-@query()
+_CELL = " || ".join(f"coalesce(least(floor(sim_{a} * 4)::INT, 3)::VARCHAR, '-')" for a in ATTRIBUTES)
+
+
+@query(S.with_(*S.TO_SIMS) + f"SELECT pair_id, cell, turn::INT AS turn FROM (SELECT *, row_number() OVER (PARTITION BY cell ORDER BY md5('0|' || pair_id), pair_id) AS turn FROM (SELECT pair_id, {_CELL} AS cell FROM pair_sim WHERE p < 0.8)) ORDER BY turn, md5('0|' || pair_id) LIMIT 40")
 def uncertain_diverse(spark, sf_dir):
     """Spread over feature vectors: pairs of the first batch, by cells of attribute similarities."""
     return sampling.diverse(pair_sims(spark, sf_dir), 40, [f"sim_{a}" for a in ATTRIBUTES]).select("pair_id", "cell", "turn")
@@ -493,13 +496,13 @@ def _mask_sql(x: str, y: str) -> str:
     return f"CASE WHEN {x} IS NULL THEN NULL WHEN {y} IS NULL OR length({x}) = 0 THEN {x} ELSE {each} END"
 
 
-@query(S.with_(*S.TO_DRAWN) + "SELECT pair_id, " + ", ".join(f"{_mask_sql(f'a.{x}', f'b.{x}')} AS l_{x}, {_mask_sql(f'b.{x}', f'a.{x}')} AS r_{x}" for x in ("FN", "LN", "ZIP")) + " FROM drawn JOIN registry a ON a.rec_id = left_id JOIN registry b ON b.rec_id = right_id")
+@query(S.with_(*S.TO_DRAWN) + "SELECT pair_id, " + ", ".join(f"{_mask_sql(f'a.{x}', f'b.{x}')} AS l_{x}, {_mask_sql(f'b.{x}', f'a.{x}')} AS r_{x}" for x in ATTRIBUTES) + " FROM drawn JOIN registry a ON a.rec_id = left_id JOIN registry b ON b.rec_id = right_id")
 def masked_display(spark, sf_dir):
-    """What a reviewer sees of three attributes: equal letters hidden."""
+    """What a reviewer sees of a pair: equal letters hidden."""
     r = registry(spark, sf_dir)
-    side = lambda s, name: r.select(F.col("rec_id").alias(name), *(F.col(a).alias(s + a) for a in ("FN", "LN", "ZIP")))
+    side = lambda s, name: r.select(F.col("rec_id").alias(name), *(F.col(a).alias(s + a) for a in ATTRIBUTES))
     both = drawn(spark, sf_dir).select("pair_id", "left_id", "right_id").join(side("l_", "left_id"), "left_id").join(side("r_", "right_id"), "right_id")
-    shown = {f"{s}{a}": oracle.mask_positions(F.col(f"{s}{a}"), F.col(f"{o}{a}")) for a in ("FN", "LN", "ZIP") for s, o in (("l_", "r_"), ("r_", "l_"))}
+    shown = {f"{s}{a}": oracle.mask_positions(F.col(f"{s}{a}"), F.col(f"{o}{a}")) for a in ATTRIBUTES for s, o in (("l_", "r_"), ("r_", "l_"))}
     return both.select("pair_id", *(v.alias(k) for k, v in shown.items()))
 
 
@@ -692,6 +695,61 @@ def exposure_counts(spark, sf_dir):
     return measures.exposure(requests(spark, sf_dir))
 
 
+@query(S.with_(S.registry(), S.KEYED, S.PAIR) + f", said AS (SELECT truth, CASE WHEN {twin.u('pair_id', 'human0')} < 0.2 THEN NOT truth ELSE truth END AS g FROM pair) SELECT count(*) AS reviews, count(*) FILTER (WHERE g AND truth) AS tp, count(*) FILTER (WHERE g AND NOT truth) AS fp, {_N_TRUE} - count(*) FILTER (WHERE g AND truth) AS fn FROM said")
+def full_review(spark, sf_dir):
+    """A human who errs in a fifth of the cases labels every candidate."""
+    said = baselines.full_review(pairs(spark, sf_dir), 0.2)
+    n_true = measures.true_pairs(registry(spark, sf_dir)).count()
+    return said.agg(F.count(F.lit(1)).alias("reviews"), F.count(F.when(F.col("g") & F.col("truth"), 1)).alias("tp"), F.count(F.when(F.col("g") & ~F.col("truth"), 1)).alias("fp")).withColumn("fn", F.lit(n_true) - F.col("tp"))
+
+
+_BOTH = "(SELECT a.{0} AS l, b.{0} AS r FROM drawn JOIN registry a ON a.rec_id = left_id JOIN registry b ON b.rec_id = right_id)"
+_SHOWN = " + ".join(f"coalesce(length(replace({_mask_sql(x, y)}, '*', '')), 0)" for x, y in (("l", "r"), ("r", "l")))
+
+
+@query(
+    S.with_(*S.TO_DRAWN)
+    + " UNION ALL ".join(f"SELECT '{a}' AS attr, sum((l IS NOT NULL)::INT + (r IS NOT NULL)::INT)::BIGINT AS values, sum(coalesce(length(l), 0) + coalesce(length(r), 0))::BIGINT AS characters, sum({_SHOWN})::BIGINT AS shown FROM {_BOTH.format(a)}" for a in ATTRIBUTES)
+)
+def full_plaintext_review(spark, sf_dir):
+    """Characters that reviewers of the first batch read with full plaintext, and with the masked display."""
+    return baselines.full_plaintext_review(drawn(spark, sf_dir), registry(spark, sf_dir))
+
+
+@query(S.with_(*S.TO_DRAWN) + "SELECT pair_id, false AS decoy FROM drawn UNION ALL SELECT pair_id, true FROM (SELECT pair_id, row_number() OVER (ORDER BY md5('0|' || pair_id)) AS i FROM classified WHERE p >= 0.8) WHERE i <= ceil((SELECT count(*) FROM drawn) * 0.25)")
+def decoy_requests(spark, sf_dir):
+    """A request batch with a quarter of certain pairs mixed in."""
+    return sampling.with_decoys(drawn(spark, sf_dir), classified(spark, sf_dir).where("p >= 0.8"), 0.25).select("pair_id", "decoy")
+
+
+@query(S.with_(*S.TO_REQUESTS) + "SELECT pair_id, rec_id FROM request WHERE owner = 'A' AND pair_id NOT IN (SELECT pair_id FROM (SELECT pair_id FROM request WHERE owner = 'A' ORDER BY round, pair_id, rec_id LIMIT 30)) ORDER BY round, pair_id, rec_id LIMIT 30")
+def owner_pulls(spark, sf_dir):
+    """Owner A's second pull of thirty requests, the first ones being answered."""
+    queue = requests(spark, sf_dir)
+    return owner.pull(queue, "A", owner.pull(queue, "A", size=30), 30).select("pair_id", "rec_id")
+
+
+@query("SELECT i::INT AS tenths, ceil(round(100 / ((i / 10.0::DOUBLE) * (i / 10.0::DOUBLE)), 6))::INT AS pairs FROM range(1, 11) r(i)")
+def batch_sizes(spark, sf_dir):
+    """Pairs to ask for so that both owners answer for a hundred, by response rate."""
+    return spark.createDataFrame([(i, sampling.batch_for(100, i / 10)) for i in range(1, 11)], "tenths int, pairs int")
+
+
+@query(S.with_(*S.TO_PAIRS) + "SELECT left_id, right_id, round(sim, 9) AS sim, round(least(l_ones, r_ones) / greatest(l_ones, r_ones)::DOUBLE, 9) AS fill_ratio FROM cand")
+def top_features(spark, sf_dir):
+    """Features of the top model: similarity and ratio of fill rates."""
+    return rounded(candidates(spark, sf_dir).select("left_id", "right_id", *compare.top_features(1024, with_fill=True)), "sim", "fill_ratio")
+
+
+@query(
+    S.with_(S.registry(), S.VALUE, S.GRAM, f"mask_of AS (SELECT attr, gram, {twin.positions(twin.hmac('gram', f"'{S.KEY}|' || attr"), '12', 1024, most=12)} AS p FROM (SELECT DISTINCT attr, gram FROM gram_of))")
+    + "SELECT rec_id, len(list_distinct(flatten(list(p))))::INT AS ones FROM gram_of JOIN mask_of USING (attr, gram) GROUP BY rec_id"
+)
+def attribute_salted_ones(spark, sf_dir):
+    """Record filters with the attribute's name in the key."""
+    return encode.record_filter(registry(spark, sf_dir), P, salt_by_attribute=True).select("rec_id", "ones")
+
+
 # --- audits -------------------------------------------------------------------------------------------------------------
 
 
@@ -707,10 +765,10 @@ def attack_frequency_plain(spark, sf_dir):
     return attacks.frequency_alignment(attribute_filters(spark, sf_dir), registry(spark, sf_dir))
 
 
-@query()
+@query("SELECT attr, tried, most_frequent FROM (" + S.with_(*S.TO_REQUESTS, S.PAIR_KEYED) + _alignment_sql("pair_filter") + ")")
 def attack_frequency_keyed(spark, sf_dir):
-    """Ties of equal counts are broken by the packed pattern, so only the most frequent count has a meaning."""
-    return attacks.frequency_alignment(pair_filters(spark, sf_dir), registry(spark, sf_dir), by=["pair_id"])
+    """Patterns under pair keys hardly come up twice, so ranks say nothing; which of many equal counts is set beside a value has no meaning."""
+    return attacks.frequency_alignment(pair_filters(spark, sf_dir), registry(spark, sf_dir), by=["pair_id"]).select("attr", "tried", "most_frequent")
 
 
 def _attack(spark, sf_dir, filters, m=1024):
@@ -725,7 +783,25 @@ def attack_attribute_bits(spark, sf_dir):
     plan = spark.createDataFrame(_PLAN, "position int, attr string, bit int")
     sampled = _attack(spark, sf_dir, encode.sampled_filter(registry(spark, sf_dir), P))
     right = attacks.attribution_precision(sampled, plan).select("guesses", "right", "precision")
-    return right.crossJoin(attacks.ambiguous_bits(_attack(spark, sf_dir, record_filters(spark, sf_dir))))  # one row each
+    joint = attacks.ambiguous_bits(_attack(spark, sf_dir, record_filters(spark, sf_dir)))
+    folded = attacks.ambiguous_bits(_attack(spark, sf_dir, encode.xor_fold(record_filters(spark, sf_dir)), 512)).withColumnsRenamed({"clear": "folded_clear", "ambiguous": "folded_ambiguous"})
+    return right.crossJoin(joint).crossJoin(folded)  # one row each
+
+
+@query()
+def attack_sampled_alignment(spark, sf_dir):
+    """Sampled filters after the attribution of their bits: patterns by attribute against values by frequency."""
+    filters = encode.sampled_filter(registry(spark, sf_dir), P)
+    return attacks.aligned_after_attribution(_attack(spark, sf_dir, filters), filters, registry(spark, sf_dir))
+
+
+@query()
+def attack_token_inference(spark, sf_dir):
+    """Grams read off attribute filters with half of the records known, under the owners' key and under pair keys."""
+    r = registry(spark, sf_dir)
+    kinds = (("owner_key", attribute_filters(spark, sf_dir)), ("pair_keys", pair_filters(spark, sf_dir)))
+    each = [attacks.token_inference(f, r).select(F.lit(k).alias("kind"), "attr", "grams", "tests", "right", "wrong") for k, f in kinds]
+    return each[0].unionByName(each[1])
 
 
 @query()
