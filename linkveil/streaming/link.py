@@ -78,28 +78,42 @@ def answered(stream: DataFrame, ask: str, reply: str, within: str = "1 hour", de
     return a.join(b, on).select("request", "reply")
 
 
+LIFE = 3600.0
+
+
 def _track(key: tuple, chunks: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-    """States of one key's open requests: asked, completed by a later reply, or expired after an hour of event time."""
-    asked, done = state.get if state.exists else ([], 0)
-    asked, expired = list(asked), 0
-    for rows in chunks:
+    """One key's open requests: completed by a later reply, or expired after LIFE of event time, by a timer if nothing comes."""
+    asked = list(state.get[0]) if state.exists else []
+    done = expired = 0
+    for rows in [] if state.hasTimedOut else chunks:
         for at, kind in sorted(zip(rows["at"].tolist(), rows["event_type"].tolist(), strict=True)):
-            expired += sum(a < at - 3600 for a in asked)
-            asked = [a for a in asked if a >= at - 3600]
+            expired += sum(a < at - LIFE for a in asked)
+            asked = [a for a in asked if a >= at - LIFE]
             if kind == "reply":
                 done += len(asked)
                 asked = []
             else:
                 asked.append(at)
-    state.update((asked, done))
+    now = state.getCurrentWatermarkMs() / 1000
+    expired += sum(a < now - LIFE for a in asked)
+    asked = sorted(a for a in asked if a >= now - LIFE)
+    if asked:
+        state.update((asked,))
+        state.setTimeoutTimestamp(int(max(asked[0] + LIFE, now) * 1000) + 1000)
+    elif state.exists:
+        state.remove()
     yield pd.DataFrame({"user_id": [key[0]], "open": [len(asked)], "completed": [done], "expired": [expired]})
 
 
-def request_states(stream: DataFrame, ask: str, reply: str) -> DataFrame:
-    """user_id, open, completed, expired (in this micro-batch): a custom state with a life of an hour for each open request."""
-    rows = stream.where(F.col("event_type").isin(ask, reply)).select("user_id", F.col("ts").cast("double").alias("at"), F.when(F.col("event_type") == reply, "reply").otherwise("ask").alias("event_type"))
+def request_states(stream: DataFrame, ask: str, reply: str, delay: str = "1 hour") -> DataFrame:
+    """user_id, open (now), completed and expired (in this micro-batch): a custom state with a life of an hour for each open request.
+
+    Rows behind the watermark are dropped.  A user's state goes with the last open request, which a timer sees to for users who
+    send nothing more."""
+    rows = stream.withWatermark("ts", delay).where(F.col("event_type").isin(ask, reply))
+    rows = rows.select("ts", "user_id", F.col("ts").cast("double").alias("at"), F.when(F.col("event_type") == reply, "reply").otherwise("ask").alias("event_type"))
     return rows.groupBy("user_id").applyInPandasWithState(
-        _track, "user_id long, open long, completed long, expired long", "asked array<double>, done long", "update", "NoTimeout"
+        _track, "user_id long, open long, completed long, expired long", "asked array<double>", "update", "EventTimeTimeout"
     )
 
 
