@@ -35,7 +35,7 @@ def rows_of(frame):
     names = sorted(frame.columns)
 
     def plain(v):
-        if v is None or v != v:
+        if v is None or type(v).__name__ == "NAType" or v != v:
             return "null"
         if hasattr(v, "tolist"):
             v = v.tolist()
