@@ -50,7 +50,7 @@ PLACE_BITS = 63 - MARK_BITS
 #: One of so many documents is read to find hot runs; hot is a run with HOT_LEAST documents of it and a HOT_SHARE-th of its runs.
 SAMPLE = 64
 HOT_LEAST = 64
-HOT_SHARE = 20_000
+HOT_SHARE = 2_000
 PARTS = 64
 OWN = ("n_sentences", "n_removed", "n_cut", "removed_words")
 
@@ -180,15 +180,18 @@ def later_places(texts: DataFrame) -> DataFrame:
         first = F.min(own).over(Window.partitionBy("run"))
         again = found.withColumn("first", first).where((F.col("at") < 0) | (place != F.col("first")))
     else:
-        hot = F.broadcast(hot.withColumn("hot", F.lit(True)))  # HOT_SHARE rows at most
-        part = F.when(F.col("hot"), 1 + F.pmod(F.xxhash64("id", "at"), F.lit(PARTS))).otherwise(0).cast("int")
-        dealt = found.join(hot, "run", "left").select("run", "id", "at", part.alias("part"))
+        # a hot run's part goes into its key, so rows get no wider
+        part = lambda run, number: F.xxhash64(run, number)
+        keys = hot.select("run", F.explode(F.sequence(F.lit(0), F.lit(PARTS - 1))).alias("part")).select("run", part(F.col("run"), F.col("part")).alias("key"))
+        number = F.pmod(F.xxhash64("id", "at"), F.lit(PARTS)).cast("int")
+        key = F.when(F.col("hot"), part(F.col("run"), number)).otherwise(F.col("run"))
+        dealt = found.join(F.broadcast(hot.withColumn("hot", F.lit(True))), "run", "left").select(key.alias("key"), "id", "at")  # HOT_SHARE rows at most
         # a window reads each run's places in one shuffle, where an aggregation and a join back take two
-        dealt = dealt.withColumn("first", F.min(own).over(Window.partitionBy("run", "part")))
-        again = dealt.where((F.col("at") < 0) | (place != F.col("first")))
-        leaders = dealt.where((F.col("part") > 0) & (F.col("at") >= 0) & (place == F.col("first")))  # PARTS a hot run
+        dealt = dealt.withColumn("first", F.min(own).over(Window.partitionBy("key")))
+        again = dealt.where((F.col("at") < 0) | (place != F.col("first"))).select("id", "at")
+        leaders = dealt.where((F.col("at") >= 0) & (place == F.col("first"))).join(F.broadcast(keys), "key")  # PARTS times as many
         leaders = leaders.withColumn("first", F.min(place).over(Window.partitionBy("run")))
-        again = again.unionByName(leaders.where(place != F.col("first")))
+        again = again.unionByName(leaders.where(place != F.col("first")).select("id", "at"))
     at = F.when(F.col("at") < 0, F.bitwise_not("at")).otherwise(F.col("at"))
     cut, mark = at.bitwiseAND(F.lit((1 << PLACE_BITS) - 1)).alias("cut"), F.shiftright(at, PLACE_BITS).alias("mark")
     return again.select("id", mark, cut).groupBy("id", "mark").agg(F.collect_set("cut").alias("cuts"))  # bounded by the document
