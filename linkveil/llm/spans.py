@@ -130,7 +130,7 @@ def smallest(values: np.ndarray, doc: np.ndarray) -> np.ndarray:
 @W.tidy
 def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        ids = batch.column("id")
+        ids = batch.column("id")  # never null
         marks = batch.column("mark").to_numpy()
         for lo, _, data, offsets in W.slices(batch.column("text")):
             found = Sentences(data, offsets)
@@ -139,8 +139,9 @@ def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             order = np.lexsort((place, hashes, doc))
             again = np.zeros(len(order), dtype=bool)
             again[order[1:]] = (doc[order[1:]] == doc[order[:-1]]) & (hashes[order[1:]] == hashes[order[:-1]])
-            # a later place of the document goes in any case: it is marked and meets no other
-            hashes = np.where(again, W.mix(hashes ^ place.astype(np.uint64)), hashes)
+            # a later place of the document goes in any case: it is marked, and a key of the document's own keeps such rows together
+            own = W.mix(ids.to_numpy()[doc + lo].view(np.uint64) ^ W._BASE)
+            hashes = np.where(again, own, hashes)
             yield pa.RecordBatch.from_arrays(
                 [pa.array(hashes.view(np.int64)), ids.take(pa.array(doc + lo)), pa.array(np.where(again, ~place, place))], names=["run", "id", "at"]
             )
