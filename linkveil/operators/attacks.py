@@ -36,17 +36,21 @@ def frequency_alignment(filters: DataFrame, records: DataFrame, m: int = 256, to
     return joined.groupBy("attr").agg(F.count(F.lit(1)).alias("tried"), F.count(F.when(F.col("value") == F.col("guess"), 1)).alias("hits"), F.max("n").alias("most_frequent"))
 
 
+def one_difference(pairs: DataFrame, attributes: Sequence[str] = encode.ATTRIBUTES) -> DataFrame:
+    """Pairs with sim_<attr> of which one is under 1 and none is missing."""
+    count = sum((F.coalesce(F.col(f"sim_{a}") < 1, F.lit(False)).cast("int") for a in attributes), F.lit(0))
+    missing = sum((F.col(f"sim_{a}").isNull().cast("int") for a in attributes), F.lit(0))
+    return pairs.where((count == 1) & (missing == 0))
+
+
 def attribute_bits(pairs: DataFrame, m: int = 1024, attributes: Sequence[str] = encode.ATTRIBUTES) -> DataFrame:
     """(attr, pairs, bits): from pairs with l_w.., r_w.. and sim_<attr> that differ in one attribute only, the bits that differ.
 
     One aggregation of exclusive-or'ed words; a bit of a sampled filter belongs to one attribute, so its attribute is
     found, while a joint filter's bits come up under several.
     """
-    differs = [F.coalesce(F.col(f"sim_{a}") < 1, F.lit(False)) for a in attributes]
-    count = sum((d.cast("int") for d in differs), F.lit(0))
-    missing = sum((F.col(f"sim_{a}").isNull().cast("int") for a in attributes), F.lit(0))
-    which = F.coalesce(*(F.when(d, F.lit(a)) for a, d in zip(attributes, differs, strict=True)))
-    single = pairs.where((count == 1) & (missing == 0)).withColumn("attr", which)
+    which = F.coalesce(*(F.when(F.col(f"sim_{a}") < 1, F.lit(a)) for a in attributes))
+    single = one_difference(pairs, attributes).withColumn("attr", which)
     merged = single.groupBy("attr").agg(F.count(F.lit(1)).alias("pairs"), *(F.bit_or(F.col(f"l_w{i}").bitwiseXOR(F.col(f"r_w{i}"))).alias(f"w{i}") for i in range(m // 64)))
     return merged.select("attr", "pairs", bits.unpack([F.col(w) for w in bits.names(m)]).alias("bits"))
 
@@ -123,6 +127,9 @@ def dictionary(filters: DataFrame, guesses: DataFrame, attribute: str, key: str,
 def graph_exposure(candidates: DataFrame, requested: DataFrame, floor: float = 0.5) -> DataFrame:
     """Edges (pairs over a similarity) and nodes of the full similarity graph, and of the part that a lower layer sees."""
     edges = candidates.where(F.col("sim") >= floor)
-    part = edges.join(sent(requested.select("pair_id").distinct()), "pair_id", "left_semi")
+    if {"sim", "left_id", "right_id"} <= set(requested.columns):  # requested pairs are candidates and tell their similarity
+        part = requested.where(F.col("sim") >= floor).dropDuplicates(["pair_id"])
+    else:
+        part = edges.join(sent(requested.select("pair_id").distinct()), "pair_id", "left_semi")
     count = lambda df, name: df.agg(F.count(F.lit(1)).alias(f"{name}_edges"), F.countDistinct("left_id").alias(f"{name}_left"), F.countDistinct("right_id").alias(f"{name}_right"))
     return count(edges, "all").crossJoin(count(part, "seen")).withColumn("edge_share", F.round(F.try_divide(F.col("seen_edges").cast("double"), F.col("all_edges")), DIGITS))  # one row each

@@ -7,7 +7,7 @@ from collections.abc import Mapping
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from linkveil.operators import classify, compare, encode, measures, oracle
+from linkveil.operators import block, classify, compare, encode, measures, oracle
 from linkveil.session import sent
 
 
@@ -31,12 +31,33 @@ def attribute_only(pairs: DataFrame, records: DataFrame, p: encode.Parameters, w
     return found.withColumn("sim", compare.weighted_mean(dict(weights)))
 
 
+def blocked_scores(records: DataFrame, p: encode.Parameters, weights: Mapping[str, float] = encode.WEIGHTS) -> DataFrame:
+    """``attribute_only`` of all pairs of the blocking (left_id, right_id, truth), compared where they come up: the records' filters
+    are shuffled, the pairs aren't."""
+    wide = wide_filters(encode.attribute_filters(records, p), p.attribute_m)
+    keyed = block.keys(records.repartition("rec_id"), p.key).select("rec_id", "owner", "entity_id", "keys").join(wide, "rec_id", "left")
+    columns = ["entity_id", *wide.drop("rec_id").columns]
+    pairs = block.candidates(keyed.where("owner = 'A'"), keyed.where("owner = 'B'"), columns).withColumn("truth", F.col("l_entity_id") == F.col("r_entity_id"))
+    found = wide_similarities(pairs.drop("key_no", "l_entity_id", "r_entity_id"), p.attribute_m)
+    return found.withColumn("sim", compare.weighted_mean(dict(weights)))
+
+
+def wide_filters(filters: DataFrame, m: int = 256) -> DataFrame:
+    """One row a record (rec_id, <attr>_<word>, <attr>_ones)."""
+    words = [*measures.names(m), "ones"]
+    return filters.groupBy("rec_id").agg(*(F.max(F.when(F.col("attr") == a, F.col(w))).alias(f"{a}_{w}") for a in encode.ATTRIBUTES for w in words))
+
+
 def plain_similarities(pairs: DataFrame, filters: DataFrame, m: int = 256) -> DataFrame:
     """Adds sim_<attr> to pairs from filters (rec_id, attr, words, ones): one wide row a record, joined once for each side."""
+    wide = wide_filters(filters, m)
+    side = lambda s, name: wide.select(F.col("rec_id").alias(name), *(F.col(c).alias(f"{s}{c}") for c in wide.drop("rec_id").columns))
+    return wide_similarities(pairs.join(side("l_", "left_id"), "left_id").join(side("r_", "right_id"), "right_id"), m)
+
+
+def wide_similarities(joined: DataFrame, m: int = 256) -> DataFrame:
+    """Adds sim_<attr> to pairs that have both records' wide filters with l_ and r_, and drops those."""
     words = [*measures.names(m), "ones"]
-    wide = filters.groupBy("rec_id").agg(*(F.max(F.when(F.col("attr") == a, F.col(w))).alias(f"{a}_{w}") for a in encode.ATTRIBUTES for w in words))
-    side = lambda s, name: wide.select(F.col("rec_id").alias(name), *(F.col(f"{a}_{w}").alias(f"{s}{a}_{w}") for a in encode.ATTRIBUTES for w in words))
-    joined = pairs.join(side("l_", "left_id"), "left_id").join(side("r_", "right_id"), "right_id")
     sims = {}
     for a in encode.ATTRIBUTES:
         common = compare.common_ones(m, f"l_{a}_", f"r_{a}_")

@@ -287,3 +287,27 @@ def test_exact_grams_agree_with_filters(spark):
     pairs = spark.createDataFrame([("A1", "B1"), ("A1", "B2")], "left_id string, right_id string")
     exact = {r["right_id"]: r["sim"] for r in baselines.exact_grams(pairs, df).collect()}
     assert exact["B1"] == 1 and exact["B2"] < 0.3
+
+
+def test_histogram_rounds_like_its_definition(spark):
+    values = [k / 1000 + d for k in range(0, 1000, 7) for d in (0.0, 1e-12, -1e-12, 4e-10, -4e-10, 6e-9, -6e-9, 4e-9, -4e-9, 3e-4)]
+    pairs = spark.createDataFrame([(abs(v), i % 3 == 0) for i, v in enumerate(values)], "sim double, truth boolean")
+    for digits in (None, 8, 2):
+        sim = F.col("sim") if digits is None else F.round("sim", digits)
+        wanted = pairs.groupBy(F.floor(F.round(sim / 0.001, 6)).cast("int").alias("bin")).agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("truth").cast("long")).alias("n_true"))
+        assert sorted(measures.histogram(pairs, digits=digits).collect()) == sorted(wanted.collect())
+
+
+def test_blocking_difference_finds_moved_records(spark):
+    """Layers whose records have other keys: the same counts as from all pairs."""
+
+    def layer(keys):
+        records = spark.createDataFrame([(i, i[0], k) for i, k in keys.items()], "rec_id string, owner string, keys array<string>")
+        return records, block.candidates(records.where("owner = 'A'"), records.where("owner = 'B'"))
+
+    one = layer({"A1": ["x", "s", None], "A2": ["y", "t", "u"], "B1": ["x", "s", "u"], "B2": ["y", None, "u"]})
+    other = layer({"A1": ["x", "s", None], "A2": ["z", "t", "u"], "B1": ["x", "s", "v"], "B3": ["z", "s", "u"]})
+    found = measures.blocking_difference(one, other, "one", "other").first()
+    sets = [{(r["left_id"], r["right_id"]) for r in x[1].collect()} for x in (one, other)]
+    assert [found[c] for c in ("one", "other", "only_one", "only_other")] == [len(sets[0]), len(sets[1]), len(sets[0] - sets[1]), len(sets[1] - sets[0])]
+    assert found["only_one"] and found["only_other"]

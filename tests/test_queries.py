@@ -7,7 +7,7 @@ import pytest
 
 import __spark_entry__ as contract
 from conftest import rows_of
-from linkveil.plans import workloads
+from linkveil.plans import protocol, workloads
 from linkveil.queries import experiments, linkage, streams, surrounding
 
 #: Three runs instead of 33; registered queries run all.
@@ -77,3 +77,32 @@ def test_protocol_keeps_its_limits(spark, sf_dir):
     assert not log.duplicated(["run_id", "pair_id"]).any()
     assert ((log.weight == 2.0) == (log.layer == "plain")).all()
     assert data.f1_best >= rows[rows["round"] == 0].f1.max() - 1e-9
+
+
+def test_pairs_of_the_blocking_are_not_written(spark, sf_dir, monkeypatch):
+    """They grow with the square of the records: what is written or kept for other queries is records, draws and the uncertain band."""
+    written = []
+    for module in (linkage, protocol):
+        for name in ("durable", "stored"):
+            if hasattr(module, name):
+                monkeypatch.setattr(module, name, lambda df, f=getattr(module, name): written.append(df := f(df)) or df)
+    monkeypatch.setattr(linkage, "_kept", {})
+    n = linkage.pairs(spark, sf_dir).count()
+    data = workloads.data_set(spark, sf_dir, linkage.P)
+    assert data.candidates.count() == n and contract.queries()["final_result"](spark, sf_dir).count() == n
+    assert contract.queries()["quality_by_threshold"](spark, sf_dir).count() > 0
+    assert not [df for df in written if {"left_id", "right_id"} <= set(df.columns) and df.count() > n / 2]
+
+
+def test_band_holds_what_a_range_asks_for(spark, sf_dir):
+    data = workloads.data_set(spark, sf_dir, linkage.P)
+    for lo, hi in ((0.6, 0.8), (0.65, 0.7), (0.5, 0.7)):
+        wanted = data.candidates.where(f"sim > {lo} AND sim < {hi}").select("pair_id", "left_id", "right_id", "sim", "truth")
+        found = data.within(lo, hi)
+        assert sorted(found.collect()) == sorted(wanted.collect()) and found.count() > 0
+
+
+def test_registry_draws_once_an_entity(spark, sf_dir):
+    """No filter or join condition draws anew, but for the source's split."""
+    plan = linkage.R.registry(spark, sf_dir)._jdf.queryExecution().optimizedPlan().toString()
+    assert not [line for line in plan.splitlines() if ("Join" in line or "Filter" in line) and "md5" in line.replace("|split", "") and "|split" not in line]
