@@ -7,6 +7,7 @@ import pytest
 
 import __spark_entry__ as contract
 from conftest import rows_of
+from linkveil.operators import sampling
 from linkveil.plans import protocol, workloads
 from linkveil.queries import experiments, linkage, streams, surrounding
 
@@ -106,3 +107,9 @@ def test_registry_draws_once_an_entity(spark, sf_dir):
     """No filter or join condition draws anew, but for the source's split."""
     plan = linkage.R.registry(spark, sf_dir)._jdf.queryExecution().optimizedPlan().toString()
     assert not [line for line in plan.splitlines() if ("Join" in line or "Filter" in line) and "md5" in line.replace("|split", "") and "|split" not in line]
+
+
+def test_batch_sizes_read_the_events(spark, sf_dir):
+    rows = contract.queries()["batch_sizes"](spark, sf_dir).collect()
+    assert len(rows) == spark.read.parquet(f"{sf_dir}/events.parquet").select("user_id").distinct().count()
+    assert all(r["pairs"] == sampling.batch_for(100, r["replies"] / r["requests"]) for r in rows) and any(r["replies"] for r in rows)
