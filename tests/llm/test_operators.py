@@ -11,7 +11,7 @@ import pytest
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from linkveil.llm import decontaminate, hmm, host_rules, html_text, language, near_duplicates, pieces, quality, queries, secrets, spans
+from linkveil.llm import components, decontaminate, hmm, host_rules, html_text, language, near_duplicates, pieces, quality, queries, secrets, spans
 from linkveil.llm import words as W
 from linkveil.llm.columns import quoted
 from conftest import rows_of
@@ -591,6 +591,21 @@ def test_empty_seed_sample_still_trains(docs, monkeypatch):
     assert np.allclose(untrained.moves, start.moves)
 
 
+def test_components_by_task_and_by_steps(spark, monkeypatch):
+    """Both ways give the smallest id that each one reaches; a small graph is solved without steps."""
+    rng = np.random.default_rng(5)
+    pairs = [(int(a), int(b)) for a, b in rng.integers(0, 400, (260, 2))] + [(1000 + i, 1001 + i) for i in range(40)] + [(7, 7), (-3, 2000)]
+    edges = spark.createDataFrame(pairs, "a long, b long").repartition(5)
+    solve = lambda e: {r["id"]: r["root"] for r in components.components(e).collect()}
+    monkeypatch.setattr(components, "TASK_EDGES", 0)
+    stepwise = solve(edges)
+    monkeypatch.undo()
+    written = []
+    monkeypatch.setattr(components, "durable", lambda df, f=components.durable: written.append(1) or f(df))
+    assert solve(edges) == stepwise and stepwise[1040] == 1000 and stepwise[2000] == -3 and len(written) == 2
+    assert solve(edges.where("a = b")) == {}
+
+
 def test_scores_against_plain_counts(docs):
     import math
     import zlib
