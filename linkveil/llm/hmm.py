@@ -3,7 +3,8 @@
 A text's tokens are its words (A-Z lower-cased) and one end.  Each token has a class: the end, CLASS_WORDS frequent words
 each on their own, and SHAPES classes by the last bytes of the other words.  Hidden states emit classes, and a class
 emits its words by their counts in the whole training part, (c + 1) / (N_class + V_class + 1), so the vocabulary may
-grow without bound while the states' tables stay small.  Baum-Welch starts from a bounded sample and then adds up the
+grow without bound while the states' tables stay small.  Baum-Welch starts from a model of all pairs of neighbouring tokens of
+the training part, which are counted by coarser classes and fitted on the driver in a table of fixed size, and then adds up the
 expected counts of all training documents by partition.  The scaled forward recursion gives the exact probability of a
 text's classes; with the words' shares in their classes it is the text's log10 probability.
 
@@ -42,8 +43,12 @@ CLASSES = 1 + CLASS_WORDS + SHAPES
 LOCAL_WORDS = 100_000
 SUFFIX = 3
 ROUNDS = 2
-SEED_ROUNDS = 12
-SEED_TOKENS = 400_000
+#: Coarser classes, by which neighbouring tokens are counted: the end, frequent words, and the others by their class.
+PAIR_WORDS, PAIR_SHAPES = 500, 128
+PAIR_CLASSES = 1 + PAIR_WORDS + PAIR_SHAPES
+PAIR_ROUNDS = 300
+#: Tokens that are drawn for a start: none, as the whole training part is counted.
+SEED_TOKENS = 0
 GROUP_TOKENS = 300_000
 PENDING = 1_500_000
 
@@ -296,23 +301,61 @@ def _baum_welch(keys: np.ndarray, own: np.ndarray, model: Hmm):
     return run
 
 
+def coarser() -> np.ndarray:
+    """The coarser class of each class."""
+    found = np.arange(CLASSES)
+    return np.where(found <= PAIR_WORDS, found, 1 + PAIR_WORDS + found % PAIR_SHAPES)
+
+
+def _neighbours(keys: np.ndarray, own: np.ndarray):
+    @W.tidy
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table, coarse = Table(keys), coarser()
+        totals = np.zeros(PAIR_CLASSES**2)
+        for batch in batches:
+            classes, begin = _classes_of(batch, table, own)
+            inner = np.ones(len(classes), dtype=bool)
+            inner[begin[1:] - 1] = False  # an end has no next token
+            at, short = np.flatnonzero(inner), coarse[classes]
+            totals += np.bincount(short[at] * PAIR_CLASSES + short[at + 1], minlength=len(totals))
+        if totals.any():
+            yield emit({0: totals})
+
+    return run
+
+
+def from_pairs(pairs: np.ndarray, totals: np.ndarray, states: int = STATES, rounds: int = PAIR_ROUNDS, seed: int = 1) -> Hmm:
+    """The model of two neighbouring states that is likeliest for the counts of neighbouring coarser classes, by expectation
+    maximisation; a coarser class deals its share out to its classes by their counts."""
+    coarse = coarser()
+    whole = np.bincount(coarse, totals + 0.5, minlength=PAIR_CLASSES)
+    emits = whole * np.random.default_rng(seed).gamma(1.0, 1.0, (states, PAIR_CLASSES))
+    emits /= emits.sum(axis=1, keepdims=True)
+    joint = (np.full((states, states), 0.3 / states) + 0.7 * np.eye(states)) / states
+    for _ in range(rounds):
+        ratio = pairs / np.maximum(emits.T @ joint @ emits, 1e-300)
+        before, after = emits @ ratio, emits @ ratio.T
+        counts = emits * (joint @ after) + emits * (joint.T @ before) + 20 * whole / whole.sum()
+        joint = joint * (before @ emits.T) + 0.1
+        joint /= joint.sum()
+        emits = counts / counts.sum(axis=1, keepdims=True)
+    fine = emits[:, coarse] * (totals + 0.5) / whole[coarse]
+    start = joint.sum(axis=1)
+    return Hmm(start, joint / start[:, None], fine / fine.sum(axis=1, keepdims=True))
+
+
 def fit(docs: DataFrame, vocabulary: Vocabulary, states: int = STATES, rounds: int = ROUNDS) -> Hmm:
-    """Baum-Welch: SEED_ROUNDS on about SEED_TOKENS tokens for a start, then ``rounds`` over the whole training part."""
+    """Baum-Welch over the whole training part: a start from the counts of all its neighbouring tokens, then ``rounds`` passes."""
     totals = vocabulary.class_n
     model = Hmm.seeded(totals, states)
     chosen = np.flatnonzero(vocabulary.own)
     keys, own = vocabulary.keys[chosen], vocabulary.own[chosen]
-    training = docs.where(~held_out()).select("doc_id", F.col("text").cast("string"))
-    rate = min(1.0, SEED_TOKENS / max(1, vocabulary.tokens))
-    draw = F.pmod(F.xxhash64(F.lit("seed"), "doc_id", "text"), F.lit(1 << 30)) < int(rate * (1 << 30))
-    sample = training.where(draw).select("text").toArrow()
-    if sample.num_rows:  # a draw of few long documents can be empty; the full passes follow all the same
-        classes, begin = _classes_of(sample.combine_chunks().to_batches()[0], Table(keys), own)
-        for _ in range(SEED_ROUNDS):
-            start, moves, emits, _ = model.expected(classes, begin)
-            model = Hmm.from_counts(start, moves, emits, totals)
+    training = docs.where(~held_out()).select(F.col("text").cast("string"))
+    pairs = tree_sum(training, _neighbours(keys, own))
+    if pairs:  # none if all texts are empty
+        model = from_pairs(pairs[0].reshape(PAIR_CLASSES, PAIR_CLASSES), totals, states)
     for _ in range(rounds):
-        sums = tree_sum(training.select("text"), _baum_welch(keys, own, model))
+        sums = tree_sum(training, _baum_welch(keys, own, model))
         if not sums:  # no training documents
             return model
         flat = sums[0]

@@ -591,6 +591,22 @@ def test_empty_seed_sample_still_trains(docs, monkeypatch):
     assert np.allclose(untrained.moves, start.moves)
 
 
+def test_start_is_counted_over_all_training_documents(spark):
+    """Each document's neighbouring tokens are in the start, however many there are."""
+    texts = [f"a b{i % 3} {'x ' * (i % 5)}" for i in range(300)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(7)
+    _, vocabulary = hmm.count(df)
+    seen, whole = {}, hmm.from_pairs
+    with pytest.MonkeyPatch.context() as patch:
+        patch.setattr(hmm, "from_pairs", lambda pairs, *rest: seen.update(pairs=pairs) or whole(pairs, *rest))
+        hmm.fit(df, vocabulary, rounds=1)
+    import zlib
+
+    assert seen["pairs"].sum() == sum(len(t.split()) for i, t in enumerate(texts) if zlib.crc32(str(i).encode()) % 7 != 2)
+    model = whole(np.outer(*(2 * [np.arange(hmm.PAIR_CLASSES) < 3])) * 5.0, np.ones(hmm.CLASSES))
+    assert model.start.sum() == pytest.approx(1) and model.moves.sum(axis=1) == pytest.approx(1) and model.emits.sum(axis=1) == pytest.approx(1)
+
+
 def test_components_by_task_and_by_steps(spark, monkeypatch):
     """Both ways give the smallest id that each one reaches; a small graph is solved without steps."""
     rng = np.random.default_rng(5)
