@@ -2,6 +2,7 @@
 
 import hashlib
 import hmac
+import itertools
 
 import numpy as np
 import pandas as pd
@@ -244,6 +245,17 @@ def test_tree_by_hand():
     assert t.threshold[0] == 1.5 and t.predict(np.array([[1.4], [1.6]])).tolist() == [0, 1]
 
 
+def test_a_tree_takes_the_best_split():
+    """The first split is that of all places with the greatest gain in weighted Gini impurity, ties of values included."""
+    rng = np.random.default_rng(4)
+    x, y, w = np.column_stack([rng.integers(0, 4, 80), rng.uniform(size=80).round(2), np.zeros(80)]).astype(float), rng.integers(0, 2, 80).astype(float), rng.uniform(0.5, 2, 80)
+    y[x[:, 1] > 0.7] = 1.0
+    impurity = lambda rows: (q := (w[rows] * y[rows]).sum() / w[rows].sum()) * (1 - q) * w[rows].sum()
+    split = {(f, (a + b) / 2): impurity(x[:, f] <= a) + impurity(x[:, f] > a) for f in range(3) for a, b in itertools.pairwise(np.unique(x[:, f]))}
+    t = cart.grow_tree(x, y, w, 1, 3, np.random.default_rng(0))
+    assert (t.feature[0], t.threshold[0]) == pytest.approx(min(split, key=split.get)) and len(t.feature) == 3
+
+
 def test_grouped_training_and_newest(spark):
     rng = np.random.default_rng(1)
     rows = pd.DataFrame({"run_id": ["a"] * 60 + ["b"] * 60, "s": rng.uniform(size=120)})
