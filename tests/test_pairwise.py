@@ -32,7 +32,7 @@ def test_pairs_equal_those_of_the_join(spark, sf_dir, per_task):
     keyed = block.keys(pairwise.filters(records, p), p.key)
     joined = block.candidates(keyed.where("owner = 'A'"), keyed.where("owner = 'B'"), ["entity_id", *bits.names(p.m), "ones"])
     wanted = compare.record_similarity(joined, p.m).select("left_id", "right_id", "common", (F.col("l_entity_id") == F.col("r_entity_id")).alias("truth"))
-    rows = pairwise.dealt(keyed, keyed.select("owner", "keys"), p.m, per_task)
+    rows = pairwise.dealt(keyed, pairwise.large_blocks(keyed.select("owner", "keys"), per_task), p.m, records.count())
     found = pairwise.pairs(rows, p.m)
     assert sorted(found.select(*wanted.columns).collect()) == sorted(wanted.collect()) and found.count() > 0
     whole = found.groupBy("common", (F.col("l_ones") + F.col("r_ones")).alias("ones"), "truth").agg(F.count(F.lit(1)).alias("n"))
@@ -46,6 +46,11 @@ def test_records_are_shuffled_once(spark, sf_dir):
     assert candidates._jdf.queryExecution().executedPlan().toString().count("Exchange ") == 1
 
 
-def test_histogram_of_the_tally_is_that_of_the_pairs(spark, sf_dir):
+@pytest.mark.parametrize("many", [1, pairwise.MANY])
+def test_histogram_of_the_tally_is_that_of_the_pairs(spark, sf_dir, many, monkeypatch):
+    """Also where keys are counted one after the other, with each key's rows only in a shuffle."""
+    monkeypatch.setattr(pairwise, "MANY", many)
     layer = protocol.layer(people(spark, sf_dir), linkage.P)
+    layer.many = many
     assert sorted(measures.histogram(layer.tally(), weight="n").collect()) == sorted(measures.histogram(layer.pairs()).collect())
+    assert layer.dealt(1).select("key_no").distinct().collect() == [(1,)]
