@@ -131,5 +131,22 @@ def graph_exposure(candidates: DataFrame, requested: DataFrame, floor: float = 0
         part = requested.where(F.col("sim") >= floor).dropDuplicates(["pair_id"])
     else:
         part = edges.join(sent(requested.select("pair_id").distinct()), "pair_id", "left_semi")
-    count = lambda df, name: df.agg(F.count(F.lit(1)).alias(f"{name}_edges"), F.countDistinct("left_id").alias(f"{name}_left"), F.countDistinct("right_id").alias(f"{name}_right"))
-    return count(edges, "all").crossJoin(count(part, "seen")).withColumn("edge_share", F.round(F.try_divide(F.col("seen_edges").cast("double"), F.col("all_edges")), DIGITS))  # one row each
+    return _exposure(_edges(edges, "all"), part)
+
+
+def node_exposure(nodes: DataFrame, requested: DataFrame, floor: float = 0.5) -> DataFrame:
+    """``graph_exposure`` from the nodes of all edges (is_left, rec_id, n), of which a node may have several rows, and requested
+    pairs (pair_id, left_id, right_id, sim)."""
+    each = nodes.groupBy("is_left", "rec_id").agg(F.sum("n").alias("n"))
+    left = F.col("is_left")
+    edges = F.coalesce(F.sum(F.when(left, F.col("n"))), F.lit(0)).alias("all_edges")
+    counts = each.agg(edges, F.count(F.when(left, 1)).alias("all_left"), F.count(F.when(~left, 1)).alias("all_right"))
+    return _exposure(counts, requested.where(F.col("sim") >= floor).dropDuplicates(["pair_id"]))
+
+
+def _edges(df: DataFrame, name: str) -> DataFrame:
+    return df.agg(F.count(F.lit(1)).alias(f"{name}_edges"), F.countDistinct("left_id").alias(f"{name}_left"), F.countDistinct("right_id").alias(f"{name}_right"))
+
+
+def _exposure(counts: DataFrame, part: DataFrame) -> DataFrame:
+    return counts.crossJoin(_edges(part, "seen")).withColumn("edge_share", F.round(F.try_divide(F.col("seen_edges").cast("double"), F.col("all_edges")), DIGITS))  # one row each
