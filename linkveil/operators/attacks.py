@@ -23,10 +23,12 @@ def frequency_alignment(filters: DataFrame, records: DataFrame, m: int = 256, to
     """Ranks of filter patterns against ranks of plaintext values, per attribute: how many of the ``top`` most frequent patterns
     are encodings of the value of the same rank, and how often the most frequent pattern occurs.
 
-    ``filters``: rec_id, owner, attr, words and ``by`` (a pair's id for pair-keyed filters).
+    ``filters``: rec_id, owner, attr, words and ``by`` (a pair's id for pair-keyed filters); with value, if they lie beside their values.
     """
     values = records.select("rec_id", "owner", F.explode(F.array(*(F.struct(F.lit(a).alias("attr"), F.col(a).alias("value")) for a in encode.ATTRIBUTES))).alias("v")).select("rec_id", "owner", "v.*")
-    seen = filters.select(*by, "rec_id", "owner", "attr", F.md5(_pattern(m).cast("binary")).alias("pattern")).join(values, ["rec_id", "owner", "attr"])
+    beside = ["value"] if "value" in filters.columns else []
+    seen = filters.select(*by, "rec_id", "owner", "attr", *beside, F.md5(_pattern(m).cast("binary")).alias("pattern"))
+    seen = seen if beside else seen.join(values, ["rec_id", "owner", "attr"])
     place = lambda order: F.row_number().over(Window.partitionBy("attr").orderBy(*order))
     patterns = seen.groupBy("attr", "pattern").agg(F.count(F.lit(1)).alias("n"), F.min("value").alias("value"))
     patterns = patterns.withColumn("place", place([F.desc("n"), "value", "pattern"])).where(F.col("place") <= top)
@@ -108,10 +110,11 @@ def token_inference(filters: DataFrame, records: DataFrame, m: int = 256, q: int
 
 def aligned_after_attribution(found: DataFrame, filters: DataFrame, records: DataFrame, m: int = 1024, top: int = 20) -> DataFrame:
     """The step after ``attribute_bits``: each attribute's bits alone make a pattern, and the most frequent patterns are set beside
-    the most frequent values, as in ``frequency_alignment``."""
+    the most frequent values, as in ``frequency_alignment``.  Filters that lie beside their records' attributes aren't joined with them again."""
     masks = found.select("attr", *(x.alias(f"m_{w}") for w, x in zip(bits.names(m), bits.pack(F.col("bits"), m), strict=True)))
     parts = filters.crossJoin(F.broadcast(masks))  # one row an attribute
-    parts = parts.select("rec_id", "owner", "attr", *(F.col(w).bitwiseAND(F.col(f"m_{w}")).alias(w) for w in bits.names(m)))
+    known = [F.coalesce(*(F.when(F.col("attr") == a, F.col(a)) for a in encode.ATTRIBUTES)).alias("value")] if set(encode.ATTRIBUTES) <= set(filters.columns) else []
+    parts = parts.select("rec_id", "owner", "attr", *known, *(F.col(w).bitwiseAND(F.col(f"m_{w}")).alias(w) for w in bits.names(m)))
     return frequency_alignment(parts, records, m, top)
 
 

@@ -7,7 +7,7 @@ from collections.abc import Mapping
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from linkveil.operators import block, classify, compare, encode, measures, oracle
+from linkveil.operators import block, classify, compare, encode, measures, oracle, pairwise
 from linkveil.session import sent
 
 
@@ -31,15 +31,15 @@ def attribute_only(pairs: DataFrame, records: DataFrame, p: encode.Parameters, w
     return found.withColumn("sim", compare.weighted_mean(dict(weights)))
 
 
-def blocked_scores(records: DataFrame, p: encode.Parameters, weights: Mapping[str, float] = encode.WEIGHTS) -> DataFrame:
+def blocked_scores(records: DataFrame, p: encode.Parameters, weights: Mapping[str, float] = encode.WEIGHTS, rows: DataFrame | None = None, single: bool = False, sims: bool = True) -> DataFrame:
     """``attribute_only`` of all pairs of the blocking (left_id, right_id, truth), compared where they come up: the records' filters
-    are shuffled, the pairs aren't."""
-    wide = wide_filters(encode.attribute_filters(records, p), p.attribute_m)
-    keyed = block.keys(records.repartition("rec_id"), p.key).select("rec_id", "owner", "entity_id", "keys").join(wide, "rec_id", "left")
-    columns = ["entity_id", *wide.drop("rec_id").columns]
-    pairs = block.candidates(keyed.where("owner = 'A'"), keyed.where("owner = 'B'"), columns).withColumn("truth", F.col("l_entity_id") == F.col("r_entity_id"))
-    found = wide_similarities(pairs.drop("key_no", "l_entity_id", "r_entity_id"), p.attribute_m)
-    return found.withColumn("sim", compare.weighted_mean(dict(weights)))
+    are shuffled once, the pairs aren't.  ``rows`` are the records' dealt rows or a pass of them, if there are any yet; for ``single``
+    and ``sims`` see ``pairwise.scores``."""
+    if rows is None:
+        keyed = block.keys(records, p.key)
+        large = pairwise.large_blocks(keyed.select("owner", "keys"))
+        rows = pairwise.dealt(pairwise.attribute_filters(keyed, p, ["keys"]), large, pairwise.attribute_bits(p), records.count())
+    return pairwise.scores(rows, p, weights, single, sims)
 
 
 def wide_filters(filters: DataFrame, m: int = 256) -> DataFrame:
